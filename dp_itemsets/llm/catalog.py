@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import decontamination, language, lines, lm, media, packing, quality, sharding, simhash
+from . import decontamination, language, licenses, lines, lm, media, packing, quality, sharding, simhash
 from .common import table
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -40,6 +40,10 @@ def op4_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
     return sharding.shard_documents(table(spark, sf_dir, "documents"), 24)
 
 
+def op5_licenses(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return licenses.scan_licenses(table(spark, sf_dir, "documents"))
+
+
 def op6_lm(spark: SparkSession, sf_dir: str) -> DataFrame:
     return lm.score_documents(table(spark, sf_dir, "documents"))
 
@@ -66,6 +70,7 @@ def queries() -> dict[str, Query]:
         "op2_quality": op2_quality,
         "op3_language": op3_language,
         "op4_sharding": op4_sharding,
+        "op5_licenses": op5_licenses,
         "op6_lm": op6_lm,
         "op7_packing": op7_packing,
         "op8_simhash": op8_simhash,

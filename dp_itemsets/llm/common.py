@@ -84,16 +84,22 @@ def _joined(parts: list[pa.RecordBatch]) -> pa.RecordBatch:
 _checkpoint_lock = threading.Lock()
 
 
-def checkpointed(df: DataFrame) -> DataFrame:
-    """Cuts the lineage through the reliable checkpoint folder of the session.
+def shared_folder(spark: SparkSession) -> str:
+    """The reliable checkpoint folder of the session, which all executors reach.
 
-    A cluster names the folder in ``spark.checkpoint.dir``.  Only where none is
-    set (tests, a laptop) a temporary one is made.
+    A cluster names it in ``spark.checkpoint.dir``.  Only where none is set
+    (tests, a laptop) a temporary one is made.
     """
-    sc = df.sparkSession.sparkContext
+    sc = spark.sparkContext
     with _checkpoint_lock:
         if not sc._jsc.sc().getCheckpointDir().isDefined():
             sc.setCheckpointDir(sc.getConf().get("spark.checkpoint.dir") or tempfile.mkdtemp(prefix="llm-checkpoint-"))
+    return sc._jsc.sc().getCheckpointDir().get()
+
+
+def checkpointed(df: DataFrame) -> DataFrame:
+    """Cuts the lineage through the shared folder."""
+    shared_folder(df.sparkSession)
     return df.checkpoint()
 
 
