@@ -10,6 +10,10 @@ removed except at their first place, ordered by doc_id and place in the text.
 Chunks are compared byte by byte: the global count groups by the chunk's bytes,
 and a digest shared by different bytes is set aside, so that a digest stands
 for exactly one byte string when places are looked up with it.
+
+A passage rarely begins and ends where chunks do.  A removed chunk therefore
+grows by up to ``GROW`` lines on either side, while they are the lines that
+stand beside the chunk at its first place (128-bit digests are compared).
 """
 
 from __future__ import annotations
@@ -33,6 +37,8 @@ MEAN = 3
 MOST = 32
 #: Words from which a single line is a chunk that can be removed.
 LONG = 40
+#: Lines by which a removed chunk may grow on a side.
+GROW = 4
 
 _BASE = 0x9E3779B97F4A7C15
 _MASK = (1 << 64) - 1
@@ -74,36 +80,47 @@ def _digest(chunk: bytes) -> tuple[int, int]:
     return int(d[0]), int(d[1])
 
 
+def _beside(lines: list[bytes], start: int, end: int) -> tuple[list[bytes], list[bytes]]:
+    """Digests of the lines before a chunk, nearest first, and after it."""
+    return [_line(x) for x in lines[max(0, start - GROW) : start][::-1]], [_line(x) for x in lines[end : end + GROW]]
+
+
+def _line(line: bytes) -> bytes:
+    return xxhash.xxh3_128_digest(line)
+
+
 def _text_key(text: bytes) -> int:
     return int(np.uint64(xxhash.xxh64_intdigest(text)).view(np.int64))
 
 
 def _places(docs: DataFrame) -> tuple[DataFrame, DataFrame]:
-    """(bytes, d1, d2, n, doc, key, place): distinct chunks of a block with their first place; and (d1, d2, doc, key, place) of every chunk."""
+    """(bytes, d1, d2, n, doc, key, place, before, after): distinct chunks of a block with their first place; and (d1, d2, doc, key, place) of every chunk."""
 
     def chunks(batch: pa.RecordBatch) -> Iterator[tuple]:
         for doc, text in zip(batch.column("doc_id").to_pylist(), texts(batch.column("text")), strict=True):
             key, lines = _text_key(text), text.split(b"\n")
             for place, (a, b) in enumerate(chunk_bounds(lines)):
                 if removable(lines, a, b):
-                    yield doc, key, place, b"\n".join(lines[a:b])
+                    yield doc, key, place, b"\n".join(lines[a:b]), (lines, a, b)
 
     def distinct(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in blocks(batches):
             seen: dict[bytes, list] = {}
-            for doc, key, place, data in chunks(batch):
+            for doc, key, place, data, around in chunks(batch):
                 at = (doc is None, doc or 0, key, place)
                 if (old := seen.get(data)) is None:
-                    seen[data] = [1, at]
+                    seen[data] = [1, at, around]
                 else:
                     old[0] += 1
-                    old[1] = min(old[1], at)
-            rows = [(data, *_digest(data), n, None if at[0] else at[1], at[2], at[3]) for data, (n, at) in seen.items()]
-            yield out(rows, [pa.binary(), pa.int64(), pa.int64(), pa.int64(), kind, pa.int64(), pa.int32()], ["bytes", "d1", "d2", "n", "doc", "key", "place"])
+                    if at < old[1]:
+                        old[1:] = at, around
+            rows = [(data, *_digest(data), n, None if at[0] else at[1], at[2], at[3], *_beside(*around)) for data, (n, at, around) in seen.items()]
+            digests = pa.list_(pa.binary())
+            yield out(rows, [pa.binary(), pa.int64(), pa.int64(), pa.int64(), kind, pa.int64(), pa.int32(), digests, digests], ["bytes", "d1", "d2", "n", "doc", "key", "place", "before", "after"])
 
     def every(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in blocks(batches):
-            rows = [(*_digest(data), doc, key, place) for doc, key, place, data in chunks(batch)]
+            rows = [(*_digest(data), doc, key, place) for doc, key, place, data, _ in chunks(batch)]
             yield out(rows, [pa.int64(), pa.int64(), kind, pa.int64(), pa.int32()], ["d1", "d2", "doc", "key", "place"])
 
     def out(rows: list, kinds: list, names: list) -> pa.RecordBatch:
@@ -112,38 +129,49 @@ def _places(docs: DataFrame) -> tuple[DataFrame, DataFrame]:
     kind = pa.int64()
     read = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
     return (
-        read.mapInArrow(distinct, "bytes binary, d1 long, d2 long, n long, doc long, key long, place int"),
+        read.mapInArrow(distinct, "bytes binary, d1 long, d2 long, n long, doc long, key long, place int, before array<binary>, after array<binary>"),
         read.mapInArrow(every, "d1 long, d2 long, doc long, key long, place int"),
     )
 
 
 def repeated_chunks(docs: DataFrame) -> DataFrame:
-    """(d1, d2, n, doc, key, place): chunks that occur at more than one place, byte for byte, and the first place."""
-    first = F.min(F.struct(F.col("doc").isNull().alias("none"), "doc", "key", "place")).alias("first")
+    """(d1, d2, n, doc, key, place, before, after): chunks that occur at more than one place, byte for byte, with the first place and what stands beside it."""
+    first = F.min(F.struct(F.col("doc").isNull().alias("none"), "doc", "key", "place", "before", "after")).alias("first")
     distinct, _ = _places(docs)
     same = distinct.groupBy("bytes", "d1", "d2").agg(F.sum("n").alias("n"), first)
     # different bytes under one digest are left alone
     return (
         same.groupBy("d1", "d2").agg(F.count("*").alias("strings"), F.max("n").alias("n"), F.min("first").alias("first"))
         .where("strings = 1 and n > 1")
-        .select("d1", "d2", "n", "first.doc", "first.key", "first.place")
+        .select("d1", "d2", "n", "first.doc", "first.key", "first.place", "first.before", "first.after")
     )
 
 
 def removals(docs: DataFrame) -> DataFrame:
-    """(doc, key, places): numbers of the chunks to remove, for each text that loses any."""
-    repeated = repeated_chunks(docs).select("d1", "d2", F.struct("doc", "key", "place").alias("first"))
+    """(doc, key, places): chunks to remove, as (place, before, after), for each text that loses any."""
+    repeated = repeated_chunks(docs).select("d1", "d2", F.struct("doc", "key", "place").alias("first"), "before", "after")
     _, every = _places(docs)
     later = every.join(repeated, ["d1", "d2"]).where(~F.struct("doc", "key", "place").eqNullSafe(F.col("first")))
-    return later.groupBy("doc", "key").agg(F.sort_array(F.collect_set("place")).alias("places"))
-
-
-def _without(text: bytes, places: list[int]) -> tuple[bytes, int, int, int]:
-    """The text without those chunks; lines before and after, chunks removed."""
-    lines, gone = text.split(b"\n"), set(places)
-    bounds = chunk_bounds(lines)
-    kept = [line for k, (a, b) in enumerate(bounds) if k not in gone for line in lines[a:b]]
-    return b"\n".join(kept), len(lines), len(kept), len(gone)
+    return later.groupBy("doc", "key").agg(F.sort_array(F.collect_set(F.struct("place", "before", "after"))).alias("places"))
+
+
+def _without(text: bytes, places: list[dict]) -> tuple[bytes, int, int, int]:
+    """The text without those chunks and what they grow by; lines before and after, chunks removed."""
+    lines = text.split(b"\n")
+    bounds, keep = chunk_bounds(lines), [True] * len(lines)
+    for chunk in places:
+        a, b = bounds[chunk["place"]]
+        for digest in chunk["before"]:
+            if not a or _line(lines[a - 1]) != digest:
+                break
+            a -= 1
+        for digest in chunk["after"]:
+            if b == len(lines) or _line(lines[b]) != digest:
+                break
+            b += 1
+        keep[a:b] = [False] * (b - a)
+    kept = [line for line, stays in zip(lines, keep, strict=True) if stays]
+    return b"\n".join(kept), len(lines), len(kept), len(places)
 
 
 def _joined(docs: DataFrame, places: str) -> DataFrame:
