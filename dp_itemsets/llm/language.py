@@ -31,7 +31,7 @@ SAMPLE_WORDS = 30_000
 #: Longest word that goes through the batched lattice; longer ones are scored one by one.
 LONGEST = 48
 #: Words whose probabilities a worker keeps.
-KEPT = 300_000
+KEPT = 500_000
 
 
 @dataclass
@@ -131,6 +131,58 @@ class Lattice:
         return out[:size]
 
 
+#: Odd multiplier of the rolling hash of substrings.
+_BASE = 0x9E3779B97F4A7C15
+
+
+class PieceIndex:
+    """Finds the pieces at all places of many words at once, by rolling 64-bit hashes of their substrings."""
+
+    def __init__(self, vocabulary: Vocabulary):
+        plain = [(p, i) for p, i in vocabulary.pieces.items() if not p.startswith("<0x")]
+        width = max(len(p) for p, _ in plain)
+        rows = _code_points([p for p, _ in plain], width)
+        prefix = _prefix_hashes(rows)
+        sizes = np.array([len(p) for p, _ in plain])
+        hashes = _sized(prefix[np.arange(len(plain)), sizes], sizes)
+        order = np.argsort(hashes)
+        self.hashes, self.ids = hashes[order], np.array([i for _, i in plain], np.int32)[order]
+        self.powers = [pow(_BASE, size, 1 << 64) for size in range(width + 1)]
+        self.seen = np.zeros(1 << 20, bool)
+        self.seen[hashes >> np.uint64(44)] = True
+        self.longest = width
+
+    def find(self, rows: np.ndarray) -> list[np.ndarray]:
+        """For each size from 1: ids of the pieces that begin at each place, or -1; rows: zero-padded code points."""
+        prefix, out = _prefix_hashes(rows), []
+        for size in range(1, min(self.longest, rows.shape[1]) + 1):
+            h = _sized(prefix[:, size:] - prefix[:, :-size] * np.uint64(self.powers[size]), size)
+            found = np.full(h.shape, -1, np.int32)
+            maybe = np.nonzero(self.seen[h >> np.uint64(44)])
+            wanted = h[maybe]
+            at = np.minimum(np.searchsorted(self.hashes, wanted), self.hashes.size - 1)
+            found[maybe] = np.where(self.hashes[at] == wanted, self.ids[at], -1)
+            out.append(found)
+        return out
+
+
+def _code_points(words: list[str], width: int) -> np.ndarray:
+    return np.array(words, dtype=f"<U{width}").view(np.uint32).reshape(len(words), width)
+
+
+def _prefix_hashes(rows: np.ndarray) -> np.ndarray:
+    out = np.zeros((rows.shape[0], rows.shape[1] + 1), np.uint64)
+    for k in range(rows.shape[1]):
+        out[:, k + 1] = out[:, k] * np.uint64(_BASE) + rows[:, k] + np.uint64(1)
+    return out
+
+
+def _sized(hashes: np.ndarray, size: np.ndarray | int) -> np.ndarray:
+    """Mixes the substring's size in, and its low bits into the high ones."""
+    mixed = (hashes ^ (np.asarray(size).astype(np.uint64) << np.uint64(57))) * np.uint64(0xBF58476D1CE4E5B9)
+    return mixed ^ (mixed >> np.uint64(29)) ^ (mixed << np.uint64(32))
+
+
 def long_word(word: str, vocabulary: Vocabulary, table: np.ndarray) -> np.ndarray:
     """Log-probabilities of one word of any length; the forward pass is rescaled as it goes."""
     ring: dict[int, np.ndarray] = {0: np.ones(table.shape[1])}
@@ -174,24 +226,46 @@ class LanguageModel:
             columns.append(p)
         return cls(vocabulary, languages, np.array(columns).T.reshape(size, len(languages)))
 
-    def words(self, words: list[str]) -> np.ndarray:
-        """(words, languages) log-probabilities."""
+    def words(self, words: list[str], index: PieceIndex) -> np.ndarray:
+        """(words, languages) log-probabilities: a forward pass over words of like lengths, side by side."""
         out = np.zeros((len(words), len(self.languages)))
-        short = [k for k, w in enumerate(words) if len(w) < LONGEST]
-        if short:
-            lattice = Lattice([MARK + words[k] for k in short], self.vocabulary)
-            out[short] = np.log(np.maximum(lattice.totals(lattice.forward(lattice.weights(self.table))), 1e-300))
-        for k, w in enumerate(words):
-            if len(w) >= LONGEST:
-                out[k] = long_word(MARK + w, self.vocabulary, self.table)
+        sizes = np.array([len(w) for w in words])
+        order = np.argsort(sizes, kind="stable")
+        for start in range(0, len(words), 2048):
+            part = order[start : start + 2048]
+            part = part[sizes[part] < LONGEST]
+            if part.size:
+                out[part] = self._forward([MARK + words[k] for k in part], sizes[part] + 1, index)
+        for k in np.flatnonzero(sizes >= LONGEST):
+            out[k] = long_word(MARK + words[k], self.vocabulary, self.table)
         return out
 
+    def _forward(self, marked: list[str], sizes: np.ndarray, index: PieceIndex) -> np.ndarray:
+        width = int(sizes.max())
+        rows = _code_points(marked, width)
+        found = index.find(rows)
+        spelled = np.argwhere((found[0] < 0) & (np.arange(width) < sizes[:, None]))
+        # the last row of the table is no piece; characters outside the vocabulary get rows of their own
+        table = np.concatenate([self.table, np.zeros((1, self.table.shape[1]))])
+        found = [np.where(f < 0, len(self.table), f) for f in found]
+        if spelled.size:
+            codes, back = np.unique(rows[spelled[:, 0], spelled[:, 1]], return_inverse=True)
+            own = np.array([self.table[self.vocabulary.spelled(chr(c))].prod(axis=0) for c in codes])
+            found[0][spelled[:, 0], spelled[:, 1]] = len(table) + back
+            table = np.concatenate([table, own])
+        alpha = np.zeros((width + 1, len(marked), table.shape[1]))
+        alpha[0] = 1
+        for end in range(1, width + 1):
+            for size in range(1, min(end, len(found)) + 1):
+                alpha[end] += alpha[end - size] * table[found[size - 1][:, end - size]]
+        return np.log(np.maximum(alpha[sizes, np.arange(len(marked))], 1e-300))
+
 
 class Scorer:
     """Scores texts with one model, keeping the probabilities of words it has seen."""
 
     def __init__(self, model: LanguageModel):
-        self.model, self.known = model, {}
+        self.model, self.known, self.index = model, {}, PieceIndex(model.vocabulary)
         self.rows = np.zeros((1 << 16, len(model.languages)))
 
     def texts(self, batch: list[str]) -> np.ndarray:
@@ -203,9 +277,7 @@ class Scorer:
         base = len(self.known)
         if base + len(fresh) > len(self.rows):
             self.rows = np.concatenate([self.rows[:base], np.zeros((len(fresh) + (1 << 16), self.rows.shape[1]))])
-        for k in range(0, len(fresh), 4000):
-            part = fresh[k : k + 4000]
-            self.rows[base + k : base + k + len(part)] = self.model.words(part)
+        self.rows[base : base + len(fresh)] = self.model.words(fresh, self.index)
         self.known.update(zip(fresh, range(base, base + len(fresh)), strict=True))
         get, out = self.known.__getitem__, np.zeros((len(batch), self.rows.shape[1]))
         for k, c in enumerate(counted):
