@@ -13,7 +13,7 @@ for exactly one byte string when places are looked up with it.
 
 A passage rarely begins and ends where chunks do.  A removed chunk therefore
 grows by up to ``GROW`` lines on either side, while they are the lines that
-stand beside the chunk at its first place (128-bit digests are compared).
+stand beside the chunk at its first place (64-bit digests are compared).
 """
 
 from __future__ import annotations
@@ -38,7 +38,9 @@ MOST = 32
 #: Words from which a single line is a chunk that can be removed.
 LONG = 40
 #: Lines by which a removed chunk may grow on a side.
-GROW = 4
+GROW = 3
+#: Text bytes that a worker holds when texts and removals meet again.
+REJOINED_BYTES = 4 << 20
 
 _BASE = 0x9E3779B97F4A7C15
 _MASK = (1 << 64) - 1
@@ -80,13 +82,13 @@ def _digest(chunk: bytes) -> tuple[int, int]:
     return int(d[0]), int(d[1])
 
 
-def _beside(lines: list[bytes], start: int, end: int) -> tuple[list[bytes], list[bytes]]:
-    """Digests of the lines before a chunk, nearest first, and after it."""
-    return [_line(x) for x in lines[max(0, start - GROW) : start][::-1]], [_line(x) for x in lines[end : end + GROW]]
+def _beside(lines: list[bytes], start: int, end: int) -> tuple[bytes, bytes]:
+    """Digests, 8 bytes each, of the lines before a chunk, nearest first, and after it."""
+    return b"".join(map(_line, lines[max(0, start - GROW) : start][::-1])), b"".join(map(_line, lines[end : end + GROW]))
 
 
 def _line(line: bytes) -> bytes:
-    return xxhash.xxh3_128_digest(line)
+    return xxhash.xxh64_digest(line)
 
 
 def _text_key(text: bytes) -> int:
@@ -115,8 +117,7 @@ def _places(docs: DataFrame) -> tuple[DataFrame, DataFrame]:
                     if at < old[1]:
                         old[1:] = at, around
             rows = [(data, *_digest(data), n, None if at[0] else at[1], at[2], at[3], *_beside(*around)) for data, (n, at, around) in seen.items()]
-            digests = pa.list_(pa.binary())
-            yield out(rows, [pa.binary(), pa.int64(), pa.int64(), pa.int64(), kind, pa.int64(), pa.int32(), digests, digests], ["bytes", "d1", "d2", "n", "doc", "key", "place", "before", "after"])
+            yield out(rows, [pa.binary(), pa.int64(), pa.int64(), pa.int64(), kind, pa.int64(), pa.int32(), pa.binary(), pa.binary()], ["bytes", "d1", "d2", "n", "doc", "key", "place", "before", "after"])
 
     def every(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in blocks(batches):
@@ -129,7 +130,7 @@ def _places(docs: DataFrame) -> tuple[DataFrame, DataFrame]:
     kind = pa.int64()
     read = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
     return (
-        read.mapInArrow(distinct, "bytes binary, d1 long, d2 long, n long, doc long, key long, place int, before array<binary>, after array<binary>"),
+        read.mapInArrow(distinct, "bytes binary, d1 long, d2 long, n long, doc long, key long, place int, before binary, after binary"),
         read.mapInArrow(every, "d1 long, d2 long, doc long, key long, place int"),
     )
 
@@ -161,12 +162,13 @@ def _without(text: bytes, places: list[dict]) -> tuple[bytes, int, int, int]:
     bounds, keep = chunk_bounds(lines), [True] * len(lines)
     for chunk in places:
         a, b = bounds[chunk["place"]]
-        for digest in chunk["before"]:
-            if not a or _line(lines[a - 1]) != digest:
+        before, after = chunk["before"], chunk["after"]
+        for k in range(0, len(before), 8):
+            if not a or _line(lines[a - 1]) != before[k : k + 8]:
                 break
             a -= 1
-        for digest in chunk["after"]:
-            if b == len(lines) or _line(lines[b]) != digest:
+        for k in range(0, len(after), 8):
+            if b == len(lines) or _line(lines[b]) != after[k : k + 8]:
                 break
             b += 1
         keep[a:b] = [False] * (b - a)
@@ -200,12 +202,12 @@ def dedup_lines(docs: DataFrame) -> DataFrame:
     both = _joined(docs.select("doc_id", "text"), places)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in blocks(batches):
+        for batch in blocks(batches, limit=REJOINED_BYTES):
             rows = []
-            raw = batch.column("text").to_pylist()
-            for whole, text, gone in zip(raw, texts(batch.column("text")), batch.column(places).to_pylist(), strict=True):
+            nulls = batch.column("text").is_null().to_pylist()
+            for none, text, gone in zip(nulls, texts(batch.column("text")), batch.column(places).to_pylist(), strict=True):
                 left, before, after, n = _without(text, gone) if gone else (text, c := text.count(b"\n") + 1, c, 0)
-                rows.append((before, after, n, len(text) - len(left), None if whole is None else left.decode()))
+                rows.append((before, after, n, len(text) - len(left), None if none else left))
             cols = list(zip(*rows, strict=True))
             kinds = [pa.int32(), pa.int32(), pa.int32(), pa.int64(), pa.string()]
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), *map(pa.array, cols, kinds)], ["doc_id", "n_lines", "n_kept", "n_chunks_removed", "n_bytes_removed", "text"])
@@ -221,16 +223,16 @@ def remove_repeats(docs: DataFrame) -> DataFrame:
     schema = docs.schema
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in blocks(batches):
+        for batch in blocks(batches, limit=REJOINED_BYTES):
             columns = {name: batch.column(name) for name in schema.names}
             gone = batch.column(places).to_pylist()
             if any(gone):
-                out = [_without(t, g)[0].decode() if g else t.decode() for t, g in zip(texts(columns["text"]), gone, strict=True)]
                 raw = columns["text"]
+                out = [_without(t, g)[0] if g else t for t, g in zip(texts(raw), gone, strict=True)]
                 columns["text"] = pa.array([None if n else t for t, n in zip(out, raw.is_null().to_pylist(), strict=True)], raw.type)
                 if "n_chars" in columns:
                     old = columns["n_chars"]
-                    columns["n_chars"] = pa.array([len(t) if g else n for t, g, n in zip(out, gone, old.to_pylist(), strict=True)], old.type)
+                    columns["n_chars"] = pa.array([len(t.decode()) if g else n for t, g, n in zip(out, gone, old.to_pylist(), strict=True)], old.type)
             yield pa.RecordBatch.from_arrays(list(columns.values()), list(columns))
 
     return both.mapInArrow(run, schema)
