@@ -25,6 +25,7 @@ import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from .common import blocks, checkpointed, free_name, space_words, texts
 
@@ -236,6 +237,15 @@ def connected(links: DataFrame, rounds: int = 60) -> DataFrame:
     return edges.select(F.col("u").alias("node"), F.col("v").alias("root"))
 
 
+def _classes(prints: DataFrame, threshold: int) -> DataFrame:
+    """(fp, component_id, head): for each distinct fingerprint its component's smallest doc_id and that document's fingerprint."""
+    distinct = checkpointed(prints.groupBy("fp").agg(F.min("doc_id").alias("least")))
+    roots = connected(fingerprint_links(distinct, threshold))
+    members = distinct.join(roots, distinct["fp"] == roots["node"], "left").select("fp", "least", F.coalesce("root", "fp").alias("root"))
+    named = members.groupBy("root").agg(F.min(F.struct(F.col("least").isNull().alias("none"), "least", "fp")).alias("head"))
+    return members.join(named, "root").select("fp", F.col("head.least").alias("component_id"), F.col("head.fp").alias("head"))
+
+
 def components(docs: DataFrame, size: int = SHINGLE, threshold: int = THRESHOLD) -> DataFrame:
     """One row per row of ``docs``: doc_id, fingerprint (16 hex digits) and component_id, the smallest doc_id reachable by links.
 
@@ -243,12 +253,7 @@ def components(docs: DataFrame, size: int = SHINGLE, threshold: int = THRESHOLD)
     A null doc_id takes part, but names a component only if it has no other.
     """
     prints = checkpointed(fingerprint(docs, size))
-    distinct = checkpointed(prints.groupBy("fp").agg(F.min("doc_id").alias("least")))
-    roots = connected(fingerprint_links(distinct, threshold))
-    members = distinct.join(roots, distinct["fp"] == roots["node"], "left").select("fp", "least", F.coalesce("root", "fp").alias("root"))
-    named = members.groupBy("root").agg(F.min("least").alias("component_id"))
-    classes = members.join(named, "root").select("fp", "component_id")
-    return prints.join(classes, "fp").select(
+    return prints.join(_classes(prints, threshold).drop("head"), "fp").select(
         "doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id"
     )
 
@@ -256,18 +261,30 @@ def components(docs: DataFrame, size: int = SHINGLE, threshold: int = THRESHOLD)
 def keep_first(docs: DataFrame, size: int = SHINGLE, threshold: int = THRESHOLD) -> DataFrame:
     """The rows of ``docs``, all columns as they are, with one of each component: that of the smallest doc_id.
 
-    Of repeated rows with that id one stays.
+    Where several rows share that id and fingerprint, the one with the smallest
+    text stays (null first, then by the other columns' JSON).
     """
-    id_col, fp_col, mark = (free_name([*docs.columns, "fp"], x) for x in ("doc", "fp", "mark"))
-    classes = components(docs, size, threshold)
-    heads = classes.where(F.col("doc_id").eqNullSafe(F.col("component_id"))).select(F.col("doc_id").alias(id_col)).distinct()
-    kept = docs.join(heads, docs["doc_id"].eqNullSafe(heads[id_col]), "left_semi")
-    # ids that more than one row has: few, or none
-    twice = checkpointed(docs.groupBy("doc_id").agg(F.count("*").alias(mark)).where(F.col(mark) > 1).select(F.col("doc_id").alias(id_col)))
+    fp = free_name(docs.columns, "fp")
+    schema = T.StructType([*docs.schema.fields, T.StructField(fp, T.LongType())])
+
+    def marked(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in blocks(batches):
+            prints = fingerprints_of(texts(batch.column("text")), size)
+            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(prints.view(np.int64))], schema.names)
+
+    prints = checkpointed(fingerprint(docs, size))
+    heads = _classes(prints, threshold).where("fp = head").select(F.col("fp").alias(f"{fp}_head"), F.col("component_id").alias(f"{fp}_doc"))
+    # rows of a head that repeat: few, or none
+    repeated = prints.groupBy("doc_id", "fp").agg(F.count("*").alias("n")).where("n > 1").select(F.col("fp").alias(f"{fp}_head"), F.col("doc_id").alias(f"{fp}_doc"))
+    twice = checkpointed(repeated.join(heads, repeated[f"{fp}_head"].eqNullSafe(heads[f"{fp}_head"]) & repeated[f"{fp}_doc"].eqNullSafe(heads[f"{fp}_doc"]), "left_semi"))
+
+    def among(rows: DataFrame, keys: DataFrame, how: str) -> DataFrame:
+        return rows.join(keys, (rows[fp] == keys[f"{fp}_head"]) & rows["doc_id"].eqNullSafe(keys[f"{fp}_doc"]), how)
+
+    kept = among(docs.mapInArrow(marked, schema), heads, "left_semi")
     if twice.isEmpty():
-        return kept
-    single = kept.join(twice, kept["doc_id"].eqNullSafe(twice[id_col]), "left_anti")
-    many = kept.join(twice, kept["doc_id"].eqNullSafe(twice[id_col]), "left_semi")
-    names = docs.columns
-    one = many.groupBy("doc_id").agg(F.min(F.struct(F.coalesce("text", F.lit("")).alias("text"), F.struct(*[F.col(c) for c in names]).alias("row"))).alias(fp_col))
-    return single.unionByName(one.select(F.col(f"{fp_col}.row.*")))
+        return kept.drop(fp)
+    row = F.struct(*[F.col(c) for c in docs.columns])
+    order = F.struct(F.col("text").isNotNull().alias("some"), F.col("text").alias("text"), F.to_json(row).alias("json"))
+    one = among(kept, twice, "left_semi").groupBy(fp, "doc_id").agg(F.min_by(row, order).alias("row"))
+    return among(kept, twice, "left_anti").drop(fp).unionByName(one.select("row.*"))
