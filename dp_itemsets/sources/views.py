@@ -39,7 +39,7 @@ def line_records(spark: SparkSession, sf_dir: str) -> Transactions:
     tags = {"flag": "l_returnflag", "stat": "l_linestatus", "line": "l_linenumber", "prio": "o_orderpriority", "ost": "o_orderstatus", "seg": "c_mktsegment", "nat": "c_nationkey"}
     coded += [F.concat(F.lit(f"{tag}="), F.col(c).cast("string")) for tag, c in tags.items()]
     coded.append(F.concat(F.lit("yr="), F.year("l_shipdate").cast("string")))
-    tid = F.concat_ws("-", "l_orderkey", "l_linenumber", "l_partkey", "l_suppkey")
+    tid = F.concat_ws("-", "l_orderkey", "l_linenumber", "l_partkey", "l_suppkey", "l_extendedprice")
     return Transactions(joined.select(tid.alias("tid"), F.array_sort(F.array_compact(F.array(*coded))).alias("items")), unit="record")
 
 
@@ -146,7 +146,7 @@ VIEW_SQL = {
     "page_words": r"SELECT DISTINCT page_id AS tid, unnest(regexp_extract_all(lower(regexp_replace(html, '<[^>]*>', ' ', 'g')), '\p{L}+')) AS item FROM pages",
     "user_day_clicks": "SELECT DISTINCT user_id || '/' || strftime(ts, '%Y-%m-%d') AS tid, unnest([event_type, 'k' || json_extract_string(props, '$.k')]) AS item FROM events",
     "embedding_signs": "SELECT vec_id AS tid, 'e' || (i - 1)::VARCHAR AS item FROM (SELECT vec_id, unnest(embedding) AS x, generate_subscripts(embedding, 1) AS i FROM embeddings) WHERE x > 0",
-    "line_records": """SELECT tid, item FROM (SELECT concat_ws('-', l_orderkey, l_linenumber, l_partkey, l_suppkey) AS tid, unnest([
+    "line_records": """SELECT tid, item FROM (SELECT concat_ws('-', l_orderkey, l_linenumber, l_partkey, l_suppkey, l_extendedprice) AS tid, unnest([
         CASE WHEN l_quantity > 5 THEN 'q>5' END, CASE WHEN l_quantity > 10 THEN 'q>10' END, CASE WHEN l_quantity > 20 THEN 'q>20' END,
         CASE WHEN round(l_discount * 100) <= 9 THEN 'd<=9' END, CASE WHEN round(l_discount * 100) <= 8 THEN 'd<=8' END,
         CASE WHEN round(l_tax * 100) <= 7 THEN 't<=7' END, CASE WHEN round(l_tax * 100) <= 6 THEN 't<=6' END,
