@@ -236,14 +236,15 @@ def as_frame(spark: SparkSession, found: list[Found], n: int) -> DataFrame:
 
 def topk_frame(tx: Transactions, k: int, max_len: int | None = None) -> DataFrame:
     """(rank, itemset, size, support, freq) of the k most frequent itemsets."""
-    return as_frame(tx.spark, topk(tx, k, max_len), tx.size())
+    with tx.remembering() as own:
+        return as_frame(own.spark, topk(own, k, max_len), own.size())
 
 
 def dataset_profile(tx: Transactions, k: int) -> dict[str, float]:
     """Size, items, mean length, and what the top k is made of."""
-    n, total, distinct = tx.rows.agg(F.count("*"), F.sum(F.size("items")), F.lit(0)).first()
-    distinct = tx.item_counts().count() if tx.universe is not None else tx.item_counts().where("n > 0").count()
-    found = topk(tx, k)
+    with tx.remembering() as own:
+        n, found = own.size(), topk(own, k)
+        distinct, total = own.item_counts().agg(F.count("*"), F.sum("n")).first()
     return {
         "n": n, "items": distinct, "avg_len": (total or 0) / n if n else 0.0, "k": k,
         "lam": len({i for f in found for i in f.items}), "lam2": sum(len(f.items) == 2 for f in found), "lam3": sum(len(f.items) == 3 for f in found),

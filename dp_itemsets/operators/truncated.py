@@ -124,6 +124,13 @@ def implicit_members(universe: list[str], m: int, listed: set[str], how_many: in
 
 def select(tx: Transactions, k: int, m: int, eps: float, noise: NoiseSource, rho: float = 0.9, selector: str = "exponential", exactly: bool = False) -> list[Itemset]:
     """k itemsets at half the budget, by noisy truncated frequencies or by k exponential draws."""
+    if selector not in ("exponential", "laplace"):
+        raise ValueError("the selector is exponential or laplace")
+    with tx.remembering() as own:
+        return _select(own, k, m, eps, noise, rho, selector, exactly)
+
+
+def _select(tx: Transactions, k: int, m: int, eps: float, noise: NoiseSource, rho: float, selector: str, exactly: bool) -> list[Itemset]:
     n, universe = tx.size(), _universe(tx)
     space = candidate_space(len(universe), m, exactly)
     k = min(k, space)
@@ -132,8 +139,6 @@ def select(tx: Transactions, k: int, m: int, eps: float, noise: NoiseSource, rho
     floor = c_k - truncation_margin(k, eps, n, rho, space) * n
     explicit = explicit_itemsets(tx, m, floor, exactly)
     value, gumbel, scale = max(floor, 0.0), selector == "exponential", 4 * k / eps
-    if selector not in ("exponential", "laplace"):
-        raise ValueError("the selector is exponential or laplace")
     label = f"select-{selector}"
 
     def score(f: Found) -> float:
@@ -160,7 +165,8 @@ def release_selected(tx: Transactions, sets: list[Itemset], eps: float, noise: N
 
 def truncated_release(tx: Transactions, k: int, m: int, eps: float, noise: NoiseSource, rho: float = 0.9, selector: str = "exponential", exactly: bool = False) -> DataFrame:
     """The whole baseline: half the budget to select, half to count."""
-    return release_selected(tx, select(tx, k, m, eps, noise, rho, selector, exactly), eps, noise, "truncated")
+    with tx.remembering() as own:
+        return release_selected(own, select(own, k, m, eps, noise, rho, selector, exactly), eps, noise, "truncated")
 
 
 def direct_release(tx: Transactions, sets: list[Itemset], eps: float, noise: NoiseSource) -> DataFrame:

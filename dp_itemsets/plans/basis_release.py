@@ -113,10 +113,19 @@ def pick_elements(counts: DataFrame, value: str, c: int, eps: float, key: list[s
 
 
 def release_topk_private(tx: Transactions, k: int, eps: float, noise: NoiseSource, params: ReleaseParams | None = None) -> Release:
-    """The k itemsets with the highest noisy counts, under eps-differential privacy for one transaction."""
-    p = params or ReleaseParams()
+    """The k itemsets with the highest noisy counts, under eps-differential privacy for one transaction.
+
+    Three passes read the transactions: item counts (and their number), the
+    projection that finds the target rank, and the projection on the drawn
+    items, which serves both the pairs and the bins.
+    """
     if k < 1 or not eps > 0:
         raise ValueError("k and the budget must be above 0")
+    with tx.remembering() as own:
+        return _release(own, k, eps, noise, params or ReleaseParams())
+
+
+def _release(tx: Transactions, k: int, eps: float, noise: NoiseSource, p: ReleaseParams) -> Release:
     spark, ledger = tx.spark, BudgetLedger(eps)
     inf = math.isinf(eps)
     part = (lambda x: math.inf) if inf else (lambda x: x)
@@ -155,7 +164,8 @@ def release_topk_private(tx: Transactions, k: int, eps: float, noise: NoiseSourc
         bases = BasisSet.single(items)
     else:
         bases = build_bases(items, pairs, p.max_basis_len, objective=p.objective, merge=p.merge, dissolve=p.dissolve)
-    itemsets = count_with_bases(tx, bases, k, part(shares["bins"]), noise, n, p.superset_strategy)
+    counted = count_with_bases(tx, bases, k, part(shares["bins"]), noise, n, p.superset_strategy)
+    itemsets = spark.createDataFrame([tuple(r) for r in counted.collect()], counted.schema)  # a private output of k rows, drawn once
     book("bins", shares["bins"], "bins", bases.width, "laplace", sum(1 << len(b) for b in bases), "" if n is None else "the number of transactions is public")
     return Release(itemsets, ledger, lam, items, pairs, bases, p)
 

@@ -67,20 +67,23 @@ def run_truncated(tx: Transactions, truth: list[mining.Found], n: int, k: int, e
 
 def run_grid(spark: SparkSession, sf_dir: str, workload: Workload, budgets: Iterable[float] = BUDGETS, seeds: Iterable[int] = SEEDS, ks: Iterable[int] | None = None, ms: Iterable[int] | None = None) -> DataFrame:
     """A row for each run of each method."""
-    tx = VIEWS[workload.view](spark, sf_dir).cached()
-    n, out = tx.size(), []
-    params = ReleaseParams(max_basis_len=workload.max_basis_len, eta=workload.eta)
-    for k in ks or workload.ks:
+    out: list[tuple] = []
+    with VIEWS[workload.view](spark, sf_dir).remembering() as tx:
+        _run_grid(tx, workload, budgets, seeds, ks or workload.ks, ms or workload.ms, out)
+    return spark.createDataFrame(out, SCHEMA)
+
+
+def _run_grid(tx: Transactions, workload: Workload, budgets: Iterable[float], seeds: Iterable[int], ks: Iterable[int], ms: Iterable[int], out: list[tuple]) -> None:
+    n, params = tx.size(), ReleaseParams(max_basis_len=workload.max_basis_len, eta=workload.eta)
+    for k in ks:
         truth = mining.topk(tx, k)
         for eps in budgets:
             for seed in seeds:
                 out.append((workload.view, "basis", k, float(eps), None, seed, *run_basis(tx, truth, n, k, eps, seed, params)))
-                for m in ms or workload.ms:
+                for m in ms:
                     got = run_truncated(tx, truth, n, k, eps, seed, m)
                     if got is not None:
                         out.append((workload.view, "truncated", k, float(eps), m, seed, *got))
-    tx.rows.unpersist()
-    return spark.createDataFrame(out, SCHEMA)
 
 
 def best_m(rows: DataFrame) -> DataFrame:
@@ -95,13 +98,12 @@ def effectiveness(spark: SparkSession, sf_dir: str, views: Iterable[str], k: int
     """For each view and m: the k-th support, the margin in counts, the candidates, and whether truncation prunes anything."""
     out = []
     for name in views:
-        tx = VIEWS[name](spark, sf_dir)
-        p, n_items = mining.dataset_profile(tx, k), None
-        n_items = int(p["items"])
-        for m in ms:
-            found = mining.topk(tx, k, m)
-            c_k = found[k - 1].support if len(found) >= k else 0
-            space = candidate_space(n_items, m)
-            margin = truncation_margin(k, eps, int(p["n"]), rho, space)
-            out.append((name, k, m, int(c_k), round(margin * p["n"], 6), float(space), is_effective(margin * p["n"], c_k)))
+        with VIEWS[name](spark, sf_dir).remembering() as tx:
+            n, n_items = tx.size(), tx.item_counts().count()
+            for m in ms:
+                found = mining.topk(tx, k, m)
+                c_k = found[k - 1].support if len(found) >= k else 0
+                space = candidate_space(n_items, m)
+                margin = truncation_margin(k, eps, n, rho, space) * n
+                out.append((name, k, m, int(c_k), round(margin, 6), float(space), is_effective(margin, c_k)))
     return spark.createDataFrame(out, "view string, k int, m int, c_k long, margin_n double, space double, effective boolean")

@@ -452,12 +452,12 @@ def threshold_release(spark: SparkSession, sf_dir: str) -> DataFrame:
 @query()
 def ablation_table(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Error rate and coverage of each design choice."""
-    tx = _view("order_terms", spark, sf_dir).cached()
-    n, truth, rows = tx.size(), mining.topk(tx, 50), []
-    for name, params in R.ablations(R.ReleaseParams(max_basis_len=7)).items():
-        m = experiments.run_basis(tx, truth, n, 50, 1.0, 1, params)
-        rows.append((name, m[0], m[2], m[3], m[4], m[5]))
-    tx.rows.unpersist()
+    rows = []
+    with _view("order_terms", spark, sf_dir).remembering() as tx:
+        n, truth = tx.size(), mining.topk(tx, 50)
+        for name, params in R.ablations(R.ReleaseParams(max_basis_len=7)).items():
+            m = experiments.run_basis(tx, truth, n, 50, 1.0, 1, params)
+            rows.append((name, m[0], m[2], m[3], m[4], m[5]))
     return spark.createDataFrame(rows, "variant string, fnr double, re double, coverage_miss double, width int, length int")
 
 

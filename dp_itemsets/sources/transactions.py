@@ -7,8 +7,9 @@ once.
 
 from __future__ import annotations
 
-from collections.abc import Iterable
-from dataclasses import dataclass
+from collections.abc import Callable, Iterable, Iterator
+from contextlib import contextmanager
+from dataclasses import dataclass, field
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -21,6 +22,7 @@ class Transactions:
     rows: DataFrame
     universe: DataFrame | None = None
     unit: str = "transaction"
+    _kept: dict | None = field(default=None, repr=False)
 
     @property
     def spark(self) -> SparkSession:
@@ -38,8 +40,42 @@ class Transactions:
         domain = None if universe is None else spark.createDataFrame([(u,) for u in universe], "item string")
         return cls(spark.createDataFrame(rows, "tid long, items array<string>"), domain)
 
+    @contextmanager
+    def remembering(self) -> Iterator[Transactions]:
+        """The same transactions, whose item counts, number and projections are computed once and kept until the end.
+
+        What is kept are counts by item and collapsed projections, never the
+        transactions themselves.
+        """
+        if self._kept is not None:
+            yield self
+            return
+        own = Transactions(self.rows, self.universe, self.unit, {})
+        try:
+            yield own
+        finally:
+            for df in own._kept.values():
+                if isinstance(df, DataFrame):
+                    df.unpersist()
+
+    def _once(self, key: object, make: Callable[[], DataFrame]) -> DataFrame:
+        if self._kept is None:
+            return make()
+        if key not in self._kept:
+            self._kept[key] = make().persist()
+        return self._kept[key]
+
     def size(self) -> int:
-        return self.rows.count()
+        if self._kept is None:
+            return self.rows.count()
+        if "n" not in self._kept:
+            self._kept["n"] = (self._tally().where("item is null").first() or {"n": 0})["n"]
+        return self._kept["n"]
+
+    def _tally(self) -> DataFrame:
+        """(item, n): supports, and the number of transactions under a null item, in one pass."""
+        marked = F.array_append("items", F.lit(None).cast("string"))
+        return self._once("tally", lambda: self.rows.select(F.explode(marked).alias("item")).groupBy("item").agg(F.count("*").alias("n")))
 
     def long(self) -> DataFrame:
         return self.rows.select("tid", F.explode("items").alias("item"))
@@ -60,7 +96,7 @@ class Transactions:
 
     def item_counts(self) -> DataFrame:
         """(item, n) over the universe where one is given, zero supports included."""
-        counts = self.rows.select(F.explode("items").alias("item")).groupBy("item").agg(F.count("*").alias("n"))
+        counts = self._tally().where("item is not null")
         if self.universe is None:
             return counts
         return self.universe.select("item").distinct().join(counts, "item", "left").select("item", F.coalesce("n", F.lit(0)).alias("n"))
@@ -71,9 +107,12 @@ class Transactions:
         Only items of the list get past the scan, and equal projections are
         summed before the shuffle.
         """
-        places = F.create_map(*[x for k, i in enumerate(items) for x in (F.lit(i), F.lit(k))]) if items else None
-        if places is None:
+        return self._once(tuple(items), lambda: self._projected(items))
+
+    def _projected(self, items: list[str]) -> DataFrame:
+        if not items:
             return self.rows.select(F.array().cast("array<int>").alias("items")).groupBy("items").agg(F.count("*").alias("cnt"))
+        places = F.create_map(*[x for k, i in enumerate(items) for x in (F.lit(i), F.lit(k))])
         kept = F.array_intersect(F.col("items"), F.array(*[F.lit(i) for i in items]))
         return (
             self.rows.select(kept.alias("kept")).groupBy("kept").agg(F.count("*").alias("cnt"))
