@@ -7,6 +7,8 @@ they run at C speed.
 
 from __future__ import annotations
 
+import contextlib
+import ctypes
 import tempfile
 import threading
 import zlib
@@ -18,7 +20,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 #: Text bytes that a Python worker handles at a time.
-BLOCK_BYTES = 16 << 20
+BLOCK_BYTES = 8 << 20
 
 
 def _alnum_table() -> bytes:
@@ -70,11 +72,21 @@ def blocks(batches: Iterable[pa.RecordBatch], column: str = "text", limit: int =
                 if i > start:
                     held.append(batch.slice(start, i - start))
                 yield _joined(held)
+                pa.default_memory_pool().release_unused()
                 held, size, start = [], 0, i
             size += n
         held.append(batch.slice(start))
     if held:
         yield _joined(held)
+    del held
+    _trim()
+
+
+def _trim() -> None:
+    """Gives freed memory back: a worker that waits for its next task shouldn't hold the last one's peak."""
+    pa.default_memory_pool().release_unused()
+    with contextlib.suppress(AttributeError, OSError):  # glibc only
+        ctypes.CDLL(None).malloc_trim(0)
 
 
 def _joined(parts: list[pa.RecordBatch]) -> pa.RecordBatch:

@@ -30,6 +30,8 @@ WORDS = 1 << 16
 #: Buckets of each statistic.
 STEPS = 24
 FACTORS = 8
+#: Text bytes that are scored at a time; each feature takes a row of factors.
+SCORED_BYTES = 4 << 20
 #: Most labelled rows that training takes: those with the smallest hash of their id.
 SAMPLE_ROWS = 12_000
 
@@ -168,7 +170,7 @@ def train(docs: DataFrame, labels: DataFrame, metadata: list[str], sample_rows:
     n = len(metadata)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in blocks(batches):
+        for batch in blocks(batches, limit=SCORED_BYTES):
             index, value, starts = _rows(batch, n)
             cut = np.r_[starts, index.size].astype(np.int32)
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("y"), pa.ListArray.from_arrays(cut, index), pa.ListArray.from_arrays(cut, value)], ["doc_id", "y", "index", "value"])
@@ -196,7 +198,7 @@ def score(docs: DataFrame, model: FactorisationMachine, metadata: list[str], hel
     sent, n = docs.sparkSession.sparkContext.broadcast(model), len(metadata)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in blocks(batches):
+        for batch in blocks(batches, limit=SCORED_BYTES):
             s = _scores(sent.value, batch, n)
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("held_out"), pa.array(s), pa.array((s >= 0.5).astype(np.int32))], ["doc_id", "held_out", "score", "predicted"])
 
@@ -222,7 +224,7 @@ def keep_good(docs: DataFrame, labels: DataFrame, metadata: tuple[str, ...] = ("
     sent, n = docs.sparkSession.sparkContext.broadcast(train(docs, labels.where(~held_out()), columns)), len(columns)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in blocks(batches):
+        for batch in blocks(batches, limit=SCORED_BYTES):
             extra = [pa.array([None if v is None else min(np.log1p(max(float(v), 0.0)) / 16, 1.0) for v in batch.column(c).to_pylist()], pa.float64()) for c in columns]
             seen = pa.RecordBatch.from_arrays([batch.column("text"), *extra], ["text", *(f"m{k}" for k in range(n))])
             yield batch.filter(pa.array(_scores(sent.value, seen, n) >= 0.5))
