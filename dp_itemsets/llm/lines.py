@@ -39,6 +39,8 @@ MOST = 32
 LONG = 40
 #: Lines by which a removed chunk may grow on a side.
 GROW = 3
+#: Tasks over which the places of a repeated chunk are dealt.
+SALTS = 16
 #: Text bytes that a worker holds when texts and removals meet again.
 REJOINED_BYTES = 4 << 20
 
@@ -150,9 +152,10 @@ def repeated_chunks(docs: DataFrame) -> DataFrame:
 
 def removals(docs: DataFrame) -> DataFrame:
     """(doc, key, places): chunks to remove, as (place, before, after), for each text that loses any."""
-    repeated = repeated_chunks(docs).select("d1", "d2", F.struct("doc", "key", "place").alias("first"), "before", "after")
+    # places of one chunk are dealt over SALTS tasks; only repeated chunks are copied for that
+    repeated = repeated_chunks(docs).select("d1", "d2", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))).alias("salt"), F.struct("doc", "key", "place").alias("first"), "before", "after")
     _, every = _places(docs)
-    later = every.join(repeated, ["d1", "d2"]).where(~F.struct("doc", "key", "place").eqNullSafe(F.col("first")))
+    later = every.withColumn("salt", F.pmod("key", F.lit(SALTS)).cast("int")).join(repeated, ["d1", "d2", "salt"]).where(~F.struct("doc", "key", "place").eqNullSafe(F.col("first")))
     return later.groupBy("doc", "key").agg(F.sort_array(F.collect_set(F.struct("place", "before", "after"))).alias("places"))
 
 
