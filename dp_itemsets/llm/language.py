@@ -24,6 +24,8 @@ from pyspark.sql import functions as F
 from .common import blocks, doc_hash
 
 MARK = "▁"
+#: Most different languages that can be learned.
+MOST_LANGUAGES = 10_000
 #: Expected number of sampled documents for a language.
 SAMPLE_DOCS = 3_000
 #: Most frequent sampled words of a language that training takes.
@@ -298,7 +300,10 @@ def has_letter(text: str) -> bool:
 
 def sampled(docs: DataFrame, sample_docs: int = SAMPLE_DOCS) -> DataFrame:
     """About ``sample_docs`` documents of each language: those whose hashed id lies below the language's share."""
-    sizes = docs.groupBy("lang").agg(F.count("*").alias("n"))
+    rows = docs.groupBy("lang").agg(F.count("*").alias("n")).limit(MOST_LANGUAGES + 1).collect()
+    if len(rows) > MOST_LANGUAGES:
+        raise ValueError(f"more than {MOST_LANGUAGES} languages")
+    sizes = docs.sparkSession.createDataFrame(rows, "lang string, n long")
     share = F.least(F.lit(1.0), F.lit(float(sample_docs)) / F.col("n"))
     place = F.pmod(F.xxhash64("doc_id"), F.lit(1_000_003)) / F.lit(1_000_003.0)
     return docs.join(F.broadcast(sizes), "lang").where(place < share).drop("n")  # a row for each language

@@ -215,7 +215,7 @@ def fingerprint_links(prints: DataFrame, threshold: int = THRESHOLD) -> DataFram
     return met.mapInArrow(lambda it: _partition_links(it, threshold), "a long, b long")
 
 
-def connected(links: DataFrame, rounds: int = 60) -> DataFrame:
+def connected(links: DataFrame) -> DataFrame:
     """(node, root): components of the links by alternating star contraction; nodes without a link don't appear.
 
     Each round points neighbours above a node to the node's smallest neighbour
@@ -223,7 +223,7 @@ def connected(links: DataFrame, rounds: int = 60) -> DataFrame:
     """
     edges = checkpointed(links.select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).where("u <> v").distinct())
     state = None
-    for _ in range(rounds):
+    while True:
         both = edges.select("u", "v").union(edges.select(F.col("v").alias("u"), F.col("u").alias("v")))
         least = both.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m"))
         large = both.join(least, "u").where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u <> v").distinct()
