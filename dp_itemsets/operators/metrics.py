@@ -3,13 +3,15 @@
 from __future__ import annotations
 
 import math
+from collections.abc import Callable, Iterable
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from ..functions.noise import NoiseSource
 from ..sources.transactions import Transactions
 from .bases import BasisSet
-from .mining import Found, key_of, supports, topk
+from .mining import Found, key_of, supports
 
 
 def false_negative_rate(release: DataFrame, truth: DataFrame, k: int) -> DataFrame:
@@ -69,5 +71,31 @@ def cost_model(bases: BasisSet, total_length: int) -> dict[str, float]:
     }
 
 
-def exact_topk(tx: Transactions, k: int) -> list[Found]:
-    return topk(tx, k)
+def empirical_l1_sensitivity(query: Callable[[Transactions], dict], tx: Transactions, tids: Iterable[object]) -> float:
+    """Largest L1 change of a table of numbers when one of the given transactions goes; for small data."""
+    whole, most = query(tx), 0.0
+    for tid in tids:
+        less = query(tx.without(tid))
+        most = max(most, sum(abs(whole.get(k, 0) - less.get(k, 0)) for k in {*whole, *less}))
+    return most
+
+
+def empirical_variance(full: DataFrame, width: int, length: int, eps: float, runs: int, noise: NoiseSource) -> DataFrame:
+    """(basis_id, mask, variance): of the subset counts over ``runs`` draws of the noise of complete bins."""
+    noisy = full.crossJoin(full.sparkSession.range(runs).withColumnRenamed("id", "run")).withColumn("noisy", noise.laplace("runs", width / eps, "run", "basis_id", "mask"))
+    low = noisy.select(F.col("basis_id").alias("b"), F.col("mask").alias("y"), "run", "noisy")
+    own = full.select("basis_id", "mask")
+    inside = (F.col("b") == F.col("basis_id")) & (F.col("y").bitwiseAND(F.col("mask")) == F.col("mask"))
+    sums = low.join(F.broadcast(own), inside).groupBy("basis_id", "mask", "run").agg(F.sum("noisy").alias("s"))
+    return sums.groupBy("basis_id", "mask").agg(F.var_samp("s").alias("variance"))
+
+
+def privacy_audit(release: Callable[[int, NoiseSource], float], counts: tuple[int, int], eps: float, runs: int, bins: int = 8) -> float:
+    """Largest excess, in standard errors, of the log-ratio of two neighbours' output histograms over eps; about 4 or less if private."""
+    draws = [[release(c, NoiseSource.fixed(f"audit-{k}")) for k in range(runs)] for c in counts]
+    low, high = min(counts) - 5 / eps, max(counts) + 5 / eps
+    step, worst = (high - low) / bins, -math.inf
+    hist = [[sum(low + step * j <= min(max(x, low), high - 1e-9) < low + step * (j + 1) for x in d) for j in range(bins)] for d in draws]
+    for a, b in zip(*hist, strict=True):
+        worst = max(worst, (abs(math.log((a + 1) / (b + 1))) - eps) / math.sqrt(1 / (a + 1) + 1 / (b + 1)))
+    return worst

@@ -107,3 +107,14 @@ def effectiveness(spark: SparkSession, sf_dir: str, views: Iterable[str], k: int
                 margin = truncation_margin(k, eps, n, rho, space) * n
                 out.append((name, k, m, int(c_k), round(margin, 6), float(space), is_effective(margin, c_k)))
     return spark.createDataFrame(out, "view string, k int, m int, c_k long, margin_n double, space double, effective boolean")
+
+
+def error_table(rows: DataFrame, measure: str = "fnr") -> DataFrame:
+    """Mean of a measure by budget, a column for each method."""
+    return best_m(rows).groupBy("view", "k", "eps").pivot("method", ["basis", "truncated"]).avg(measure)
+
+
+def run_all(spark: SparkSession, sf_dir: str, out: str, budgets: Iterable[float] = BUDGETS, seeds: Iterable[int] = SEEDS) -> None:
+    """Every workload at every budget and repeat, written as Parquet by workload."""
+    for name, workload in WORKLOADS.items():
+        run_grid(spark, sf_dir, workload, budgets, seeds).write.mode("overwrite").parquet(f"{out}/workload={name}")

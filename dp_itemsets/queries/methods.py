@@ -616,3 +616,63 @@ def toy_bins(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Eight bins of a basis of three items; a pair's count is the sum of two of them."""
     b = B.BasisSet.of(["abc"])
     return bins.complete_bins(bins.bin_counts(Transactions.from_sets(spark, _TOY), b), b).select("mask", "n")
+
+
+def _errors(measure: str) -> Query:
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        rows = experiments.run_grid(spark, sf_dir, experiments.WORKLOADS["single_basis_records"], (0.25, 1.0), (1,), (50,), (2, 3))
+        return experiments.error_table(rows, measure)
+
+    return run
+
+
+QUERIES["fnr_basis_vs_tf"] = _errors("fnr")
+QUERIES["relative_error_basis_vs_tf"] = _errors("re")
+
+
+@query()
+def tf_best_m(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Error rate of the baseline for each length limit."""
+    rows = experiments.run_grid(spark, sf_dir, experiments.WORKLOADS["few_bases_terms"], (1.0,), (1,), (50,), (1, 2))
+    return rows.where("method = 'truncated'").select("view", "k", "eps", "m", "fnr")
+
+
+@query(_zero_sql(["items", "bins_of_two_bases", "rank_quality"]))
+def sensitivity_invariants(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Measured sensitivities on the toy set against the ones that scale the noise."""
+    tx, two = Transactions.from_sets(spark, _TOY, "abcde"), B.BasisSet.of(["abc", "cde"])
+    some = (0, 4, 8)
+    item = lambda t: {r["item"]: r["n"] for r in t.item_counts().collect()}
+    table = lambda t: {(r["basis_id"], r["mask"]): r["n"] for r in bins.bin_counts(t, two).collect()}
+    rank = lambda t: {r["j"]: r["quality"] for r in R.rank_scores(t, 4, 1.0).collect()}
+    whole = item(tx)
+    ok = {
+        "items": all(abs(whole[k] - n) <= 1 for t in some for k, n in item(tx.without(t)).items()),
+        "bins_of_two_bases": metrics.empirical_l1_sensitivity(table, tx, some) <= two.width,
+        "rank_quality": all(abs(rank(tx)[j] - q) <= 1 for t in some[:2] for j, q in rank(tx.without(t)).items() if j in rank(tx)),
+    }
+    return spark.createDataFrame(_zero_rows(ok), "check_name string, violations int")
+
+
+@query("SELECT 'variance' AS check_name, 0 AS violations")
+def empirical_variance_invariants(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Measured variance of every subset of a basis over 400 draws within 30 % of the formula."""
+    b, eps = _bases(SINGLE), 0.5
+    full = bins.complete_bins(bins.bin_counts(_view("order_brands", spark, sf_dir), b), b)
+    rows = metrics.empirical_variance(full, 1, b.length, eps, 400, NOISE).collect()
+    bad = sum(abs(r["variance"] / B.error_variance(3, bin(r["mask"]).count("1"), 1, eps) - 1) > 0.3 for r in rows)
+    return spark.createDataFrame([("variance", bad)], "check_name string, violations int")
+
+
+@query("SELECT 'audit' AS check_name, 0 AS violations")
+def privacy_audit_invariants(spark: SparkSession, sf_dir: str) -> DataFrame:
+    worst = metrics.privacy_audit(lambda c, source: c + source.laplace_value("a", 1.0), (10, 9), 1.0, 6000)
+    return spark.createDataFrame([("audit", int(worst > 4))], "check_name string, violations int")
+
+
+@query(f"WITH {S.d('order_brands')} SELECT count(*) AS n FROM (SELECT tid FROM d GROUP BY tid HAVING list_has_all(list(item), ['Brand#1', 'Brand#2']))")
+def sql_front_door(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from ..sources.views import register_views
+
+    register_views(spark, sf_dir, ["order_brands"])
+    return spark.sql("SELECT count(*) AS n FROM tx_order_brands WHERE size(array_intersect(items, array('Brand#1', 'Brand#2'))) = 2")

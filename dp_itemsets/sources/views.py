@@ -134,6 +134,14 @@ VIEWS: dict[str, Callable[[SparkSession, str], Transactions]] = {
     f.__name__: f for f in (line_records, doc_words, doc_keywords, conv_keywords, order_terms, order_brands, order_parts, cust_terms, user_day_clicks, page_words, embedding_signs)
 }
 
+
+
+def register_views(spark: SparkSession, sf_dir: str, names: list[str] | None = None) -> None:
+    """Each view as a temporary SQL view tx_<name>(tid, items)."""
+    for name in names or list(VIEWS):
+        VIEWS[name](spark, sf_dir).rows.createOrReplaceTempView(f"tx_{name}")
+
+
 _LINES = "lineitem JOIN part ON l_partkey = p_partkey"
 
 #: DuckDB: (tid, item), distinct, of the views that SQL checks.
