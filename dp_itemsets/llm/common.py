@@ -125,6 +125,14 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def free_names(columns: Iterable[str], *stems: str) -> list[str]:
+    """Names that neither the columns nor each other take."""
+    taken, out = list(columns), []
+    for stem in stems:
+        out.append(free_name([*taken, *out], stem))
+    return out
+
+
 def free_name(columns: Iterable[str], stem: str) -> str:
     """A column name that is not taken (Spark compares names without case)."""
     taken, name = {c.lower() for c in columns}, f"_{stem}"

@@ -27,7 +27,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import blocks, free_name, texts
+from .common import blocks, free_name, free_names, texts
 
 #: Lines under the rolling hash.
 SPAN = 2
@@ -182,7 +182,7 @@ def _without(text: bytes, places: list[dict]) -> tuple[bytes, int, int, int]:
 def _joined(docs: DataFrame, places: str) -> DataFrame:
     """All columns of ``docs`` and the places to remove (null: none), joined on doc_id and the text's hash."""
     gone = removals(docs)
-    key = free_name(docs.columns, "key")
+    key, gone_doc, gone_key = free_names([*docs.columns, places], "key", "gone_doc", "gone_key")
 
     def keyed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in blocks(batches):
@@ -190,8 +190,8 @@ def _joined(docs: DataFrame, places: str) -> DataFrame:
             yield pa.RecordBatch.from_arrays([*batch.columns, keys], [*batch.schema.names, key])
 
     rows = docs.mapInArrow(keyed, T.StructType([*docs.schema.fields, T.StructField(key, T.LongType())]))
-    gone = gone.select(F.col("doc").alias(f"{key}_doc"), F.col("key").alias(f"{key}_key"), F.col("places").alias(places))
-    return rows.join(gone, rows["doc_id"].cast("long").eqNullSafe(gone[f"{key}_doc"]) & (rows[key] == gone[f"{key}_key"]), "left").select(*docs.columns, places)
+    gone = gone.select(F.col("doc").alias(gone_doc), F.col("key").alias(gone_key), F.col("places").alias(places))
+    return rows.join(gone, rows["doc_id"].cast("long").eqNullSafe(gone[gone_doc]) & (rows[key] == gone[gone_key]), "left").select(*docs.columns, places)
 
 
 def dedup_lines(docs: DataFrame) -> DataFrame:

@@ -27,7 +27,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import blocks, checkpointed, free_name, space_words, texts
+from .common import blocks, checkpointed, free_names, space_words, texts
 
 SEED = 42
 SHINGLE = 3
@@ -264,7 +264,7 @@ def keep_first(docs: DataFrame, size: int = SHINGLE, threshold: int = THRESHOLD)
     Where several rows share that id and fingerprint, the one with the smallest
     text stays (null first, then by the other columns' JSON).
     """
-    fp = free_name(docs.columns, "fp")
+    fp, head_fp, head_doc, chosen = free_names(docs.columns, "fp", "head_fp", "head_doc", "row")
     schema = T.StructType([*docs.schema.fields, T.StructField(fp, T.LongType())])
 
     def marked(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -273,18 +273,18 @@ def keep_first(docs: DataFrame, size: int = SHINGLE, threshold: int = THRESHOLD)
             yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(prints.view(np.int64))], schema.names)
 
     prints = checkpointed(fingerprint(docs, size))
-    heads = _classes(prints, threshold).where("fp = head").select(F.col("fp").alias(f"{fp}_head"), F.col("component_id").alias(f"{fp}_doc"))
+    heads = _classes(prints, threshold).where("fp = head").select(F.col("fp").alias(head_fp), F.col("component_id").alias(head_doc))
     # rows of a head that repeat: few, or none
-    repeated = prints.groupBy("doc_id", "fp").agg(F.count("*").alias("n")).where("n > 1").select(F.col("fp").alias(f"{fp}_head"), F.col("doc_id").alias(f"{fp}_doc"))
-    twice = checkpointed(repeated.join(heads, repeated[f"{fp}_head"].eqNullSafe(heads[f"{fp}_head"]) & repeated[f"{fp}_doc"].eqNullSafe(heads[f"{fp}_doc"]), "left_semi"))
+    repeated = prints.groupBy("doc_id", "fp").agg(F.count("*").alias("n")).where("n > 1").select(F.col("fp").alias(head_fp), F.col("doc_id").alias(head_doc))
+    twice = checkpointed(repeated.join(heads, repeated[head_fp].eqNullSafe(heads[head_fp]) & repeated[head_doc].eqNullSafe(heads[head_doc]), "left_semi"))
 
     def among(rows: DataFrame, keys: DataFrame, how: str) -> DataFrame:
-        return rows.join(keys, (rows[fp] == keys[f"{fp}_head"]) & rows["doc_id"].eqNullSafe(keys[f"{fp}_doc"]), how)
+        return rows.join(keys, (rows[fp] == keys[head_fp]) & rows["doc_id"].eqNullSafe(keys[head_doc]), how)
 
     kept = among(docs.mapInArrow(marked, schema), heads, "left_semi")
     if twice.isEmpty():
         return kept.drop(fp)
     row = F.struct(*[F.col(c) for c in docs.columns])
     order = F.struct(F.col("text").isNotNull().alias("some"), F.col("text").alias("text"), F.to_json(row).alias("json"))
-    one = among(kept, twice, "left_semi").groupBy(fp, "doc_id").agg(F.min_by(row, order).alias("row"))
-    return among(kept, twice, "left_anti").drop(fp).unionByName(one.select("row.*"))
+    one = among(kept, twice, "left_semi").groupBy(fp, "doc_id").agg(F.min_by(row, order).alias(chosen))
+    return among(kept, twice, "left_anti").drop(fp).unionByName(one.select(f"{chosen}.*"))
