@@ -96,7 +96,7 @@ _topk("topk_exact_cust_terms", "cust_terms", 100, S.small_sets(100, 2))
 _topk("topk_exact_order_parts", "order_parts", 100, S.small_sets(100, 2))
 _topk("topk_exact_embedding_signs", "embedding_signs", 100, S.small_sets(64))
 _topk("topk_exact_page_words", "page_words", 100, S.bitmap_sets(10))
-_topk("topk_exact_user_day_clicks", "user_day_clicks", 50, None)
+_topk("topk_exact_user_day_clicks", "user_day_clicks", 50, S.small_sets(50))
 _topk("topk_exact_doc_keywords", "doc_keywords", 50, None)
 _topk("topk_exact_conv_keywords", "conv_keywords", 50, None)
 
@@ -401,13 +401,13 @@ def cost_model(spark: SparkSession, sf_dir: str) -> DataFrame:
 # --- releases -------------------------------------------------------------
 
 
-def _single_release_sql(view: str, k: int, k1: int, pool: int, order: str) -> str:
+def _single_release_sql(view: str, k: int, k1: int, pool: int, n: str = "(SELECT count(DISTINCT tid) FROM d)") -> str:
     """The release of a view whose drawn rank is at most 12, at a budget of 1: rank, items, one basis, bins."""
     items_scale = "0.4 / (SELECT lam FROM lam)"
     return f"""WITH {_rank_sql(view, k1, 0.1, S.bitmap_sets(pool))}, lam AS (SELECT j AS lam FROM rank ORDER BY score DESC, j LIMIT 1),
         drawn AS (SELECT item, row_number() OVER (ORDER BY round(n * {items_scale} + {S.gumbel("'42:items:' || item")}, 9) DESC, item) AS r FROM c),
         bas AS (SELECT 0 AS basis_id, row_number() OVER (ORDER BY item) - 1 AS pos, item FROM drawn WHERE r <= (SELECT lam FROM lam)),
-        {S.BINS}, {S.noisy('1', '0.5')}, {S.FUSED} {S.released(k, '(SELECT count(DISTINCT tid) FROM d)', '8.0')}"""
+        {S.BINS}, {S.noisy('1', '0.5')}, {S.FUSED} {S.released(k, n, '8.0')}"""
 
 
 def _release(view: str, k: int, eps: float = 1.0, **options: object) -> Query:
@@ -418,12 +418,14 @@ def _release(view: str, k: int, eps: float = 1.0, **options: object) -> Query:
 
 
 QUERIES["basis_release_line_records"] = _release("line_records", 50)
-ORACLES["basis_release_line_records"] = _single_release_sql("line_records", 50, 60, 13, "")
+ORACLES["basis_release_line_records"] = _single_release_sql("line_records", 50, 60, 13)
 QUERIES["basis_release_doc_words"] = _release("doc_words", 50, single_basis_limit=16)
+ORACLES["basis_release_doc_words"] = _single_release_sql("doc_words", 50, 60, 13)
 QUERIES["basis_release_order_terms"] = _release("order_terms", 50, max_basis_len=7)
 QUERIES["basis_release_cust_terms"] = _release("cust_terms", 100)
 QUERIES["basis_release_user_day_clicks"] = _release("user_day_clicks", 100, max_basis_len=7)
 QUERIES["basis_release_noisy_n"] = _release("line_records", 50, n_mode="noisy")
+ORACLES["basis_release_noisy_n"] = _single_release_sql("line_records", 50, 60, 13, "(SELECT greatest(nc, 1.0) FROM fused WHERE size = 0)")
 
 _RELEASE_CHECKS = ["as_many_as_asked", "inside_candidates", "budget_kept", "pairs_covered", "repartitioning_changes_nothing"]
 
@@ -596,7 +598,7 @@ def repeat_summary(spark: SparkSession, sf_dir: str) -> DataFrame:
 _BASIS_K = 50
 
 
-@query(f"""WITH rel AS ({_single_release_sql('line_records', _BASIS_K, 60, 13, '')}), tru AS ({S.topk('line_records', _BASIS_K, S.bitmap_sets(13))}), al AS ({S.topk('line_records', 3000, S.bitmap_sets(13))})
+@query(f"""WITH rel AS ({_single_release_sql('line_records', _BASIS_K, 60, 13)}), tru AS ({S.topk('line_records', _BASIS_K, S.bitmap_sets(13))}), al AS ({S.topk('line_records', 3000, S.bitmap_sets(13))})
     SELECT round((SELECT count(*) FROM tru ANTI JOIN rel USING (itemset)) / 50.0, 9)::DOUBLE AS fnr, round((SELECT count(*) FROM rel ANTI JOIN tru USING (itemset)) / 50.0, 9)::DOUBLE AS fpr,
     (SELECT round(median(abs(noisy_freq - freq) / freq), 6) FROM rel JOIN al USING (itemset)) AS re""")
 def fnr_re_basis_line_records(spark: SparkSession, sf_dir: str) -> DataFrame:
