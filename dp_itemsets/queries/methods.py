@@ -622,7 +622,7 @@ def toy_bins(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def _errors(measure: str) -> Query:
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-        rows = experiments.run_grid(spark, sf_dir, experiments.WORKLOADS["single_basis_records"], (0.25, 1.0), (1,), (50,), (2, 3))
+        rows = experiments.run_grid(spark, sf_dir, experiments.WORKLOADS["single_basis_records"], (0.25, 1.0), (1,), (50,), (3,))
         return experiments.error_table(rows, measure)
 
     return run

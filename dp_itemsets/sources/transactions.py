@@ -10,6 +10,7 @@ from __future__ import annotations
 from collections.abc import Callable, Iterable, Iterator
 from contextlib import contextmanager
 from dataclasses import dataclass, field
+from typing import Any
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -65,12 +66,18 @@ class Transactions:
             self._kept[key] = make().persist()
         return self._kept[key]
 
+    def kept(self, key: object, make: Callable[[], Any]) -> Any:
+        """A small driver value, made once while remembering."""
+        if self._kept is None:
+            return make()
+        if key not in self._kept:
+            self._kept[key] = make()
+        return self._kept[key]
+
     def size(self) -> int:
         if self._kept is None:
             return self.rows.count()
-        if "n" not in self._kept:
-            self._kept["n"] = (self._tally().where("item is null").first() or {"n": 0})["n"]
-        return self._kept["n"]
+        return self.kept("n", lambda: (self._tally().where("item is null").first() or {"n": 0})["n"])
 
     def _tally(self) -> DataFrame:
         """(item, n): supports, and the number of transactions under a null item, in one pass."""
