@@ -18,12 +18,13 @@ stand beside the chunk at its first place (64-bit digests are compared).
 
 from __future__ import annotations
 
+import hashlib
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
@@ -40,7 +41,7 @@ LONG = 40
 #: Lines by which a removed chunk may grow on a side.
 GROW = 3
 #: Tasks over which the places of a repeated chunk are dealt.
-SALTS = 16
+SALTS = 4
 #: Text bytes that a worker holds when texts and removals meet again.
 REJOINED_BYTES = 4 << 20
 
@@ -79,9 +80,13 @@ def removable(lines: list[bytes], start: int, end: int) -> bool:
     return lines[start].count(b" ") + 1 >= LONG
 
 
-def _digest(chunk: bytes) -> tuple[int, int]:
-    d = np.frombuffer(xxhash.xxh3_128_digest(chunk), ">i8")
-    return int(d[0]), int(d[1])
+def _digest(chunk: bytes) -> bytes:
+    """128 bits, the same as digest_column gives."""
+    return hashlib.md5(chunk, usedforsecurity=False).digest()
+
+
+def digest_column(data: str) -> Column:
+    return F.unhex(F.md5(data))
 
 
 def _beside(lines: list[bytes], start: int, end: int) -> tuple[bytes, bytes]:
@@ -98,7 +103,7 @@ def _text_key(text: bytes) -> int:
 
 
 def _places(docs: DataFrame) -> tuple[DataFrame, DataFrame]:
-    """(bytes, d1, d2, n, doc, key, place, before, after): distinct chunks of a block with their first place; and (d1, d2, doc, key, place) of every chunk."""
+    """(bytes, n, doc, key, place, before, after): distinct chunks of a block with their first place; and (d, doc, key, place) of every chunk."""
 
     def chunks(batch: pa.RecordBatch) -> Iterator[tuple]:
         for doc, text in zip(batch.column("doc_id").to_pylist(), texts(batch.column("text")), strict=True):
@@ -118,13 +123,13 @@ def _places(docs: DataFrame) -> tuple[DataFrame, DataFrame]:
                     old[0] += 1
                     if at < old[1]:
                         old[1:] = at, around
-            rows = [(data, *_digest(data), n, None if at[0] else at[1], at[2], at[3], *_beside(*around)) for data, (n, at, around) in seen.items()]
-            yield out(rows, [pa.binary(), pa.int64(), pa.int64(), pa.int64(), kind, pa.int64(), pa.int32(), pa.binary(), pa.binary()], ["bytes", "d1", "d2", "n", "doc", "key", "place", "before", "after"])
+            rows = [(data, n, None if at[0] else at[1], at[2], at[3], *_beside(*around)) for data, (n, at, around) in seen.items()]
+            yield out(rows, [pa.binary(), pa.int64(), kind, pa.int64(), pa.int32(), pa.binary(), pa.binary()], ["bytes", "n", "doc", "key", "place", "before", "after"])
 
     def every(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in blocks(batches):
-            rows = [(*_digest(data), doc, key, place) for doc, key, place, data, _ in chunks(batch)]
-            yield out(rows, [pa.int64(), pa.int64(), kind, pa.int64(), pa.int32()], ["d1", "d2", "doc", "key", "place"])
+            rows = [(_digest(data), doc, key, place) for doc, key, place, data, _ in chunks(batch)]
+            yield out(rows, [pa.binary(), kind, pa.int64(), pa.int32()], ["d", "doc", "key", "place"])
 
     def out(rows: list, kinds: list, names: list) -> pa.RecordBatch:
         return pa.RecordBatch.from_arrays(list(map(pa.array, zip(*rows, strict=True) if rows else [()] * len(kinds), kinds)), names)
@@ -132,30 +137,30 @@ def _places(docs: DataFrame) -> tuple[DataFrame, DataFrame]:
     kind = pa.int64()
     read = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
     return (
-        read.mapInArrow(distinct, "bytes binary, d1 long, d2 long, n long, doc long, key long, place int, before binary, after binary"),
-        read.mapInArrow(every, "d1 long, d2 long, doc long, key long, place int"),
+        read.mapInArrow(distinct, "bytes binary, n long, doc long, key long, place int, before binary, after binary"),
+        read.mapInArrow(every, "d binary, doc long, key long, place int"),
     )
 
 
 def repeated_chunks(docs: DataFrame) -> DataFrame:
-    """(d1, d2, n, doc, key, place, before, after): chunks that occur at more than one place, byte for byte, with the first place and what stands beside it."""
+    """(d, n, doc, key, place, before, after): chunks that occur at more than one place, byte for byte, with the first place and what stands beside it."""
     first = F.min(F.struct(F.col("doc").isNull().alias("none"), "doc", "key", "place", "before", "after")).alias("first")
     distinct, _ = _places(docs)
-    same = distinct.groupBy("bytes", "d1", "d2").agg(F.sum("n").alias("n"), first)
+    same = distinct.groupBy("bytes").agg(F.sum("n").alias("n"), first)
     # different bytes under one digest are left alone
     return (
-        same.groupBy("d1", "d2").agg(F.count("*").alias("strings"), F.max("n").alias("n"), F.min("first").alias("first"))
+        same.groupBy(digest_column("bytes").alias("d")).agg(F.count("*").alias("strings"), F.max("n").alias("n"), F.min("first").alias("first"))
         .where("strings = 1 and n > 1")
-        .select("d1", "d2", "n", "first.doc", "first.key", "first.place", "first.before", "first.after")
+        .select("d", "n", "first.doc", "first.key", "first.place", "first.before", "first.after")
     )
 
 
 def removals(docs: DataFrame) -> DataFrame:
     """(doc, key, places): chunks to remove, as (place, before, after), for each text that loses any."""
     # places of one chunk are dealt over SALTS tasks; only repeated chunks are copied for that
-    repeated = repeated_chunks(docs).select("d1", "d2", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))).alias("salt"), F.struct("doc", "key", "place").alias("first"), "before", "after")
+    repeated = repeated_chunks(docs).select("d", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))).alias("salt"), F.struct("doc", "key", "place").alias("first"), "before", "after")
     _, every = _places(docs)
-    later = every.withColumn("salt", F.pmod("key", F.lit(SALTS)).cast("int")).join(repeated, ["d1", "d2", "salt"]).where(~F.struct("doc", "key", "place").eqNullSafe(F.col("first")))
+    later = every.withColumn("salt", F.pmod("key", F.lit(SALTS)).cast("int")).join(repeated, ["d", "salt"]).where(~F.struct("doc", "key", "place").eqNullSafe(F.col("first")))
     return later.groupBy("doc", "key").agg(F.sort_array(F.collect_set(F.struct("place", "before", "after"))).alias("places"))
 
 
