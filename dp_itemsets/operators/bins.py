@@ -125,7 +125,7 @@ def named_estimates(sums: DataFrame, bases: BasisSet) -> DataFrame:
     table = sums.sparkSession.createDataFrame([(b, list(items)) for b, items in enumerate(bases)], "basis_id int, names array<string>")
     names = F.filter("names", lambda x, p: F.col("mask").bitwiseAND(F.call_function("shiftleft", F.lit(1), p)) != 0)
     size = F.bit_count("mask").cast("int")
-    return sums.join(F.broadcast(table), "basis_id").select(F.array_join(F.array_sort(names), "|").alias("itemset"), size.alias("size"), "nc", F.pow(F.lit(2.0), F.size("names") - size).alias("v"))
+    return sums.join(F.broadcast(table), "basis_id").select(F.array_join(F.sort_array(names), "|").alias("itemset"), size.alias("size"), "nc", F.pow(F.lit(2.0), F.size("names") - size).alias("v"))
 
 
 def fuse(estimates: DataFrame) -> DataFrame:

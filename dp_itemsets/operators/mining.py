@@ -160,7 +160,7 @@ def fp_growth(tx: Transactions, min_count: int) -> DataFrame:
     """(itemset, size, support) by the distributed pattern-growth of the machine-learning library."""
     n = tx.size()
     model = FPGrowth(itemsCol="items", minSupport=max(min_count - 0.5, 0.5) / max(n, 1)).fit(tx.rows)
-    return model.freqItemsets.select(F.array_join(F.array_sort("items"), "|").alias("itemset"), F.size("items").alias("size"), F.col("freq").alias("support"))
+    return model.freqItemsets.select(F.array_join(F.sort_array("items"), "|").alias("itemset"), F.size("items").alias("size"), F.col("freq").alias("support"))
 
 
 def topk_bitmap(tx: Transactions, items: list[str], k: int) -> DataFrame:
@@ -177,7 +177,7 @@ def topk_bitmap(tx: Transactions, items: list[str], k: int) -> DataFrame:
 def itemset_of(mask: Column, items: list[str]) -> Column:
     """Sorted, joined names of a mask's items."""
     names = F.array(*[F.when(mask.bitwiseAND(F.lit(1 << k)) != 0, F.lit(i)) for k, i in enumerate(items)])
-    return F.array_join(F.array_sort(F.array_compact(names)), "|")
+    return F.array_join(F.sort_array(F.array_compact(names)), "|")
 
 
 def supports(tx: Transactions, sets: list[Itemset]) -> dict[Itemset, int]:

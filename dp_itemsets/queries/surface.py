@@ -199,7 +199,7 @@ _sql("fn_math", "SELECT p_size, round(pow(2, p_size % 10) / (p_size * p_size), 9
     SELECT tid, array_to_string(list_sort(list_intersect(items, ['Brand#1', 'Brand#2', 'Brand#3'])), '|') AS kept, len(list_filter(items, lambda x: NOT list_contains(['Brand#1', 'Brand#2', 'Brand#3'], x)))::INT AS others, list_contains(items, 'Brand#4') AS has4 FROM a""")
 def fn_array(spark: SparkSession, sf_dir: str) -> DataFrame:
     three = F.array(*[F.lit(f"Brand#{i}") for i in (1, 2, 3)])
-    return VIEWS["order_brands"](spark, sf_dir).rows.select("tid", F.array_join(F.array_sort(F.array_intersect("items", three)), "|").alias("kept"), F.size(F.array_except("items", three)).alias("others"), F.array_contains("items", "Brand#4").alias("has4"))
+    return VIEWS["order_brands"](spark, sf_dir).rows.select("tid", F.array_join(F.sort_array(F.array_intersect("items", three)), "|").alias("kept"), F.size(F.array_except("items", three)).alias("others"), F.array_contains("items", "Brand#4").alias("has4"))
 
 
 @query("SELECT m::INT AS mask, array_to_string(list_filter(['a', 'b', 'c'], lambda x, i: (m >> (i - 1)) & 1 = 1), '|') AS itemset FROM range(0, 8) t(m)")

@@ -10,7 +10,7 @@ from .transactions import Transactions
 
 def read_lines(spark: SparkSession, path: str, separator: str = " ") -> Transactions:
     """The format of public itemset corpora.  Lines have no ids, so each gets one; blank lines are empty transactions."""
-    items = F.array_sort(F.array_distinct(F.filter(F.split(F.trim("value"), separator), lambda x: x != "")))
+    items = F.sort_array(F.array_distinct(F.filter(F.split(F.trim("value"), separator), lambda x: x != "")))
     return Transactions(spark.read.text(path).select(F.monotonically_increasing_id().alias("tid"), items.alias("items")))
 
 
@@ -27,7 +27,7 @@ def read_csv(spark: SparkSession, path: str, tid: str = "tid", item: str = "item
 
 def read_json(spark: SparkSession, path: str) -> Transactions:
     rows = spark.read.schema("tid string, items array<string>").json(path)
-    return Transactions(rows.select("tid", F.array_sort(F.array_distinct("items")).alias("items")))
+    return Transactions(rows.select("tid", F.sort_array(F.array_distinct("items")).alias("items")))
 
 
 def write_release(release: DataFrame, path: str, fmt: str = "parquet", partition_by: list[str] | None = None) -> None:

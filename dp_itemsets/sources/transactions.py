@@ -123,5 +123,5 @@ class Transactions:
         kept = F.array_intersect(F.col("items"), F.array(*[F.lit(i) for i in items]))
         return (
             self.rows.select(kept.alias("kept")).groupBy("kept").agg(F.count("*").alias("cnt"))
-            .select(F.array_sort(F.transform("kept", lambda x: places[x])).alias("items"), "cnt")
+            .select(F.sort_array(F.transform("kept", lambda x: places[x])).alias("items"), "cnt")
         )

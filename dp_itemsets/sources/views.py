@@ -40,7 +40,12 @@ def line_records(spark: SparkSession, sf_dir: str) -> Transactions:
     coded += [F.concat(F.lit(f"{tag}="), F.col(c).cast("string")) for tag, c in tags.items()]
     coded.append(F.concat(F.lit("yr="), F.year("l_shipdate").cast("string")))
     tid = F.concat_ws("-", "l_orderkey", "l_linenumber", "l_partkey", "l_suppkey", "l_extendedprice")
-    return Transactions(joined.select(tid.alias("tid"), F.array_sort(F.array_compact(F.array(*coded))).alias("items")), unit="record")
+    return Transactions(joined.select(tid.alias("tid"), F.sort_array(_present(*coded)).alias("items")), unit="record")
+
+
+def _present(*items: Column) -> Column:
+    """Array of the distinct items that aren't null, in generated code: array_compact would run a lambda a value."""
+    return F.array_except(F.array(*items), F.array(F.lit(None).cast("string")))
 
 
 def _words(text: Column) -> Column:
@@ -49,7 +54,7 @@ def _words(text: Column) -> Column:
 
 def doc_words(spark: SparkSession, sf_dir: str) -> Transactions:
     """Lower-cased letter runs of a document."""
-    rows = read(spark, sf_dir, "documents").select(F.col("doc_id").alias("tid"), F.array_sort(F.array_distinct(_words(F.col("text")))).alias("items"))
+    rows = read(spark, sf_dir, "documents").select(F.col("doc_id").alias("tid"), F.sort_array(F.array_distinct(_words(F.col("text")))).alias("items"))
     return Transactions(rows.where(F.size("items") > 0), unit="document")
 
 
@@ -61,7 +66,7 @@ def keywords(text: Column, stop: list[str]) -> Column:
     """Letter runs of three letters or more that are no stop words, less a common suffix."""
     # a set difference hashes the stop words once a text
     kept = F.array_except(F.filter(_words(text), lambda w: F.length(w) >= 3), F.array(*[F.lit(w) for w in stop]))
-    return F.array_sort(F.array_distinct(F.filter(F.transform(kept, lambda w: F.regexp_replace(w, SUFFIX, "")), lambda w: F.length(w) > 0)))
+    return F.sort_array(F.array_distinct(F.filter(F.transform(kept, lambda w: F.regexp_replace(w, SUFFIX, "")), lambda w: F.length(w) > 0)))
 
 
 def doc_keywords(spark: SparkSession, sf_dir: str) -> Transactions:
@@ -114,20 +119,20 @@ def cust_terms(spark: SparkSession, sf_dir: str) -> Transactions:
 def user_day_clicks(spark: SparkSession, sf_dir: str) -> Transactions:
     """Event types and page numbers of a user's day."""
     events = read(spark, sf_dir, "events").select("user_id", F.date_format("ts", "yyyy-MM-dd").alias("day"), "event_type", F.get_json_object("props", "$.k").alias("k"))
-    items = F.array_compact(F.array("event_type", F.when(F.col("k").isNotNull(), F.concat(F.lit("k"), F.col("k")))))
+    items = _present(F.col("event_type"), F.when(F.col("k").isNotNull(), F.concat(F.lit("k"), F.col("k"))))
     return Transactions.from_long(events.select(F.concat_ws("/", "user_id", "day").alias("tid"), F.explode(items).alias("item")), unit="user and day")
 
 
 def page_words(spark: SparkSession, sf_dir: str) -> Transactions:
     """Letter runs of a page without its tags: many words on every page."""
-    rows = read(spark, sf_dir, "pages").select(F.col("page_id").alias("tid"), F.array_sort(F.array_distinct(_words(F.regexp_replace("html", "<[^>]*>", " ")))).alias("items"))
+    rows = read(spark, sf_dir, "pages").select(F.col("page_id").alias("tid"), F.sort_array(F.array_distinct(_words(F.regexp_replace("html", "<[^>]*>", " ")))).alias("items"))
     return Transactions(rows.where(F.size("items") > 0), unit="page")
 
 
 def embedding_signs(spark: SparkSession, sf_dir: str) -> Transactions:
     """Dimensions with a positive value: nearly independent items."""
     signs = F.filter(F.transform("embedding", lambda x, i: F.when(x > 0, F.concat(F.lit("e"), i.cast("string")))), lambda s: s.isNotNull())
-    return Transactions(read(spark, sf_dir, "embeddings").select(F.col("vec_id").alias("tid"), F.array_sort(signs).alias("items")), unit="vector")
+    return Transactions(read(spark, sf_dir, "embeddings").select(F.col("vec_id").alias("tid"), F.sort_array(signs).alias("items")), unit="vector")
 
 
 VIEWS: dict[str, Callable[[SparkSession, str], Transactions]] = {
