@@ -130,6 +130,40 @@ def densest(pairs: list[tuple[int, int]], most: int) -> tuple[int, int]:
     return best
 
 
+def _starts(words: list[bytes], size: int, step: int, first: int, last: int, need: Counter, least: float) -> Iterator[int]:
+    """Starts of windows of ``size`` words, ``step`` apart, that share at least ``least`` words with the template."""
+    for k in range(first, last, step):
+        held = Counter(w for w in words[k : k + size] if w in need)
+        if sum(min(n, held[w]) for w, n in need.items()) >= least:
+            yield k
+
+
+def _best_span(words: list[bytes], template: list[bytes], need: Counter, least: float, reach: int, name: str) -> tuple[str, float, int, int] | None:
+    """The best covered finding of at most ``reach`` words, the first of equals.
+
+    Every span of that size lies in a tile of twice the size, one starting at
+    each multiple of it; tiles whose shared words can't reach the coverage hold
+    none.  Where a template stands in a tile several times, none of its words is
+    unique, so a tile without a finding is aligned in windows of one and a half
+    times and of just the template's size.
+    """
+    found, size = None, len(template)
+    for tile in _starts(words, 2 * reach, reach, 0, len(words), need, least):
+        for width in (2 * reach, size + size // 2, size):
+            step = reach if width == 2 * reach else max(1, size // 8)
+            for low in _starts(words, width, step, tile, min(tile + reach, len(words)), need, least):
+                pairs = align(words[low : low + width], template)
+                first, last = densest(pairs, reach)
+                share = (last - first) / size
+                if last - first >= least and (found is None or share > found[1]):
+                    found = (name, share, low + pairs[first][0], low + pairs[last - 1][0] + 1)
+                if found and found[1] == 1:
+                    return found
+            if found and found[2] >= tile:
+                break
+    return found
+
+
 def scan(words: list[bytes], templates: list[tuple[str, list[bytes], Counter]], coverage: float = COVERAGE, stretch: float = STRETCH) -> list[tuple[str, float, int, int]]:
     """(template, coverage, start, end) of each finding, the best covered first, then the longer template."""
     distinct, out = set(words), []
@@ -141,16 +175,7 @@ def scan(words: list[bytes], templates: list[tuple[str, list[bytes], Counter]],
         counts = Counter(words) if counts is None else counts
         if sum(min(n, counts[w]) for w, n in need.items()) < least:
             continue
-        # unique words are rare in a long text, so each neighbourhood of a template's rarest word is aligned by itself
-        rarest = min(need, key=lambda w: (counts[w] or len(words) + 1, w))
-        found, reach = None, int(stretch * len(template))
-        for k in (k for k, w in enumerate(words) if w == rarest):
-            low = max(0, k - reach)
-            pairs = align(words[low : k + reach], template)
-            first, last = densest(pairs, reach)
-            share = (last - first) / len(template)
-            if share >= coverage and (found is None or share > found[1]):
-                found = (name, share, low + pairs[first][0], low + pairs[last - 1][0] + 1)
+        found = _best_span(words, template, need, least, int(stretch * len(template)), name)
         if found:
             out.append(found)
     size = {name: len(t) for name, t, _ in templates}

@@ -251,6 +251,15 @@ def test_licenses_found_whole_and_changed(spark):
     assert got[5]["license"] is None
 
 
+def test_licenses_repeated_and_scattered(spark):
+    mit, line = licenses.TEMPLATES["MIT/text"], licenses.TEMPLATES["MIT/statement"]
+    changed = mit.replace("sublicense", "relicense")
+    texts = {1: mit + "\n" + mit, 2: "x y z " + "\n".join([line] * 4), 3: "a sublicense far away " + "filler word " * 900 + changed, 4: ("word " * 90 + mit + "\n") * 6}
+    got = by_id(licenses.scan_licenses(spark.createDataFrame(list(texts.items()), "doc_id int, text string")))
+    assert [(got[k]["license"], got[k]["coverage"]) for k in (1, 2, 4)] == [("MIT/text", 1.0), ("MIT/statement", 1.0), ("MIT/text", 1.0)]
+    assert got[3]["license"] == "MIT/text" and got[3]["coverage"] > 0.98
+
+
 def test_licenses_match_plain_search(spark, small):
     docs = spark.read.parquet(f"{small}/documents.parquet")
     got, statements = by_id(licenses.scan_licenses(docs)), [t for n, t in licenses.TEMPLATES.items() if n.endswith("statement")]
