@@ -14,6 +14,7 @@ labelled rows; scoring runs on the executors over whole texts.
 from __future__ import annotations
 
 import re
+from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass
 from zlib import crc32
@@ -53,18 +54,15 @@ _ODD_END = re.compile(rb"[!-/:-@\[-`{-~]{2}(?=[\x09-\x0d ]|\Z)")
 _LONE = re.compile(rb"(?<![^\x09-\x0d ])[!-/:-@\[-`{-~]+(?![^\x09-\x0d ])")
 
 
-def statistics(text: bytes, words: list[bytes], distinct: int) -> list[float]:
+def statistics(text: bytes, words: list[bytes], counted: Counter) -> list[float]:
     """Values between 0 and 1, as listed in STATISTICS."""
     n, w = max(len(text), 1), max(len(words), 1)
     counts = np.bincount(np.frombuffer(text, np.uint8), minlength=256)
     rows = text.split(b"\n")
     same = sum(a == b for a, b in zip(words, words[1:], strict=False))
-    most = 0.0
-    if words:
-        head = words[:: max(1, len(words) // 64)]
-        most = max(words.count(x) for x in set(head)) / w if len(words) < 4096 else max(head.count(x) for x in set(head)) / len(head)
+    most = max(counted.values(), default=0) / w
     return [
-        np.log1p(len(text)) / 16, np.log1p(len(words)) / 14, min(len(text) / w / 24, 1), distinct / w,
+        np.log1p(len(text)) / 16, np.log1p(len(words)) / 14, min(len(text) / w / 24, 1), len(counted) / w,
         counts[_UPPER].sum() / n, counts[_DIGIT].sum() / n * 4, min(counts[_SYMBOL].sum() / n * 3, 1), counts[_SPACE].sum() / n * 2,
         counts[128:].sum() / n, np.log1p(len(rows)) / 10, 1 - len(set(rows)) / len(rows),
         len(_ODD_END.findall(text)) / w, len(_LONE.findall(text)) / w, most, same / w,
@@ -74,10 +72,10 @@ def statistics(text: bytes, words: list[bytes], distinct: int) -> list[float]:
 def features(text: bytes, metadata: list[float | None]) -> tuple[np.ndarray, np.ndarray]:
     """Indices and values; metadata: one value between 0 and 1 for each column, or None."""
     words = space_words(text)
-    distinct = set(words)
-    hashed = np.fromiter(map(crc32, distinct), np.int64, len(distinct)) & (WORDS - 1)
+    counted = Counter(words)
+    hashed = np.fromiter(map(crc32, counted), np.int64, len(counted)) & (WORDS - 1)
     hashed.sort()
-    stats = [*statistics(text, words, len(distinct)), *metadata]
+    stats = [*statistics(text, words, counted), *metadata]
     steps = [WORDS + k * (STEPS + 1) + (STEPS if v is None else min(int(v * STEPS), STEPS - 1)) for k, v in enumerate(stats)]
     values = np.empty(hashed.size + len(steps), np.float32)
     values[: hashed.size] = 1 / np.sqrt(max(hashed.size, 1))
