@@ -3,9 +3,10 @@
 Lines are hashed, and a rolling hash over the last few line hashes chooses
 where a chunk ends, so that boundaries follow the content and shift with it: a
 line put in or taken out moves only the boundaries near it.  A line of ``LONG``
-words is a passage of its own and always makes a chunk by itself.  Chunks of
-several lines, and such long lines, that occur more than once anywhere are
-removed except at their first place, ordered by doc_id and place in the text.
+words always makes a chunk by itself, for a passage of two lines has one.
+Chunks of several lines that occur more than once anywhere are removed except
+at their first place, ordered by doc_id and place in the text; so are such long
+lines where they and what they grow by (below) make a passage.
 
 Chunks are compared byte by byte: the global count groups by the chunk's bytes,
 and a digest shared by different bytes is set aside, so that a digest stands
@@ -36,8 +37,10 @@ SPAN = 2
 MEAN = 3
 #: Most lines in a chunk.
 MOST = 32
-#: Words from which a single line is a chunk that can be removed.
-LONG = 40
+#: A passage holds more words than this.
+PASSAGE = 50
+#: Words from which a line is a chunk by itself: a passage of two lines has one such line.
+LONG = PASSAGE // 2 + 1
 #: Lines by which a removed chunk may grow on a side.
 GROW = 3
 #: Tasks over which the places of a repeated chunk are dealt.
@@ -167,10 +170,10 @@ def removals(docs: DataFrame) -> DataFrame:
 def _without(text: bytes, places: list[dict]) -> tuple[bytes, int, int, int]:
     """The text without those chunks and what they grow by; lines before and after, chunks removed."""
     lines = text.split(b"\n")
-    bounds, keep = chunk_bounds(lines), [True] * len(lines)
+    bounds, keep, removed = chunk_bounds(lines), [True] * len(lines), 0
     for chunk in places:
-        a, b = bounds[chunk["place"]]
-        before, after = chunk["before"], chunk["after"]
+        start, end = bounds[chunk["place"]]
+        a, b, before, after = start, end, chunk["before"], chunk["after"]
         for k in range(0, len(before), 8):
             if not a or _line(lines[a - 1]) != before[k : k + 8]:
                 break
@@ -179,9 +182,11 @@ def _without(text: bytes, places: list[dict]) -> tuple[bytes, int, int, int]:
             if b == len(lines) or _line(lines[b]) != after[k : k + 8]:
                 break
             b += 1
-        keep[a:b] = [False] * (b - a)
+        if end - start > 1 or sum(len(x.split()) for x in lines[a:b]) > PASSAGE:
+            keep[a:b] = [False] * (b - a)
+            removed += 1
     kept = [line for line, stays in zip(lines, keep, strict=True) if stays]
-    return b"\n".join(kept), len(lines), len(kept), len(places)
+    return b"\n".join(kept), len(lines), len(kept), removed
 
 
 def _joined(docs: DataFrame, places: str) -> DataFrame:

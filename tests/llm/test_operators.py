@@ -496,6 +496,7 @@ def brute_lines(rows):
             data = b"\n".join(ls[a:b])
             if lines.removable(ls, a, b) and first[data][:3] != (doc, text, place):
                 fl, fa, fb = first[data][3:]
+                single = b - a == 1
                 for k in range(1, lines.GROW + 1):
                     if a and fa - k >= 0 and ls[a - 1] == fl[fa - k]:
                         a -= 1
@@ -506,7 +507,8 @@ def brute_lines(rows):
                         b += 1
                     else:
                         break
-                keep[a:b] = [False] * (b - a)
+                if not single or len(b" ".join(ls[a:b]).split()) > 50:
+                    keep[a:b] = [False] * (b - a)
         out[doc, text] = None if text is None else b"\n".join(x for x, k in zip(ls, keep, strict=True) if k).decode()
     return [(doc, out[doc, text]) for doc, text in multiplicity.elements()]
 
@@ -532,6 +534,17 @@ def test_line_dedup_awkward(spark):
     assert lines.dedup_lines(empty(spark)).count() == 0
 
 
+def test_line_dedup_passages_of_two_lines_and_clean_lines(spark):
+    def words(name, n):
+        return " ".join(f"{name}{k}" for k in range(n))
+
+    passage = words("a", 27) + "\n" + words("b", 24)
+    texts = [f"own {k}\n{passage}\nend {k}" for k in range(3)] + [f"{words(f'c{k}x', 30)}\n{words('shared', 45)}\n{words(f'd{k}x', 30)}" for k in range(3)]
+    got = {r["doc_id"]: r["text"] for r in lines.dedup_lines(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")).collect()}
+    assert [got[k] for k in (0, 3, 4, 5)] == [texts[k] for k in (0, 3, 4, 5)]
+    assert got[1] == "own 1\nend 1" and got[2] == "own 2\nend 2"
+
+
 def test_boundaries_shift_with_the_content():
     draw = random.Random(9)
     body = [f"line {draw.randrange(10**9)}".encode() for _ in range(300)]
