@@ -156,7 +156,8 @@ def _rows(batch: pa.RecordBatch, metadata: int) -> tuple[np.ndarray, np.ndarray,
 def train(docs: DataFrame, labels: DataFrame, metadata: list[str], sample_rows: int = SAMPLE_ROWS, label: str = "quality") -> FactorisationMachine:
     """Fits on at most ``sample_rows`` labelled ids (the smallest hashes of their id); the sample's features come to the driver.
 
-    An id with several labels counts by their mean.  Without any label the
+    An id with several labels counts by their mean, one with several rows by
+    the smallest text (null first).  Without any label the
     machine scores one half everywhere.
     """
     chosen = (
@@ -164,8 +165,10 @@ def train(docs: DataFrame, labels: DataFrame, metadata: list[str], sample_rows:
         .orderBy(F.xxhash64("doc_id"), "doc_id").limit(sample_rows)
     )
     rows = docs.select("doc_id", "text", *_metadata(metadata))
-    joined = rows.join(F.broadcast(chosen), "doc_id")  # bounded by sample_rows
     n = len(metadata)
+    # bounded by sample_rows; an id may repeat in any number of rows, so one is chosen before anything is collected
+    one = F.min(F.struct("text", *(f"m{k}" for k in range(n)))).alias("row")
+    joined = rows.join(F.broadcast(chosen), "doc_id").groupBy("doc_id", "y").agg(one).select("doc_id", "y", "row.*")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in blocks(batches, limit=SCORED_BYTES):
@@ -176,12 +179,9 @@ def train(docs: DataFrame, labels: DataFrame, metadata: list[str], sample_rows:
     kind = docs.schema["doc_id"].dataType.simpleString()
     got = joined.mapInArrow(run, f"doc_id {kind}, y double, index array<int>, value array<float>").toArrow().combine_chunks()
     model = FactorisationMachine.fresh(size_of(n))
-    # repeated rows of one id count once
-    ids = got.column("doc_id").to_numpy()
-    _, first = np.unique(ids, return_index=True)
-    if not first.size:
+    if not got.num_rows:
         return model
-    got = got.take(pa.array(first))
+    got = got.sort_by("doc_id")
     index, value = got.column("index").combine_chunks(), got.column("value").combine_chunks()
     return model.fit(index.flatten().to_numpy(), value.flatten().to_numpy(), index.offsets.to_numpy()[:-1].astype(np.int64), (got.column("y").to_numpy() >= 0.5).astype(np.float32))
 

@@ -133,6 +133,15 @@ def test_quality_awkward(spark):
     assert kept.columns == frame.columns and kept.count() == sum(r["predicted"] for r in got)
 
 
+def test_a_repeated_id_counts_once_in_training(spark, docs):
+    labels = docs.selectExpr("doc_id", "cast(doc_id % 2 AS int) AS quality")
+    repeated = docs.unionByName(docs.where("doc_id % 5 = 0")).unionByName(docs.limit(1).crossJoin(spark.range(500)).drop("id"))
+    a, b = (quality.train(x, labels, ["n_chars"]) for x in (docs, repeated))
+    assert np.array_equal(a.weights, b.weights) and a.bias == b.bias
+    a, b = (lm.train(x, 40) for x in (docs, repeated))
+    assert a.head == b.head and all(np.array_equal(a.gru.p[k], b.gru.p[k]) for k in a.gru.p)
+
+
 def test_quality_never_reads_identity(spark, small):
     docs, labels = spark.read.parquet(f"{small}/documents.parquet"), spark.read.parquet(f"{small}/labels.parquet")
     model = quality.train(docs, labels.where(~quality.held_out()), ["n_chars"])
