@@ -18,7 +18,7 @@ the sorted group, which is linear in the group.
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -237,15 +237,22 @@ def connected(links: DataFrame) -> DataFrame:
     return edges.select(F.col("u").alias("node"), F.col("v").alias("root"))
 
 
-def _classes(prints: DataFrame, threshold: int) -> DataFrame:
-    """(fp, component_id, head): for each distinct fingerprint its component's smallest doc_id and that document's fingerprint."""
-    distinct = checkpointed(prints.groupBy("fp").agg(F.min("doc_id").alias("least")))
-    roots = connected(fingerprint_links(distinct, threshold))
+def named_classes(distinct: DataFrame, roots: DataFrame) -> DataFrame:
+    """(fp, component_id, head): for each distinct fingerprint (fp, least) its component's smallest doc_id and that document's fingerprint."""
     members = distinct.join(roots, distinct["fp"] == roots["node"], "left").select("fp", "least", F.coalesce("root", "fp").alias("root"))
     named = members.groupBy("root").agg(F.min(F.struct(F.col("least").isNull().alias("none"), "least", "fp")).alias("head"))
     return members.join(named, "root").select("fp", F.col("head.least").alias("component_id"), F.col("head.fp").alias("head"))
 
 
+def _distinct(prints: DataFrame) -> DataFrame:
+    return checkpointed(prints.groupBy("fp").agg(F.min("doc_id").alias("least")))
+
+
+def _classes(prints: DataFrame, threshold: int) -> DataFrame:
+    distinct = _distinct(prints)
+    return named_classes(distinct, connected(fingerprint_links(distinct, threshold)))
+
+
 def components(docs: DataFrame, size: int = SHINGLE, threshold: int = THRESHOLD) -> DataFrame:
     """One row per row of ``docs``: doc_id, fingerprint (16 hex digits) and component_id, the smallest doc_id reachable by links.
 
@@ -264,16 +271,23 @@ def keep_first(docs: DataFrame, size: int = SHINGLE, threshold: int = THRESHOLD)
     Where several rows share that id and fingerprint, the one with the smallest
     text stays (null first, then by the other columns' JSON).
     """
+    return keep_heads(
+        docs, checkpointed(fingerprint(docs, size)), lambda found: fingerprints_of(found, size).view(np.int64),
+        lambda distinct: connected(fingerprint_links(distinct, threshold)),
+    )
+
+
+def keep_heads(docs: DataFrame, prints: DataFrame, marks_of: Callable[[list[bytes]], np.ndarray], roots_of: Callable[[DataFrame], DataFrame]) -> DataFrame:
+    """``keep_first`` for any mark of a text: prints holds (doc_id, fp), marks_of gives fp again, roots_of the (node, root) of linked ones."""
     fp, head_fp, head_doc, chosen = free_names(docs.columns, "fp", "head_fp", "head_doc", "row")
     schema = T.StructType([*docs.schema.fields, T.StructField(fp, T.LongType())])
 
     def marked(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in blocks(batches):
-            prints = fingerprints_of(texts(batch.column("text")), size)
-            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(prints.view(np.int64))], schema.names)
+            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(marks_of(texts(batch.column("text"))))], schema.names)
 
-    prints = checkpointed(fingerprint(docs, size))
-    heads = _classes(prints, threshold).where("fp = head").select(F.col("fp").alias(head_fp), F.col("component_id").alias(head_doc))
+    distinct = _distinct(prints)
+    heads = named_classes(distinct, roots_of(distinct)).where("fp = head").select(F.col("fp").alias(head_fp), F.col("component_id").alias(head_doc))
     # rows of a head that repeat: few, or none
     repeated = prints.groupBy("doc_id", "fp").agg(F.count("*").alias("n")).where("n > 1").select(F.col("fp").alias(head_fp), F.col("doc_id").alias(head_doc))
     twice = checkpointed(repeated.join(heads, repeated[head_fp].eqNullSafe(heads[head_fp]) & repeated[head_doc].eqNullSafe(heads[head_doc]), "left_semi"))
