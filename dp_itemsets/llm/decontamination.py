@@ -83,22 +83,25 @@ class Shard:
             found = found[listed[at] == want] if listed.size else found[:0]
         return found
 
-    def near(self, terms: np.ndarray, slop: int, frequencies: np.ndarray) -> list[tuple[int, int]]:
-        """Spans (start, end) around each posting of the rarest term that have all terms within ``slop`` words of it."""
-        by_rarity = np.argsort(frequencies[terms], kind="stable")
-        anchors = self.postings(terms[by_rarity[0]])
+    def near(self, terms: list[int], slop: int) -> list[tuple[int, int]]:
+        """Spans (start, end) around each posting of the first term that have all terms within ``slop`` words of it, in its document."""
+        anchors = self.postings(terms[0]).astype(np.int64)
         doc = np.searchsorted(self.starts, anchors, "right") - 1
+        first, last = self.starts[doc], self.starts[doc] + self.n_words[doc] - 1
         low, high, alive = anchors.copy(), anchors.copy(), np.ones(anchors.size, bool)
-        for k in by_rarity[1:]:
-            listed = self.postings(terms[k])
+        for term in terms[1:]:
+            listed = self.postings(term).astype(np.int64)
             if not listed.size:
                 return []
             at = np.searchsorted(listed, anchors)
             left, right = listed[np.maximum(at - 1, 0)], listed[np.minimum(at, listed.size - 1)]
-            near = np.where(np.abs(right - anchors) <= np.abs(anchors - left), right, left)
-            inside = (near >= self.starts[doc]) & (near < self.starts[doc] + self.n_words[doc])
-            alive &= inside & (np.abs(near - anchors) <= slop)
-            low, high = np.minimum(low, near), np.maximum(high, near)
+            # each side must lie in the anchor's document before the nearer one is chosen
+            far = np.int64(1) << 40
+            back = np.where((at > 0) & (left >= first), anchors - left, far)
+            ahead = np.where((at < listed.size) & (right <= last), right - anchors, far)
+            near = np.where(ahead <= back, right, left)
+            alive &= np.minimum(ahead, back) <= slop
+            low, high = np.where(alive, np.minimum(low, near), low), np.where(alive, np.maximum(high, near), high)
         return [(int(a), int(b) + 1) for a, b in zip(low[alive], high[alive], strict=True)]
 
 
@@ -231,15 +234,29 @@ def search(index: DataFrame, queries: list[Queries]) -> DataFrame:
 
 
 def proximity(index: DataFrame, queries: dict[str, str], slop: int) -> DataFrame:
-    """(query, doc_id, start, end): word spans in which all terms of a query lie within ``slop`` words of its rarest term."""
-    wanted = {name: alnum_words(text.encode()) for name, text in queries.items()}
+    """(query, doc_id, start, end): word spans in which all terms of a query lie within ``slop`` words of its rarest term.
+
+    The rarest is that of the whole index (of equal ones the first in the
+    query), so that results don't depend on which documents share a shard.
+    """
+    wanted = {name: list(dict.fromkeys(alnum_words(text.encode()))) for name, text in queries.items()}
+    every = sorted({w for words in wanted.values() for w in words})
+
+    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for _, shard in _shards(batches):
+            frequencies = shard.frequencies()
+            found = [(k, int(frequencies[shard.terms[w]])) for k, w in enumerate(every) if w in shard.terms]
+            yield pa.RecordBatch.from_arrays([pa.array([x[i] for x in found], pa.int64()) for i in range(2)], ["term", "n"])
+
+    totals = {every[r["term"]]: r["n"] for r in index.mapInArrow(count, "term long, n long").groupBy("term").agg(F.sum("n").alias("n")).collect()}  # a row for each term of the queries
+    ordered = {name: sorted(words, key=lambda w: totals.get(w, 0)) for name, words in wanted.items()}
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for ids, shard in _shards(batches):
-            rows, frequencies = [], shard.frequencies()
-            for name, words in wanted.items():
+            rows = []
+            for name, words in ordered.items():
                 if words and all(w in shard.terms for w in words):
-                    for a, b in shard.near(np.array([shard.terms[w] for w in dict.fromkeys(words)]), slop, frequencies):
+                    for a, b in shard.near([shard.terms[w] for w in words], slop):
                         doc = int(np.searchsorted(shard.starts, a, "right")) - 1
                         rows.append((name, ids[doc].as_py(), a - int(shard.starts[doc]), b - int(shard.starts[doc])))
             cols = list(zip(*rows, strict=True)) or [()] * 4
