@@ -5,16 +5,16 @@ where a chunk ends, so that boundaries follow the content and shift with it: a
 line put in or taken out moves only the boundaries near it.  A line of ``LONG``
 words always makes a chunk by itself, for a passage of two lines has one.
 Chunks of several lines that occur more than once anywhere are removed except
-at their first place, ordered by doc_id and place in the text; so are such long
-lines where they and what they grow by (below) make a passage.
+at their first place, ordered by doc_id and place in the text.
 
-Chunks are compared byte by byte: the global count groups by the chunk's bytes,
-and a digest shared by different bytes is set aside, so that a digest stands
-for exactly one byte string when places are looked up with it.
+Passages are found without regard to what stands around them: every shortest
+run of lines of over ``PASSAGE`` words, from each line on and back from each
+line, is a chunk as well.  A repeated passage of over ``PASSAGE`` words consists
+of such runs: a line has enough words before it, after it, or lies in the run
+from the passage's first line.  So no length or number of lines hides one, and
+all its lines with words go.
 
-A passage rarely begins and ends where chunks do.  A removed chunk therefore
-grows by up to ``GROW`` lines on either side, while they are the lines that
-stand beside the chunk at its first place (64-bit digests are compared).
+Chunks are told apart by 128-bit BLAKE2 digests of their lines' digests.
 """
 
 from __future__ import annotations
@@ -25,7 +25,7 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
@@ -39,10 +39,10 @@ MEAN = 3
 MOST = 32
 #: A passage holds more words than this.
 PASSAGE = 50
-#: Words from which a line is a chunk by itself: a passage of two lines has one such line.
+#: Words from which a line is a chunk of its own and ends the one before.
 LONG = PASSAGE // 2 + 1
-#: Lines by which a removed chunk may grow on a side.
-GROW = 3
+#: Lines by which a removed chunk grows on a side: none, as runs cover passages whole.
+GROW = 0
 #: Tasks over which the places of a repeated chunk are dealt.
 SALTS = 4
 #: Text bytes that a worker holds when texts and removals meet again.
@@ -52,8 +52,24 @@ _BASE = 0x9E3779B97F4A7C15
 _MASK = (1 << 64) - 1
 
 
+def passage_runs(lines: list[bytes]) -> set[tuple[int, int]]:
+    """[start, end) of the shortest runs of over ``PASSAGE`` words from each line with words, and back from each."""
+    counts = np.array([len(x.split()) for x in lines], np.int64)
+    at = np.flatnonzero(counts)
+    after = np.cumsum(counts[at])
+    before = after - counts[at]
+    end = np.searchsorted(after, before + PASSAGE, "right")
+    start = np.searchsorted(before, after - PASSAGE, "left") - 1
+    out = {(int(a), int(at[k]) + 1) for a, k in zip(at, end, strict=True) if k < at.size}
+    return out | {(int(at[k]), int(b) + 1) for b, k in zip(at, start, strict=True) if k >= 0}
+
+
 def chunk_bounds(lines: list[bytes]) -> list[tuple[int, int]]:
-    """Content-defined [start, end) of the chunks of a text's lines."""
+    """[start, end) of a text's content-defined chunks and of its runs of a passage's size, in order."""
+    return sorted({*_content_bounds(lines), *passage_runs(lines)})
+
+
+def _content_bounds(lines: list[bytes]) -> list[tuple[int, int]]:
     out, start, rolling, hashes = [], 0, 0, []
     drop = pow(_BASE, SPAN, 1 << 64)
     for i, line in enumerate(lines):
@@ -77,28 +93,14 @@ def chunk_bounds(lines: list[bytes]) -> list[tuple[int, int]]:
 
 
 def removable(lines: list[bytes], start: int, end: int) -> bool:
-    """Chunks of several lines with some text, and single long lines."""
+    """Chunks of several lines with some text, and single lines that are passages."""
     if end - start > 1:
         return any(lines[start:end])
-    return lines[start].count(b" ") + 1 >= LONG
-
-
-def _digest(chunk: bytes) -> bytes:
-    """128 bits, the same as digest_column gives."""
-    return hashlib.md5(chunk, usedforsecurity=False).digest()
+    return len(lines[start].split()) > PASSAGE
 
 
-def digest_column(data: str) -> Column:
-    return F.unhex(F.md5(data))
-
-
-def _beside(lines: list[bytes], start: int, end: int) -> tuple[bytes, bytes]:
-    """Digests, 8 bytes each, of the lines before a chunk, nearest first, and after it."""
-    return b"".join(map(_line, lines[max(0, start - GROW) : start][::-1])), b"".join(map(_line, lines[end : end + GROW]))
-
-
-def _line(line: bytes) -> bytes:
-    return xxhash.xxh64_digest(line)
+def _digest(data: bytes) -> bytes:
+    return hashlib.blake2b(data, digest_size=16).digest()
 
 
 def _text_key(text: bytes) -> int:
@@ -106,32 +108,32 @@ def _text_key(text: bytes) -> int:
 
 
 def _places(docs: DataFrame) -> tuple[DataFrame, DataFrame]:
-    """(bytes, n, doc, key, place, before, after): distinct chunks of a block with their first place; and (d, doc, key, place) of every chunk."""
+    """(d, n, doc, key, place): distinct chunks of a block with their first place; and (d, doc, key, place) of every chunk."""
 
     def chunks(batch: pa.RecordBatch) -> Iterator[tuple]:
         for doc, text in zip(batch.column("doc_id").to_pylist(), texts(batch.column("text")), strict=True):
             key, lines = _text_key(text), text.split(b"\n")
+            digests = [_digest(x) for x in lines]
             for place, (a, b) in enumerate(chunk_bounds(lines)):
                 if removable(lines, a, b):
-                    yield doc, key, place, b"\n".join(lines[a:b]), (lines, a, b)
+                    yield doc, key, place, _digest(b"".join(digests[a:b]))
 
     def distinct(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in blocks(batches):
             seen: dict[bytes, list] = {}
-            for doc, key, place, data, around in chunks(batch):
+            for doc, key, place, d in chunks(batch):
                 at = (doc is None, doc or 0, key, place)
-                if (old := seen.get(data)) is None:
-                    seen[data] = [1, at, around]
+                if (old := seen.get(d)) is None:
+                    seen[d] = [1, at]
                 else:
                     old[0] += 1
-                    if at < old[1]:
-                        old[1:] = at, around
-            rows = [(data, n, None if at[0] else at[1], at[2], at[3], *_beside(*around)) for data, (n, at, around) in seen.items()]
-            yield out(rows, [pa.binary(), pa.int64(), kind, pa.int64(), pa.int32(), pa.binary(), pa.binary()], ["bytes", "n", "doc", "key", "place", "before", "after"])
+                    old[1] = min(at, old[1])
+            rows = [(d, n, None if at[0] else at[1], at[2], at[3]) for d, (n, at) in seen.items()]
+            yield out(rows, [pa.binary(), pa.int64(), kind, pa.int64(), pa.int32()], ["d", "n", "doc", "key", "place"])
 
     def every(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in blocks(batches):
-            rows = [(_digest(data), doc, key, place) for doc, key, place, data, _ in chunks(batch)]
+            rows = [(d, doc, key, place) for doc, key, place, d in chunks(batch)]
             yield out(rows, [pa.binary(), kind, pa.int64(), pa.int32()], ["d", "doc", "key", "place"])
 
     def out(rows: list, kinds: list, names: list) -> pa.RecordBatch:
@@ -140,53 +142,36 @@ def _places(docs: DataFrame) -> tuple[DataFrame, DataFrame]:
     kind = pa.int64()
     read = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
     return (
-        read.mapInArrow(distinct, "bytes binary, n long, doc long, key long, place int, before binary, after binary"),
+        read.mapInArrow(distinct, "d binary, n long, doc long, key long, place int"),
         read.mapInArrow(every, "d binary, doc long, key long, place int"),
     )
 
 
 def repeated_chunks(docs: DataFrame) -> DataFrame:
-    """(d, n, doc, key, place, before, after): chunks that occur at more than one place, byte for byte, with the first place and what stands beside it."""
-    first = F.min(F.struct(F.col("doc").isNull().alias("none"), "doc", "key", "place", "before", "after")).alias("first")
+    """(d, n, doc, key, place): chunks that occur at more than one place, with the first place."""
+    first = F.min(F.struct(F.col("doc").isNull().alias("none"), "doc", "key", "place")).alias("first")
     distinct, _ = _places(docs)
-    same = distinct.groupBy("bytes").agg(F.sum("n").alias("n"), first)
-    # different bytes under one digest are left alone
-    return (
-        same.groupBy(digest_column("bytes").alias("d")).agg(F.count("*").alias("strings"), F.max("n").alias("n"), F.min("first").alias("first"))
-        .where("strings = 1 and n > 1")
-        .select("d", "n", "first.doc", "first.key", "first.place", "first.before", "first.after")
-    )
+    return distinct.groupBy("d").agg(F.sum("n").alias("n"), first).where("n > 1").select("d", "n", "first.doc", "first.key", "first.place")
 
 
 def removals(docs: DataFrame) -> DataFrame:
-    """(doc, key, places): chunks to remove, as (place, before, after), for each text that loses any."""
+    """(doc, key, places): chunks to remove, for each text that loses any."""
     # places of one chunk are dealt over SALTS tasks; only repeated chunks are copied for that
-    repeated = repeated_chunks(docs).select("d", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))).alias("salt"), F.struct("doc", "key", "place").alias("first"), "before", "after")
+    repeated = repeated_chunks(docs).select("d", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))).alias("salt"), F.struct("doc", "key", "place").alias("first"))
     _, every = _places(docs)
     later = every.withColumn("salt", F.pmod("key", F.lit(SALTS)).cast("int")).join(repeated, ["d", "salt"]).where(~F.struct("doc", "key", "place").eqNullSafe(F.col("first")))
-    return later.groupBy("doc", "key").agg(F.sort_array(F.collect_set(F.struct("place", "before", "after"))).alias("places"))
+    return later.groupBy("doc", "key").agg(F.sort_array(F.collect_set("place")).alias("places"))
 
 
-def _without(text: bytes, places: list[dict]) -> tuple[bytes, int, int, int]:
-    """The text without those chunks and what they grow by; lines before and after, chunks removed."""
+def _without(text: bytes, places: list[int]) -> tuple[bytes, int, int, int]:
+    """The text without those chunks; lines before and after, chunks removed."""
     lines = text.split(b"\n")
-    bounds, keep, removed = chunk_bounds(lines), [True] * len(lines), 0
-    for chunk in places:
-        start, end = bounds[chunk["place"]]
-        a, b, before, after = start, end, chunk["before"], chunk["after"]
-        for k in range(0, len(before), 8):
-            if not a or _line(lines[a - 1]) != before[k : k + 8]:
-                break
-            a -= 1
-        for k in range(0, len(after), 8):
-            if b == len(lines) or _line(lines[b]) != after[k : k + 8]:
-                break
-            b += 1
-        if end - start > 1 or sum(len(x.split()) for x in lines[a:b]) > PASSAGE:
-            keep[a:b] = [False] * (b - a)
-            removed += 1
+    bounds, keep = chunk_bounds(lines), [True] * len(lines)
+    for place in places:
+        a, b = bounds[place]
+        keep[a:b] = [False] * (b - a)
     kept = [line for line, stays in zip(lines, keep, strict=True) if stays]
-    return b"\n".join(kept), len(lines), len(kept), removed
+    return b"\n".join(kept), len(lines), len(kept), len(places)
 
 
 def _joined(docs: DataFrame, places: str) -> DataFrame:
