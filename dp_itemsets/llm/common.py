@@ -99,13 +99,16 @@ _checkpoint_lock = threading.Lock()
 def shared_folder(spark: SparkSession) -> str:
     """The reliable checkpoint folder of the session, which all executors reach.
 
-    A cluster names it in ``spark.checkpoint.dir``.  Only where none is set
-    (tests, a laptop) a temporary one is made.
+    A cluster names it in ``spark.checkpoint.dir``.  Only a local session that
+    names none gets a temporary one; anywhere else that is an error.
     """
     sc = spark.sparkContext
     with _checkpoint_lock:
         if not sc._jsc.sc().getCheckpointDir().isDefined():
-            sc.setCheckpointDir(sc.getConf().get("spark.checkpoint.dir") or tempfile.mkdtemp(prefix="llm-checkpoint-"))
+            named = sc.getConf().get("spark.checkpoint.dir")
+            if not named and not sc.master.startswith("local"):
+                raise ValueError("spark.checkpoint.dir must name a folder that all executors reach")
+            sc.setCheckpointDir(named or tempfile.mkdtemp(prefix="llm-checkpoint-"))
     return sc._jsc.sc().getCheckpointDir().get()
 
 
@@ -115,6 +118,15 @@ def checkpointed(df: DataFrame) -> DataFrame:
     return df.checkpoint()
 
 
+def drop_checkpoint(df: DataFrame) -> None:
+    """Deletes what ``checkpointed`` wrote for a frame that nothing reads any more."""
+    plan = df._jdf.queryExecution().logical()
+    if plan.getClass().getSimpleName() == "LogicalRDD":
+        path = plan.rdd().getCheckpointFile()
+        if path.isDefined():
+            remove_folder(df.sparkSession, path.get())
+
+
 def remove_folder(spark: SparkSession, path: str) -> None:
     jvm, conf = spark.sparkContext._jvm, spark.sparkContext._jsc.hadoopConfiguration()
     target = jvm.org.apache.hadoop.fs.Path(path)

@@ -4,7 +4,7 @@ Each language has a probability for every piece of one fixed public
 vocabulary.  A word's probability under a language is the sum over all ways to
 cut it into pieces, computed by a forward pass; a text's is the product over
 its words.  Piece probabilities are learned by expectation maximisation from
-word counts of a bounded sample, with the same lattice and a backward pass.
+all words of a sample of documents, with the same lattice and a backward pass.
 
 Words are lower-cased and begin with the vocabulary's word mark.  A character
 outside the vocabulary is spelled in byte pieces.
@@ -18,22 +18,28 @@ from dataclasses import dataclass, field
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import blocks, doc_hash
+from .common import blocks, checkpointed, doc_hash, drop_checkpoint
 
 MARK = "▁"
 #: Most different languages that can be learned.
 MOST_LANGUAGES = 10_000
 #: Expected number of sampled documents for a language.
 SAMPLE_DOCS = 3_000
-#: Most frequent sampled words of a language that training takes.
-SAMPLE_WORDS = 30_000
-#: Longest word that goes through the batched lattice; longer ones are scored one by one.
+#: Rounds of expectation maximisation, and what is added to each expected count.
+ROUNDS, SMOOTH = 4, 0.02
+#: Characters of the stretches that training cuts long words into.
+STRETCH = 48
+#: Longest word that is scored side by side with others; longer ones take the same sum one by one.
 LONGEST = 48
-#: Words whose probabilities a worker keeps.
-KEPT = 500_000
+#: Log-probability below which a sum of products may have lost terms.
+UNDERFLOW = -600.0
+#: Bytes of probabilities of seen words that a worker keeps, and of a batch of lattices.
+KEPT_BYTES, LATTICE_BYTES = 64 << 20, 64 << 20
+#: Bytes of words whose lattices training holds at a time.
+WORD_BYTES = 1 << 20
 
 
 @dataclass
@@ -78,7 +84,7 @@ class Vocabulary:
 
 
 class Lattice:
-    """The edges of many words, grouped by where they end and by where they begin."""
+    """The edges of many words, grouped by where they end and by where they begin; all passes work on logarithms."""
 
     def __init__(self, words: list[str], vocabulary: Vocabulary):
         lengths, where, start, end, piece, extra = [], [], [], [], [], {}
@@ -94,22 +100,23 @@ class Lattice:
         self.width = int(self.lengths.max()) + 1 if lengths else 1
         self.where, self.start, self.end, self.piece = (np.array(x, np.int64) for x in (where, start, end, piece))
         self.extra = list(extra)
-        by = np.lexsort((self.where, self.end))
-        self.groups = np.split(by, np.flatnonzero(np.diff(self.end[by])) + 1) if by.size else []
+
+    def _groups(self, place: np.ndarray) -> list[np.ndarray]:
+        by = np.lexsort((self.where, place))
+        return np.split(by, np.flatnonzero(np.diff(place[by])) + 1) if by.size else []
 
     def weights(self, table: np.ndarray) -> np.ndarray:
-        """Probability of each edge; table: (pieces, languages)."""
-        spelled = np.array([table[list(p)].prod(axis=0) for p in self.extra]).reshape(-1, table.shape[1])
+        """Log-probability of each edge; table: (pieces, languages) of logarithms."""
+        spelled = np.array([table[list(p)].sum(axis=0) for p in self.extra]).reshape(-1, table.shape[1])
         return np.concatenate([table, spelled])[self.piece]
 
     def forward(self, weight: np.ndarray) -> np.ndarray:
-        """(words, places, languages): summed probability of all segmentations up to a place."""
+        """(words, places, languages): log of the summed probability of all segmentations up to a place."""
         alpha = np.zeros((self.lengths.size, self.width, weight.shape[1]))
-        alpha[:, 0] = 1
-        for g in self.groups:
+        for g in self._groups(self.end):
             own = self.where[g]
             first = np.flatnonzero(np.r_[True, np.diff(own) > 0])
-            alpha[own[first], self.end[g[0]]] = np.add.reduceat(alpha[own, self.start[g]] * weight[g], first, axis=0)
+            alpha[own[first], self.end[g[0]]] = np.logaddexp.reduceat(alpha[own, self.start[g]] + weight[g], first, axis=0)
         return alpha
 
     def totals(self, alpha: np.ndarray) -> np.ndarray:
@@ -119,14 +126,11 @@ class Lattice:
         """Expected piece counts for one language; weight: (edges, 1)."""
         alpha = self.forward(weight)
         beta = np.zeros(alpha.shape[:2])
-        beta[np.arange(self.lengths.size), self.lengths] = 1
-        by = np.lexsort((self.where, -self.start))
-        for g in np.split(by, np.flatnonzero(np.diff(self.start[by])) + 1):
+        for g in self._groups(-self.start):
             own = self.where[g]
             first = np.flatnonzero(np.r_[True, np.diff(own) > 0])
-            beta[own[first], self.start[g[0]]] = np.add.reduceat(beta[own, self.end[g]] * weight[g, 0], first)
-        total = np.maximum(self.totals(alpha)[:, 0], 1e-300)
-        share = alpha[self.where, self.start, 0] * weight[:, 0] * beta[self.where, self.end] / total[self.where] * counts[self.where]
+            beta[own[first], self.start[g[0]]] = np.logaddexp.reduceat(beta[own, self.end[g]] + weight[g, 0], first)
+        share = np.exp(alpha[self.where, self.start, 0] + weight[:, 0] + beta[self.where, self.end] - self.totals(alpha)[self.where, 0]) * counts[self.where]
         out = np.bincount(self.piece, share, size + len(self.extra))
         for k, pieces in enumerate(self.extra):
             np.add.at(out, list(pieces), out[size + k])
@@ -185,61 +189,88 @@ def _sized(hashes: np.ndarray, size: np.ndarray | int) -> np.ndarray:
     return mixed ^ (mixed >> np.uint64(29)) ^ (mixed << np.uint64(32))
 
 
-def long_word(word: str, vocabulary: Vocabulary, table: np.ndarray) -> np.ndarray:
-    """Log-probabilities of one word of any length; the forward pass is rescaled as it goes."""
-    ring: dict[int, np.ndarray] = {0: np.ones(table.shape[1])}
-    shift, get = np.zeros(table.shape[1]), vocabulary.pieces.get
+def long_word(word: str, vocabulary: Vocabulary, log_table: np.ndarray) -> np.ndarray:
+    """Log-probabilities of one word of any length; only the last places of the forward pass are held."""
+    ring: dict[int, np.ndarray] = {0: np.zeros(log_table.shape[1])}
+    get = vocabulary.pieces.get
     for b in range(1, len(word) + 1):
         one = get(word[b - 1])
-        total = ring[b - 1] * (table[one] if one is not None else table[vocabulary.spelled(word[b - 1])].prod(axis=0))
+        ways = [ring[b - 1] + (log_table[one] if one is not None else log_table[vocabulary.spelled(word[b - 1])].sum(axis=0))]
         for a in range(max(0, b - vocabulary.longest), b - 1):
             piece = get(word[a:b])
             if piece is not None:
-                total = total + ring[a] * table[piece]
-        ring[b] = total
+                ways.append(ring[a] + log_table[piece])
+        ring[b] = ways[0] if len(ways) == 1 else np.logaddexp.reduce(ways)
         ring.pop(b - vocabulary.longest - 1, None)
-        if total.max() < 1e-200:
-            scale = np.maximum(total, 1e-290)
-            shift += np.log(scale)
-            ring = {k: v / scale for k, v in ring.items()}
-    return np.log(np.maximum(ring[len(word)], 1e-300)) + shift
+    return ring[len(word)]
 
 
 @dataclass
 class LanguageModel:
+    """table: (pieces, languages) of probabilities, each column a distribution without zeros."""
+
     vocabulary: Vocabulary
     languages: list[str]
     table: np.ndarray
 
     @classmethod
-    def fit(cls, vocabulary: Vocabulary, counts: dict[str, Counter], rounds: int = 4, smooth: float = 0.02) -> LanguageModel:
-        """Expectation maximisation for each language from its word counts."""
-        languages, columns, size = sorted(counts), [], len(vocabulary.pieces)
-        for language in languages:
-            words = [w for w in sorted(counts[language]) if len(w) < LONGEST]
-            n = np.array([counts[language][w] for w in words], float)
-            lattices = [(Lattice([MARK + w for w in words[k : k + 5000]], vocabulary), n[k : k + 5000]) for k in range(0, len(words), 5000)]
-            p = np.full(size, 1 / size)
-            for _ in range(rounds):
-                got = np.full(size, smooth)
-                for lattice, c in lattices:
-                    got += lattice.expected(lattice.weights(p[:, None]), c, size)
-                p = got / got.sum()
-            columns.append(p)
-        return cls(vocabulary, languages, np.array(columns).T.reshape(size, len(languages)))
+    def uniform(cls, vocabulary: Vocabulary, languages: list[str]) -> LanguageModel:
+        size = len(vocabulary.pieces)
+        return cls(vocabulary, languages, np.full((size, len(languages)), 1 / size))
+
+    def expected(self, language: int, words: dict[str, int]) -> np.ndarray:
+        """Expected piece counts of a language's words.
+
+        A word of ``STRETCH`` characters or more is cut into stretches, so that
+        the lattice of a clause without spaces stays small; no text is left out.
+        """
+        size, log_p = len(self.vocabulary.pieces), np.log(self.table[:, language : language + 1])
+        counted: Counter = Counter()
+        for w, n in words.items():
+            marked = MARK + w
+            for k in range(0, len(marked), STRETCH):
+                counted[marked[k : k + STRETCH]] += n
+        got, listed = np.zeros(size), sorted(counted)
+        for k in range(0, len(listed), 4000):
+            part = listed[k : k + 4000]
+            lattice = Lattice(part, self.vocabulary)
+            got += lattice.expected(lattice.weights(log_p), np.array([counted[w] for w in part], float), size)
+        return got
+
+    def updated(self, expected: np.ndarray, smooth: float = SMOOTH) -> LanguageModel:
+        """The next model of expectation maximisation; expected: (pieces, languages)."""
+        got = expected + smooth
+        return LanguageModel(self.vocabulary, self.languages, got / got.sum(axis=0))
+
+    @classmethod
+    def fit(cls, vocabulary: Vocabulary, counts: dict[str, Counter], rounds: int = ROUNDS) -> LanguageModel:
+        """Expectation maximisation for each language from its word counts, on one machine."""
+        model = cls.uniform(vocabulary, sorted(counts))
+        for _ in range(rounds):
+            columns = [model.expected(k, counts[name]) for k, name in enumerate(model.languages)]
+            model = model.updated(np.array(columns).T.reshape(len(vocabulary.pieces), len(columns)))
+        return model
 
     def words(self, words: list[str], index: PieceIndex) -> np.ndarray:
-        """(words, languages) log-probabilities: a forward pass over words of like lengths, side by side."""
-        out = np.zeros((len(words), len(self.languages)))
+        """(words, languages) log-probabilities: a forward pass over words of like lengths, side by side.
+
+        Words whose probability leaves the range of a double under any language
+        take the same sum again in logarithms, so that none has a floor.
+        """
+        n_languages = len(self.languages)
+        out = np.zeros((len(words), n_languages))
         sizes = np.array([len(w) for w in words])
         order = np.argsort(sizes, kind="stable")
-        for start in range(0, len(words), 2048):
-            part = order[start : start + 2048]
+        step = max(16, min(2048, LATTICE_BYTES // (8 * (LONGEST + 1) * max(n_languages, 1))))
+        for start in range(0, len(words), step):
+            part = order[start : start + step]
             part = part[sizes[part] < LONGEST]
             if part.size:
                 out[part] = self._forward([MARK + words[k] for k in part], sizes[part] + 1, index)
-        for k in np.flatnonzero(sizes >= LONGEST):
-            out[k] = long_word(MARK + words[k], self.vocabulary, self.table)
+        log_table = None
+        for k in np.flatnonzero((sizes >= LONGEST) | (out < UNDERFLOW).any(axis=1)):
+            log_table = np.log(self.table) if log_table is None else log_table
+            out[k] = long_word(MARK + words[k], self.vocabulary, log_table)
         return out
 
     def _forward(self, marked: list[str], sizes: np.ndarray, index: PieceIndex) -> np.ndarray:
@@ -260,7 +291,8 @@ class LanguageModel:
         for end in range(1, width + 1):
             for size in range(1, min(end, len(found)) + 1):
                 alpha[end] += alpha[end - size] * table[found[size - 1][:, end - size]]
-        return np.log(np.maximum(alpha[sizes, np.arange(len(marked))], 1e-300))
+        with np.errstate(divide="ignore"):
+            return np.log(alpha[sizes, np.arange(len(marked))])
 
 
 class Scorer:
@@ -268,17 +300,18 @@ class Scorer:
 
     def __init__(self, model: LanguageModel):
         self.model, self.known, self.index = model, {}, PieceIndex(model.vocabulary)
-        self.rows = np.zeros((1 << 16, len(model.languages)))
+        self.rows = np.zeros((1 << 12, len(model.languages)))
+        self.most = max(1 << 12, KEPT_BYTES // (8 * max(len(model.languages), 1)))
 
     def texts(self, batch: list[str]) -> np.ndarray:
         counted = [Counter(t.lower().split()) for t in batch]
         fresh = list({w for c in counted for w in c}.difference(self.known))
-        if len(self.known) + len(fresh) > KEPT:
+        if len(self.known) + len(fresh) > self.most:
             self.known.clear()
             fresh = list({w for c in counted for w in c})
         base = len(self.known)
         if base + len(fresh) > len(self.rows):
-            self.rows = np.concatenate([self.rows[:base], np.zeros((len(fresh) + (1 << 16), self.rows.shape[1]))])
+            self.rows = np.concatenate([self.rows[:base], np.zeros((len(fresh) + base // 2, self.rows.shape[1]))])
         self.rows[base : base + len(fresh)] = self.model.words(fresh, self.index)
         self.known.update(zip(fresh, range(base, base + len(fresh)), strict=True))
         get, out = self.known.__getitem__, np.zeros((len(batch), self.rows.shape[1]))
@@ -309,8 +342,8 @@ def sampled(docs: DataFrame, sample_docs: int = SAMPLE_DOCS) -> DataFrame:
     return docs.join(F.broadcast(sizes), "lang").where(place < share).drop("n")  # a row for each language
 
 
-def train(docs: DataFrame, vocabulary: str, sample_docs: int = SAMPLE_DOCS, sample_words: int = SAMPLE_WORDS) -> LanguageModel:
-    """Learns from (doc_id, text, lang) rows; rows without text or lang are left out."""
+def sampled_words(docs: DataFrame, sample_docs: int = SAMPLE_DOCS) -> DataFrame:
+    """(lang, word, n) of the sampled documents' whole texts; rows without text or lang are left out."""
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in blocks(batches):
@@ -322,12 +355,42 @@ def train(docs: DataFrame, vocabulary: str, sample_docs: int = SAMPLE_DOCS, samp
             yield pa.RecordBatch.from_arrays(list(map(pa.array, cols, (pa.string(), pa.string(), pa.int64()))), ["lang", "word", "n"])
 
     known = sampled(docs.select("doc_id", "text", "lang").where("lang is not null and text is not null"), sample_docs)
-    words = known.select("lang", "text").mapInArrow(count, "lang string, word string, n long").groupBy("lang", "word").agg(F.sum("n").alias("n"))
-    top = words.withColumn("r", F.row_number().over(Window.partitionBy("lang").orderBy(F.desc("n"), "word"))).where(F.col("r") <= sample_words)
-    counts: dict[str, Counter] = {}
-    for lang, word, n in top.select("lang", "word", "n").toLocalIterator():
-        counts.setdefault(lang, Counter())[word] = n
-    return LanguageModel.fit(Vocabulary.load(vocabulary), counts)
+    return known.select("lang", "text").mapInArrow(count, "lang string, word string, n long").groupBy("lang", "word").agg(F.sum("n").alias("n"))
+
+
+def train(docs: DataFrame, vocabulary: str, sample_docs: int = SAMPLE_DOCS, rounds: int = ROUNDS) -> LanguageModel:
+    """Learns from (doc_id, text, lang) rows, all words of the sampled documents.
+
+    Each round's expectations are taken where the words are; what comes back is
+    a number for each piece of each language.
+    """
+    words = checkpointed(sampled_words(docs, sample_docs))
+    languages = [r["lang"] for r in words.select("lang").distinct().orderBy("lang").collect()]  # MOST_LANGUAGES at most
+    model = LanguageModel.uniform(Vocabulary.load(vocabulary), languages)
+    for _ in range(rounds if languages else 0):
+        sent = docs.sparkSession.sparkContext.broadcast(model)
+
+        def expect(batches: Iterator[pa.RecordBatch], sent=sent) -> Iterator[pa.RecordBatch]:
+            model, held = sent.value, {}
+            number = {name: k for k, name in enumerate(model.languages)}
+            for batch in blocks(batches, "word", WORD_BYTES):
+                by: dict[str, dict[str, int]] = {}
+                for lang, w, n in zip(*(c.to_pylist() for c in batch.columns), strict=True):
+                    by.setdefault(lang, {})[w] = n
+                for lang, counts in by.items():
+                    got = model.expected(number[lang], counts)
+                    held[lang] = held[lang] + got if lang in held else got
+            for lang, got in held.items():
+                at = np.flatnonzero(got)
+                yield pa.RecordBatch.from_arrays([pa.array([number[lang]] * at.size, pa.int32()), pa.array(at, pa.int32()), pa.array(got[at])], ["lang", "piece", "n"])
+
+        got = words.mapInArrow(expect, "lang int, piece int, n double").groupBy("lang", "piece").agg(F.sum("n").alias("n")).toArrow()
+        table = np.zeros((len(model.vocabulary.pieces), len(languages)))
+        table[got.column("piece").to_numpy(), got.column("lang").to_numpy()] = got.column("n").to_numpy()
+        model = model.updated(table)
+        sent.unpersist()
+    drop_checkpoint(words)
+    return model
 
 
 _scorers: dict[int, Scorer] = {}

@@ -179,13 +179,55 @@ def test_forward_sums_all_segmentations(languages):
     for k, w in enumerate(words):
         want = np.log(every_cut(language.MARK + w, languages.vocabulary, languages.table))
         assert got[k] == pytest.approx(want)
-        assert language.long_word(language.MARK + w, languages.vocabulary, languages.table) == pytest.approx(want)
+        assert language.long_word(language.MARK + w, languages.vocabulary, np.log(languages.table)) == pytest.approx(want)
     assert np.isfinite(languages.words(["x" * 5000], index)).all()
 
 
+@pytest.mark.parametrize("n", [20, 30, 40, 47, 48, 60])
+def test_words_outside_the_vocabulary_have_no_floor(languages, n):
+    """Characters that no piece holds have one segmentation, so the sum is a product; it must come out whole in every language."""
+    char = "\U00010330"
+    assert not any(char in p for p in languages.vocabulary.pieces)
+    logs = np.log(languages.table)
+    want = logs[languages.vocabulary.pieces[language.MARK]] + n * logs[languages.vocabulary.spelled(char)].sum(axis=0)
+    got = languages.words([char * n, "the"], language.PieceIndex(languages.vocabulary))
+    assert got[0] == pytest.approx(want) and abs(got[0, 0] - got[0, 1]) > 1e-3
+
+
+def test_forward_agrees_across_lengths(languages):
+    draw, index = random.Random(1), language.PieceIndex(languages.vocabulary)
+    words = ["".join(draw.choice("thenatiofdru日\U00010330") for _ in range(n)) for n in (5, 19, 33, 46, 47, 48, 49, 70)]
+    got = languages.words(words, index)
+    for k, w in enumerate(words):
+        lattice = language.Lattice([language.MARK + w], languages.vocabulary)
+        assert got[k] == pytest.approx(lattice.totals(lattice.forward(lattice.weights(np.log(languages.table))))[0])
+
+
+def test_a_language_without_spaces_learns_from_its_clauses(spark):
+    draw = random.Random(3)
+    rows = [(k, "".join(draw.choice(letters) for _ in range(300)), lang) for k in range(40) for lang, letters in (("zz", "日本語文章"), ("yy", "한국어글자"))]
+    frame = spark.createDataFrame([(k, t, lang) for k, (_, t, lang) in enumerate(rows)], "doc_id long, text string, lang string")
+    got = language.identify_languages(frame, catalog.vocabulary_path()).join(frame, "doc_id").where("held_out").collect()
+    assert got and all(r["lang_pred"] == r["lang"] for r in got)
+
+
+def test_training_on_the_cluster_equals_one_machine(spark, docs):
+    words = language.sampled_words(docs, 10**9).collect()
+    counts = {}
+    for r in words:
+        counts.setdefault(r["lang"], Counter())[r["word"]] = r["n"]
+    vocabulary = language.Vocabulary.load(catalog.vocabulary_path())
+    a, b = language.LanguageModel.fit(vocabulary, counts, 2), language.train(docs.repartition(3), catalog.vocabulary_path(), 10**9, 2)
+    assert a.languages == b.languages and np.allclose(a.table, b.table)
+    plain = Counter()
+    for r in docs.collect():
+        plain.update((r["lang"], w) for w in r["text"].lower().split())
+    assert plain == Counter({(r["lang"], r["word"]): r["n"] for r in words})
+
+
 def test_expected_counts_add_up(languages):
     lattice = language.Lattice([language.MARK + "the", language.MARK + "nation"], languages.vocabulary)
-    got = lattice.expected(lattice.weights(languages.table[:, :1]), np.array([2.0, 1.0]), len(languages.vocabulary.pieces))
+    got = lattice.expected(lattice.weights(np.log(languages.table[:, :1])), np.array([2.0, 1.0]), len(languages.vocabulary.pieces))
     assert 3 <= got.sum() <= 2 * 4 + 7  # between one and all characters a word
 
 
@@ -347,7 +389,6 @@ def check_packed(rows, texts, window=1024):
     from tokenizers import Tokenizer
 
     slow = Tokenizer.from_file(catalog.tokenizer_path())
-    slow.encode_special_tokens = True
     pieces = sorted((r["doc_id"] is None, r["doc_id"] or 0, r["doc_tokens"], r["ids_crc32"], r["start"], r["length"]) for r in rows)
     want = []
     for doc, text in texts:
@@ -374,11 +415,15 @@ def test_packing_is_whole_and_tight(spark, docs):
 
 
 def test_packing_awkward(spark):
-    frame = awkward(spark, (None, "", "a", "a", LONG[:30_000], "<|endoftext|>", "日本" * 800, " " * 5000))
+    frame = awkward(spark, (None, "", "a", "a", LONG[:30_000], "<|endoftext|>", "a <|endoftext|> b", "日本" * 800, " " * 5000))
     check_packed(packing.pack_documents(frame, catalog.tokenizer_path()).collect(), [(r["doc_id"], r["text"]) for r in frame.collect()])
     assert packing.pack_documents(empty(spark), catalog.tokenizer_path()).count() == 0
 
 
+def test_added_tokens_keep_their_id():
+    assert packing._encoder(catalog.tokenizer_path())("a <|endoftext|> b") == [64, 220, 50256, 275]
+
+
 def test_fullest_is_optimal():
     draw = random.Random(2)
     for _ in range(200):
