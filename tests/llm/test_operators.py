@@ -95,10 +95,29 @@ def test_index_blocks_stored_and_proximity(spark, tmp_path):
     one = decontamination.search(index, decontamination.query_blocks(benchmark))
     many = decontamination.search(index, decontamination.query_blocks(benchmark, limit=1))
     assert sorted(map(tuple, one.drop("item_ids").collect())) == sorted(map(tuple, many.drop("item_ids").collect()))
+    for cut in (1, 12):
+        passes = decontamination.find_contamination(frame, benchmark, limit=cut)
+        assert passes.columns == decontamination.RESULT
+        assert sorted(map(tuple, passes.drop("item_ids").collect())) == sorted(map(tuple, one.drop("item_ids").collect()))
     pushed = decontamination.find_contamination(frame, benchmark).drop("item_ids")
     assert sorted(map(tuple, pushed.collect())) == sorted(map(tuple, one.drop("item_ids").collect()))
 
 
+def test_decontamination_in_passes_matches_brute_force(spark, docs, tiny):
+    benchmark = spark.read.parquet(f"{tiny}/benchmark.parquet").unionByName(spark.createDataFrame([(None, "the a of"), (77, None)], "item_id long, text string"))
+    rows = docs.where("length(text) < 3000")
+    rows = rows.unionByName(rows.limit(3)).unionByName(rows.limit(1).withColumn("text", F.lit(None).cast("string")))
+    items = [(r["item_id"], r["text"]) for r in benchmark.collect() if r["item_id"] is not None]
+    want = sorted((r["doc_id"], *judged(r["text"], items)) for r in rows.collect())
+    assert any(w[2] for w in want)
+    got = decontamination.find_contamination(rows, benchmark, limit=3000)
+    assert sorted(tuple(r)[:6] for r in got.collect()) == want
+    for limit in (3000, 10**9):
+        kept = decontamination.remove_contaminated(rows, benchmark, limit=limit)
+        assert kept.columns == rows.columns
+        assert sorted(r["doc_id"] for r in kept.collect()) == sorted(w[0] for w in want if not w[5])
+
+
 # --- quality
 
 
