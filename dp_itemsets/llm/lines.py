@@ -14,7 +14,9 @@ of such runs: a line has enough words before it, after it, or lies in the run
 from the passage's first line.  So no length or number of lines hides one, and
 all its lines with words go.
 
-Chunks are told apart by 128-bit BLAKE2 digests of their lines' digests.
+Chunks are found by 128-bit BLAKE2 digests of their lines' digests.  Before any
+is removed, the bytes of the lines of all repeated chunks are compared with
+those of the same digest; a chunk with a digest that other bytes share stays.
 """
 
 from __future__ import annotations
@@ -24,12 +26,13 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import blocks, free_name, free_names, texts
+from .common import blocks, checkpointed, free_names, texts
 
 #: Lines under the rolling hash.
 SPAN = 2
@@ -41,8 +44,6 @@ MOST = 32
 PASSAGE = 50
 #: Words from which a line is a chunk of its own and ends the one before.
 LONG = PASSAGE // 2 + 1
-#: Lines by which a removed chunk grows on a side: none, as runs cover passages whole.
-GROW = 0
 #: Tasks over which the places of a repeated chunk are dealt.
 SALTS = 4
 #: Text bytes that a worker holds when texts and removals meet again.
@@ -108,76 +109,127 @@ def _text_key(text: bytes) -> int:
 
 
 def _places(docs: DataFrame) -> tuple[DataFrame, DataFrame]:
-    """(d, n, doc, key, place): distinct chunks of a block with their first place; and (d, doc, key, place) of every chunk."""
+    """(d, n, doc, key, span): distinct chunks of a block with their first place; and (d, doc, key, span) of every chunk.
+
+    A span is start << 32 | end in lines, so that spans are in the order of their places.
+    """
 
     def chunks(batch: pa.RecordBatch) -> Iterator[tuple]:
         for doc, text in zip(batch.column("doc_id").to_pylist(), texts(batch.column("text")), strict=True):
             key, lines = _text_key(text), text.split(b"\n")
             digests = [_digest(x) for x in lines]
-            for place, (a, b) in enumerate(chunk_bounds(lines)):
+            for a, b in chunk_bounds(lines):
                 if removable(lines, a, b):
-                    yield doc, key, place, _digest(b"".join(digests[a:b]))
+                    yield doc, key, a << 32 | b, _digest(b"".join(digests[a:b]))
 
     def distinct(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in blocks(batches):
             seen: dict[bytes, list] = {}
-            for doc, key, place, d in chunks(batch):
-                at = (doc is None, doc or 0, key, place)
+            for doc, key, span, d in chunks(batch):
+                at = (doc is None, doc if doc is not None else nothing, key, span)
                 if (old := seen.get(d)) is None:
                     seen[d] = [1, at]
                 else:
                     old[0] += 1
                     old[1] = min(at, old[1])
             rows = [(d, n, None if at[0] else at[1], at[2], at[3]) for d, (n, at) in seen.items()]
-            yield out(rows, [pa.binary(), pa.int64(), kind, pa.int64(), pa.int32()], ["d", "n", "doc", "key", "place"])
+            yield out(rows, [pa.binary(), pa.int64(), batch.column("doc_id").type, pa.int64(), pa.int64()], ["d", "n", "doc", "key", "span"])
 
     def every(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in blocks(batches):
-            rows = [(d, doc, key, place) for doc, key, place, d in chunks(batch)]
-            yield out(rows, [pa.binary(), kind, pa.int64(), pa.int32()], ["d", "doc", "key", "place"])
+            rows = [(d, doc, key, span) for doc, key, span, d in chunks(batch)]
+            yield out(rows, [pa.binary(), batch.column("doc_id").type, pa.int64(), pa.int64()], ["d", "doc", "key", "span"])
 
     def out(rows: list, kinds: list, names: list) -> pa.RecordBatch:
         return pa.RecordBatch.from_arrays(list(map(pa.array, zip(*rows, strict=True) if rows else [()] * len(kinds), kinds)), names)
 
-    kind = pa.int64()
-    read = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
+    kind = docs.schema["doc_id"].dataType.simpleString()
+    nothing = "" if kind == "string" else 0
+    read = docs.select("doc_id", "text")
     return (
-        read.mapInArrow(distinct, "d binary, n long, doc long, key long, place int"),
-        read.mapInArrow(every, "d binary, doc long, key long, place int"),
+        read.mapInArrow(distinct, f"d binary, n long, doc {kind}, key long, span long"),
+        read.mapInArrow(every, f"d binary, doc {kind}, key long, span long"),
     )
 
 
 def repeated_chunks(docs: DataFrame) -> DataFrame:
-    """(d, n, doc, key, place): chunks that occur at more than one place, with the first place."""
-    first = F.min(F.struct(F.col("doc").isNull().alias("none"), "doc", "key", "place")).alias("first")
+    """(d, n, doc, key, span): chunks that occur at more than one place, with the first place."""
+    first = F.min(F.struct(F.col("doc").isNull().alias("none"), "doc", "key", "span")).alias("first")
     distinct, _ = _places(docs)
-    return distinct.groupBy("d").agg(F.sum("n").alias("n"), first).where("n > 1").select("d", "n", "first.doc", "first.key", "first.place")
+    return distinct.groupBy("d").agg(F.sum("n").alias("n"), first).where("n > 1").select("d", "n", "first.doc", "first.key", "first.span")
 
 
 def removals(docs: DataFrame) -> DataFrame:
-    """(doc, key, places): chunks to remove, for each text that loses any."""
+    """(doc, key, gone, first): for each text with repeated chunks the spans to remove, and the spans that are first places."""
+    repeated = checkpointed(repeated_chunks(docs))
     # places of one chunk are dealt over SALTS tasks; only repeated chunks are copied for that
-    repeated = repeated_chunks(docs).select("d", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))).alias("salt"), F.struct("doc", "key", "place").alias("first"))
+    dealt = repeated.select("d", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))).alias("salt"), F.struct("doc", "key", "span").alias("first"))
     _, every = _places(docs)
-    later = every.withColumn("salt", F.pmod("key", F.lit(SALTS)).cast("int")).join(repeated, ["d", "salt"]).where(~F.struct("doc", "key", "place").eqNullSafe(F.col("first")))
-    return later.groupBy("doc", "key").agg(F.sort_array(F.collect_set("place")).alias("places"))
+    later = every.withColumn("salt", F.pmod("key", F.lit(SALTS)).cast("int")).join(dealt, ["d", "salt"]).where(~F.struct("doc", "key", "span").eqNullSafe(F.col("first")))
+    both = later.select("doc", "key", "span", F.lit(True).alias("later")).unionByName(repeated.select("doc", "key", "span", F.lit(False).alias("later")))
+    spans = lambda which: F.sort_array(F.collect_set(F.when(F.col("later") == which, F.col("span"))))
+    return both.groupBy("doc", "key").agg(spans(True).alias("gone"), spans(False).alias("first"))
+
+
+def _spans(packed: list[int] | None) -> list[tuple[int, int]]:
+    return [(x >> 32, x & 0xFFFFFFFF) for x in packed or ()]
+
 
+def _conflicts(joined: DataFrame, spans: tuple[str, str]) -> DataFrame:
+    """(d): digests that different bytes share, among the lines and chunks that removal compares.
 
-def _without(text: bytes, places: list[int]) -> tuple[bytes, int, int, int]:
-    """The text without those chunks; lines before and after, chunks removed."""
+    The bytes of every line of a repeated chunk, and the digests of the lines of
+    every such chunk, meet those of equal digest once a block, and neighbours in
+    the sorted stream are compared.
+    """
+
+    def involved(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in blocks(batches, limit=REJOINED_BYTES):
+            found: dict[bytes, bytes] = {}
+            places = [[*(x or ()), *(y or ())] for x, y in zip(*(batch.column(c).to_pylist() for c in spans), strict=True)]
+            some = [k for k, x in enumerate(places) if x]
+            for k, text in zip(some, texts(batch.column("text").take(pa.array(some, pa.int64()))), strict=True):
+                lines, digests = text.split(b"\n"), {}
+                for a, b in _spans(places[k]):
+                    for i in range(a, b):
+                        if i not in digests:
+                            digests[i] = _digest(lines[i])
+                            found[digests[i]] = lines[i]
+                    whole = b"".join(digests[i] for i in range(a, b))
+                    found[_digest(whole)] = whole
+            yield pa.RecordBatch.from_arrays([pa.array(found.keys(), pa.binary()), pa.array(found.values(), pa.binary())], ["d", "data"])
+
+    def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        before, differ = (None, None), set()
+        for batch in batches:
+            for now in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
+                if now[0] == before[0] and now[1] != before[1]:
+                    differ.add(now[0])
+                before = now
+        yield pa.RecordBatch.from_arrays([pa.array(sorted(differ), pa.binary())], ["d"])
+
+    return joined.mapInArrow(involved, "d binary, data binary").repartition("d").sortWithinPartitions("d").mapInArrow(compare, "d binary")
+
+
+def _without(text: bytes, spans: list[tuple[int, int]], conflicts: set[bytes]) -> tuple[bytes, int, int, int]:
+    """The text without those chunks; lines before and after, chunks removed.  A chunk whose digest, or a line's, stands for other bytes too stays."""
     lines = text.split(b"\n")
-    bounds, keep = chunk_bounds(lines), [True] * len(lines)
-    for place in places:
-        a, b = bounds[place]
+    keep, n = [True] * len(lines), 0
+    for a, b in spans:
+        if conflicts:
+            digests = [_digest(x) for x in lines[a:b]]
+            if not conflicts.isdisjoint([*digests, _digest(b"".join(digests))]):
+                continue
         keep[a:b] = [False] * (b - a)
+        n += 1
     kept = [line for line, stays in zip(lines, keep, strict=True) if stays]
-    return b"\n".join(kept), len(lines), len(kept), len(places)
+    return b"\n".join(kept), len(lines), len(kept), n
 
 
-def _joined(docs: DataFrame, places: str) -> DataFrame:
-    """All columns of ``docs`` and the places to remove (null: none), joined on doc_id and the text's hash."""
-    gone = removals(docs)
-    key, gone_doc, gone_key = free_names([*docs.columns, places], "key", "gone_doc", "gone_key")
+def _joined(docs: DataFrame, spans: str, conflicts: str) -> DataFrame:
+    """All columns of ``docs``, the spans to remove (null: none), joined on doc_id and the text's hash, and the digests that bytes don't bear out."""
+    gone = checkpointed(removals(docs))
+    key, first, gone_doc, gone_key = free_names([*docs.columns, spans, conflicts], "key", "first", "gone_doc", "gone_key")
 
     def keyed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in blocks(batches):
@@ -185,8 +237,19 @@ def _joined(docs: DataFrame, places: str) -> DataFrame:
             yield pa.RecordBatch.from_arrays([*batch.columns, keys], [*batch.schema.names, key])
 
     rows = docs.mapInArrow(keyed, T.StructType([*docs.schema.fields, T.StructField(key, T.LongType())]))
-    gone = gone.select(F.col("doc").alias(gone_doc), F.col("key").alias(gone_key), F.col("places").alias(places))
-    return rows.join(gone, rows["doc_id"].cast("long").eqNullSafe(gone[gone_doc]) & (rows[key] == gone[gone_key]), "left").select(*docs.columns, places)
+    gone = gone.select(F.col("doc").alias(gone_doc), F.col("key").alias(gone_key), F.col("gone").alias(spans), F.col("first").alias(first))
+    met = rows.join(gone, rows["doc_id"].eqNullSafe(gone[gone_doc]) & (rows[key] == gone[gone_key]), "left").select(*docs.columns, spans, first)
+    # the comparison reads the same shuffled rows that are rewritten; of 128-bit digests none is expected to be in the list
+    return docs.sparkSession.sql(f"SELECT *, (SELECT collect_list(d) FROM {{bad}}) AS `{conflicts}` FROM {{met}}", bad=_conflicts(met, (spans, first)), met=met).select(*docs.columns, spans, conflicts)
+
+
+def _cut(batch: pa.RecordBatch, spans: str, conflicts: str) -> list[tuple[bytes, int, int, int]]:
+    """``_without`` of each row."""
+    bad = set(batch.column(conflicts)[0].as_py() or ()) if batch.num_rows else set()
+    out = []
+    for text, gone in zip(texts(batch.column("text")), batch.column(spans).to_pylist(), strict=True):
+        out.append(_without(text, _spans(gone), bad) if gone else (text, c := text.count(b"\n") + 1, c, 0))
+    return out
 
 
 def dedup_lines(docs: DataFrame) -> DataFrame:
@@ -195,20 +258,22 @@ def dedup_lines(docs: DataFrame) -> DataFrame:
     Rows with equal doc_id and text count as one document: what one keeps, all
     keep.  A text whose chunks all occur earlier becomes empty.  Empty texts
     have one empty line and lose nothing.
+
+    A chunk is removed at every place but its first.  Chunks overlap, so lines
+    of a first place may go with another chunk that stands there for the second
+    time; each line that goes has an equal one at an earlier place, so no line's
+    content ever vanishes from the corpus.
     """
-    places = free_name(docs.columns, "places")
-    both = _joined(docs.select("doc_id", "text"), places)
+    spans, conflicts = free_names(docs.columns, "spans", "conflicts")
+    both = _joined(docs.select("doc_id", "text"), spans, conflicts)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in blocks(batches, limit=REJOINED_BYTES):
-            rows = []
+            sizes = pc.fill_null(pc.binary_length(batch.column("text")), 0).to_pylist()
             nulls = batch.column("text").is_null().to_pylist()
-            for none, text, gone in zip(nulls, texts(batch.column("text")), batch.column(places).to_pylist(), strict=True):
-                left, before, after, n = _without(text, gone) if gone else (text, c := text.count(b"\n") + 1, c, 0)
-                rows.append((before, after, n, len(text) - len(left), None if none else left))
-            cols = list(zip(*rows, strict=True))
+            rows = [(before, after, n, size - len(left), None if none else left) for (left, before, after, n), size, none in zip(_cut(batch, spans, conflicts), sizes, nulls, strict=True)]
             kinds = [pa.int32(), pa.int32(), pa.int32(), pa.int64(), pa.string()]
-            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), *map(pa.array, cols, kinds)], ["doc_id", "n_lines", "n_kept", "n_chunks_removed", "n_bytes_removed", "text"])
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), *map(pa.array, zip(*rows, strict=True), kinds)], ["doc_id", "n_lines", "n_kept", "n_chunks_removed", "n_bytes_removed", "text"])
 
     kind = docs.schema["doc_id"].dataType.simpleString()
     return both.mapInArrow(run, f"doc_id {kind}, n_lines int, n_kept int, n_chunks_removed int, n_bytes_removed long, text string")
@@ -216,17 +281,17 @@ def dedup_lines(docs: DataFrame) -> DataFrame:
 
 def remove_repeats(docs: DataFrame) -> DataFrame:
     """All rows and columns of ``docs`` with repeated chunks gone from text; n_chars, where there is one, follows."""
-    places = free_name(docs.columns, "places")
-    both = _joined(docs, places)
+    spans, conflicts = free_names(docs.columns, "spans", "conflicts")
+    both = _joined(docs, spans, conflicts)
     schema = docs.schema
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in blocks(batches, limit=REJOINED_BYTES):
             columns = {name: batch.column(name) for name in schema.names}
-            gone = batch.column(places).to_pylist()
+            gone = batch.column(spans).to_pylist()
             if any(gone):
                 raw = columns["text"]
-                out = [_without(t, g)[0] if g else t for t, g in zip(texts(raw), gone, strict=True)]
+                out = [x[0] for x in _cut(batch, spans, conflicts)]
                 columns["text"] = pa.array([None if n else t for t, n in zip(out, raw.is_null().to_pylist(), strict=True)], raw.type)
                 if "n_chars" in columns:
                     old = columns["n_chars"]

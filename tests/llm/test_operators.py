@@ -548,42 +548,42 @@ def test_connected_long_chain(spark):
 # --- line dedup
 
 
+def plain_chunks(ls):
+    """All chunks of a text's lines, (start, end), by the rules as the operator's text states them, in plain loops."""
+    n, mod = [len(x.split()) for x in ls], 1 << 64
+    hashes = [xxhash.xxh64_intdigest(x) for x in ls]
+    out, start = set(), 0
+    for i, line in enumerate(ls):
+        rolling = (hashes[i] + (hashes[i - 1] * 0x9E3779B97F4A7C15 if i else 0)) % mod
+        if line.count(b" ") >= 25 and len(line) > 26:
+            out |= {(start, i)} if start < i else set()
+            out.add((i, i + 1))
+            start = i + 1
+        elif rolling // 2**32 % 3 == 0 or i + 1 - start == 32:
+            out.add((start, i + 1))
+            start = i + 1
+    out |= {(start, len(ls))} if start < len(ls) else set()
+    for a in range(len(ls)):
+        if n[a]:
+            out |= {next(((a, b) for b in range(a + 1, len(ls) + 1) if sum(n[a:b]) > 50), (0, 0))}
+            out |= {next(((c, a + 1) for c in range(a, -1, -1) if sum(n[c : a + 1]) > 50), (0, 0))}
+    return sorted((a, b) for a, b in out if b - a > 1 and any(ls[a:b]) or b - a == 1 and n[a] > 50)
+
+
 def brute_lines(rows):
-    """Chunks by content, first place kept, by plain loops; rows: (doc_id, text)."""
-    order = sorted(set(rows), key=lambda r: (r[0] is None, r[0] or 0, lines._text_key((r[1] or "").encode())))
-    first, count = {}, Counter()
-    seen = []
-    for doc, text in order:
-        ls = (text or "").encode().split(b"\n")
-        for place, (a, b) in enumerate(lines.chunk_bounds(ls)):
-            if lines.removable(ls, a, b):
-                seen.append((doc, text, place))
-                count[b"\n".join(ls[a:b])] += 1
-                first.setdefault(b"\n".join(ls[a:b]), (doc, text, place, ls, a, b))
-    multiplicity = Counter(rows)
-    out = {}
-    for doc, text in set(rows):
+    """Every chunk but the first of its bytes goes, by plain loops; rows: (doc_id, text)."""
+    key = lambda t: int(np.uint64(xxhash.xxh64_intdigest(t)).view(np.int64))
+    first, where = {}, []
+    for doc, text in sorted(set(rows), key=lambda r: (r[0] is None, r[0] or 0, key((r[1] or "").encode()))):
         ls = (text or "").encode().split(b"\n")
-        keep = [True] * len(ls)
-        for place, (a, b) in enumerate(lines.chunk_bounds(ls)):
-            data = b"\n".join(ls[a:b])
-            if lines.removable(ls, a, b) and first[data][:3] != (doc, text, place):
-                fl, fa, fb = first[data][3:]
-                single = b - a == 1
-                for k in range(1, lines.GROW + 1):
-                    if a and fa - k >= 0 and ls[a - 1] == fl[fa - k]:
-                        a -= 1
-                    else:
-                        break
-                for k in range(lines.GROW):
-                    if b < len(ls) and fb + k < len(fl) and ls[b] == fl[fb + k]:
-                        b += 1
-                    else:
-                        break
-                if not single or len(b" ".join(ls[a:b]).split()) > 50:
-                    keep[a:b] = [False] * (b - a)
-        out[doc, text] = None if text is None else b"\n".join(x for x, k in zip(ls, keep, strict=True) if k).decode()
-    return [(doc, out[doc, text]) for doc, text in multiplicity.elements()]
+        for a, b in plain_chunks(ls):
+            where.append((doc, text, a, b, first.setdefault(tuple(ls[a:b]), (doc, text, a, b))))
+    gone = {}
+    for doc, text, a, b, least in where:
+        if least != (doc, text, a, b):
+            gone.setdefault((doc, text), set()).update(range(a, b))
+    out = {(doc, text): None if text is None else "\n".join(x for i, x in enumerate(text.split("\n")) if i not in gone.get((doc, text), ())) for doc, text in set(rows)}
+    return [(doc, out[doc, text]) for doc, text in rows]
 
 
 def test_line_dedup_matches_brute_force(spark, docs):
@@ -618,6 +618,33 @@ def test_line_dedup_passages_of_two_lines_and_clean_lines(spark):
     assert got[1] == "own 1\nend 1" and got[2] == "own 2\nend 2"
 
 
+def test_line_dedup_periodic_texts_keep_every_line(spark):
+    """Lines that repeat in periods, and copies whose chunks overlap: as the plain version, and no line's content goes."""
+    draw, rows = random.Random(12), []
+    for k in range(60):
+        own = [" ".join(f"t{k}w{draw.randrange(10**6)}" for _ in range(draw.choice((1, 4, 9, 15, 27)))) for _ in range(draw.randrange(2, 9))]
+        rows.append((2 * k, "\n".join((own * 4)[: draw.randrange(len(own), 3 * len(own) + 1)])))
+        cut = draw.randrange(len(own))
+        rows.append((2 * k + 1, "\n".join([*own[cut:], "own line", *own[:cut], *own])))
+    got = {r["doc_id"]: r["text"] for r in lines.dedup_lines(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert got == dict(brute_lines(rows))
+    assert {x for _, t in rows for x in t.split("\n")} == {x for t in got.values() for x in t.split("\n")} - {""}
+
+
+def test_line_dedup_text_ids_and_very_long_texts(spark):
+    passage = "\n".join(f"line number {k} of a shared passage with words" for k in range(8))
+    long = "\n".join(f"row {k} of a very long text" for k in range(40_000))
+    rows = [("b", "x\n" + passage), ("a", passage + "\ny"), (None, passage), ("c", long + "\n" + passage), ("d", long)]
+    got = {r["doc_id"]: r["text"] for r in lines.dedup_lines(spark.createDataFrame(rows, "doc_id string, text string")).collect()}
+    assert got == {"a": passage + "\ny", "b": "x", None: "", "c": long, "d": ""}
+
+
+def test_a_digest_that_other_bytes_share_removes_nothing():
+    text, bad = b"a\nb\nc", {lines._digest(b"b")}
+    assert lines._without(text, [(0, 2)], bad)[0] == text and lines._without(text, [(2, 3)], bad)[0] == b"a\nb"
+    assert lines._without(text, [(0, 2)], {lines._digest(lines._digest(b"a") + lines._digest(b"b"))})[0] == text
+
+
 def test_boundaries_shift_with_the_content():
     draw = random.Random(9)
     body = [f"line {draw.randrange(10**9)}".encode() for _ in range(300)]
