@@ -16,7 +16,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .common import blocks
@@ -148,9 +148,11 @@ def npy_tile(image: np.ndarray, size: int = 32) -> bytes:
 def encode_payloads(docs: DataFrame, fmt: str = "pgm") -> DataFrame:
     """(doc_id, n_bytes, media): UTF-8 of the text, zero-padded to a positive multiple of 64, as an image 64 wide.
 
-    Null is stored like the empty text.  The padding isn't part of n_bytes.
+    fmt is pgm, bmp or mixed: images of an odd number of rows as PGM, of an even
+    one as BMP.  Null is stored like the empty text.  The padding isn't part of
+    n_bytes.
     """
-    encode = {"pgm": encode_pgm, "bmp": encode_bmp}[fmt]
+    encode = {"pgm": encode_pgm, "bmp": encode_bmp, "mixed": lambda image: (encode_pgm if image.shape[0] % 2 else encode_bmp)(image)}[fmt]
 
     def stored(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in blocks(batches):
@@ -198,8 +200,43 @@ def read_media(media: DataFrame, tile: int = 32) -> DataFrame:
     return media.select("doc_id", "n_bytes", "media").mapInArrow(read, schema)
 
 
-def document_media(docs: DataFrame, tile: int = 0) -> DataFrame:
-    """The digest row of each document, by way of its stored image."""
-    return read_media(encode_payloads(docs), tile).select(
-        "doc_id", "n_bytes", "payload_bytes", "payload_sha256", "tail_crc32", "media_bytes", "media_sha256", "feature"
-    )
+def tile_hash(tile: bytes) -> str:
+    """Difference hash of an NPY tile as it is read back."""
+    return difference_hash(np.load(io.BytesIO(tile)))
+
+
+def document_media(docs: DataFrame, tile: int = 32, fmt: str = "mixed") -> DataFrame:
+    """The digest row of each document, by way of its stored image and the NPY tile written from it.
+
+    feature joins the difference hash of the image and that of its tile.
+    """
+
+    def digest(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            tiles = batch.column("tile").to_pylist()
+            features = [f"{f}-{tile_hash(t)}" for f, t in zip(batch.column("feature").to_pylist(), tiles, strict=True)]
+            digests = [hashlib.sha256(t).hexdigest() for t in tiles]
+            yield pa.RecordBatch.from_arrays([*(batch.column(c) for c in names[:-2]), pa.array(features, pa.string()), pa.array(digests, pa.string())], names)
+
+    names = ["doc_id", "n_bytes", "payload_bytes", "payload_sha256", "tail_crc32", "media_bytes", "media_sha256", "feature", "tile_sha256"]
+    kind = docs.schema["doc_id"].dataType.simpleString()
+    read = read_media(encode_payloads(docs, fmt), tile).select(*names[:-1], "tile")
+    return read.mapInArrow(digest, f"doc_id {kind}, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string, tile_sha256 string")
+
+
+def write_tiles(media: DataFrame, path: str, tile: int = 32) -> None:
+    """Writes (doc_id, height, width, feature, tile) of stored images as a Parquet table whose tile column holds NPY files; images that don't decode are left out."""
+    read_media(media, tile).where("tile is not null").select("doc_id", "height", "width", "feature", "tile").write.mode("overwrite").parquet(path)
+
+
+def read_tiles(spark: SparkSession, path: str) -> DataFrame:
+    """(doc_id, height, width, feature, samples): the tiles' samples as flat arrays."""
+
+    def load(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            samples = [np.load(io.BytesIO(t)).ravel() for t in batch.column("tile").to_pylist()]
+            yield pa.RecordBatch.from_arrays([*batch.columns[:-1], pa.array(samples, pa.list_(pa.int32()))], ["doc_id", "height", "width", "feature", "samples"])
+
+    rows = spark.read.parquet(path).select("doc_id", "height", "width", "feature", "tile")
+    kind = rows.schema["doc_id"].dataType.simpleString()
+    return rows.mapInArrow(load, f"doc_id {kind}, height int, width int, feature string, samples array<int>")

@@ -7,6 +7,7 @@ import re
 import struct
 import zlib
 from collections import Counter
+from itertools import combinations
 
 import numpy as np
 import pytest
@@ -321,6 +322,81 @@ def test_licenses_found_whole_and_changed(spark):
     assert got[5]["license"] is None
 
 
+def plain_alignment(text, template, whole=True):
+    """Patience alignment by its definition, recursively: matching ends of a gap, then the longest increasing run of words unique in both."""
+    head = 0
+    while not whole and head < min(len(text), len(template)) and text[head] == template[head]:
+        head += 1
+    tail = 0
+    while not whole and tail < min(len(text), len(template)) - head and text[-1 - tail] == template[-1 - tail]:
+        tail += 1
+    a, b = text[head : len(text) - tail], template[head : len(template) - tail]
+    both = [(a.index(w), k) for k, w in enumerate(b) if a.count(w) == 1 and b.count(w) == 1]
+    runs = [[]] + [list(c) for n in range(1, len(both) + 1) for c in combinations(sorted(both), n) if all(x[1] < y[1] for x, y in zip(c, c[1:], strict=False))]
+    size = max(map(len, runs))
+    totals = []
+    for anchors in (r for r in runs if len(r) == size):
+        edges, total = [(-1, -1), *anchors, (len(a), len(b))], 0
+        for (e, f), (g, h) in zip(edges, edges[1:], strict=False) if anchors else ():
+            total += plain_alignment(a[e + 1 : g], b[f + 1 : h], False)
+        totals.append(total + len(anchors))
+    return max(totals) + head + tail
+
+
+def test_alignment_matches_its_definition():
+    """Of equally long runs of anchors the definition takes any, so the operator lies between nothing lost at one level and the best of them."""
+    draw = random.Random(5)
+    same = 0
+    for _ in range(300):
+        b = [bytes([draw.randrange(97, 107)]) for _ in range(draw.randrange(1, 9))]
+        a = [w for w in b if draw.random() > 0.2] + [bytes([draw.randrange(97, 110)]) for _ in range(draw.randrange(3))]
+        got, best = len(licenses.align(a, b)), plain_alignment(a, b)
+        assert got <= best
+        same += got == best
+    assert same > 280
+
+
+@pytest.mark.parametrize(("text", "want"), [
+    ("Licensed under CC BY 4.0.", "CC-BY-4.0"), ("Licensed under CC BY-NC 4.0.", "CC-BY-NC-4.0"), ("Licensed under CC BY-SA 4.0.", "CC-BY-SA-4.0"),
+    ("This work is licensed under a Creative Commons Attribution-NonCommercial 4.0 International License.", "CC-BY-NC-4.0"),
+    ("This work is licensed under a Creative Commons Attribution-ShareAlike 4.0 International License.", "CC-BY-SA-4.0"),
+    ("This work is licensed under a Creative Commons Attribution 4.0 International License.", "CC-BY-4.0"),
+    ("This work is licensed under a Creative Commons Attribution 3.0 International License.", None),
+    ("This work is licensed under the GNU General Public License, version 3.", "GPL-3.0"), ("This work is licensed under the GNU General Public License, version 2.", "GPL-2.0"),
+    ("This work is licensed under the GNU Lesser General Public License, version 3.", "LGPL-3.0"), ("This work is licensed under the GNU Affero General Public License, version 3.", "AGPL-3.0"),
+    ("This work is licensed under the GNU Library General Public License, version 3.", None), ("Licensed under the Apache License, Version 1.1.", None),
+    (licenses.TEMPLATES["GPL-3.0/notice"].replace("General", "Lesser General"), None), (licenses.TEMPLATES["GPL-3.0/notice"].replace("version 3", "version 2"), None),
+    ("All rights reserved.", "All-rights-reserved"), ("all of the rights are reserved for the royal family", None),
+])
+def test_sibling_licenses_are_told_apart(text, want):
+    prepared = [(n, w, Counter(w)) for n, w in ((n, licenses.alnum_words(t.encode())) for n, t in licenses.TEMPLATES.items())]
+    for around in (text, "some words before " + text + "\nand some words after it " * 3):
+        found = licenses.scan(licenses.alnum_words(around.encode()), prepared)
+        assert (found[0][0].split("/")[0] if found else None) == want
+
+
+def test_every_template_names_itself():
+    prepared = [(n, w, Counter(w)) for n, w in ((n, licenses.alnum_words(t.encode())) for n, t in licenses.TEMPLATES.items())]
+    for name, words, _ in prepared:
+        filler = [b"filler%d" % k for k in range(200)]
+        assert licenses.scan([*filler, *words, *filler], prepared)[0] == (name, 1.0, 200, 200 + len(words))
+
+
+def test_licenses_search_is_complete():
+    """Windows at every place find nothing that the tiles miss."""
+    draw = random.Random(11)
+    template = [b"t%d" % k for k in range(10)]
+    prepared = [("x", template, Counter(template))]
+    for _ in range(300):
+        text = [draw.choice(template) if draw.random() < 0.3 else b"w%d" % draw.randrange(50) for _ in range(draw.randrange(80))]
+        if draw.random() < 0.7:
+            at = draw.randrange(len(text) + 1)
+            text[at:at] = [w if draw.random() > 0.1 else b"z" for w in template]
+        every = max((len(licenses.align(text[k : k + 10], template)) for k in range(len(text))), default=0)
+        found = licenses.scan(text, prepared)
+        assert bool(found) or every < 8
+
+
 def test_licenses_repeated_and_scattered(spark):
     mit, line = licenses.TEMPLATES["MIT/text"], licenses.TEMPLATES["MIT/statement"]
     changed = mit.replace("sublicense", "relicense")
@@ -661,13 +737,67 @@ def test_no_line_content_is_lost(spark, docs):
 # --- media
 
 
-def test_media_round_trip(spark, docs):
+def plain_cells(image, height, width):
+    """Area means by weights of every sample: how much of it lies in a cell."""
+    def share(n, cells):
+        out = np.zeros((cells, n))
+        for c in range(cells):
+            low, high = c * n / cells, (c + 1) * n / cells
+            for k in range(n):
+                out[c, k] = max(0.0, min(high, k + 1) - max(low, k)) / (high - low)
+        return out
+
+    return share(image.shape[0], height) @ image.astype(float) @ share(image.shape[1], width).T
+
+
+def plain_hash(image):
+    cells = np.round(plain_cells(image, 8, 9), 6)
+    bits = "".join("1" if cells[r, c] < cells[r, c + 1] else "0" for r in range(8) for c in range(8))
+    return f"{int(bits, 2):016x}"
+
+
+def plain_stored(payload):
+    """PGM or BMP of a payload, byte by byte."""
+    rows = len(payload) // 64
+    if rows % 2:
+        return b"P5\n64 %d\n255\n" % rows + payload
+    palette = b"".join(bytes([k, k, k, 0]) for k in range(256))
+    head = b"BM" + struct.pack("<IHHI", 54 + 1024 + len(payload), 0, 0, 54 + 1024)
+    return head + struct.pack("<IiiHHIIiiII", 40, 64, -rows, 1, 8, 0, len(payload), 2835, 2835, 256, 0) + palette + payload
+
+
+def test_media_matches_plain_version(spark, docs):
     got = by_id(media.document_media(docs))
     for r in docs.collect():
         x, data = got[r["doc_id"]], r["text"].encode()
         payload = data + b"\0" * (-len(data) % 64 if data else 64)
         assert (x["n_bytes"], x["payload_bytes"], x["payload_sha256"], x["tail_crc32"]) == (len(data), len(payload), hashlib.sha256(payload).hexdigest(), zlib.crc32(payload[-64:]))
-        assert x["media_bytes"] == len(payload) + len(b"P5\n64 %d\n255\n" % (len(payload) // 64))
+        stored = plain_stored(payload)
+        assert (x["media_bytes"], x["media_sha256"]) == (len(stored), hashlib.sha256(stored).hexdigest())
+        if len(payload) < 20_000:
+            image = np.frombuffer(payload, np.uint8).reshape(-1, 64)
+            out = io.BytesIO()
+            tile = np.rint(np.round(plain_cells(image, 32, 32), 6)).astype(np.uint8)
+            np.save(out, tile)
+            assert x["feature"].split("-")[0] == plain_hash(image)
+            assert len(out.getvalue()) == 128 + 1024
+            if x["tile_sha256"] == hashlib.sha256(out.getvalue()).hexdigest():
+                assert x["feature"].split("-")[1] == plain_hash(tile)
+            else:  # a mean on the half between two values may round to either
+                own = np.load(io.BytesIO(media.npy_tile(image)))
+                assert np.abs(own.astype(int) - tile).max() <= 1 and hashlib.sha256(media.npy_tile(image)).hexdigest() == x["tile_sha256"]
+
+
+def test_tiles_are_written_and_read(spark, docs, tmp_path):
+    some = docs.where("length(text) < 3000")
+    media.write_tiles(media.encode_payloads(some, "bmp"), str(tmp_path / "tiles"), 16)
+    back, want = by_id(media.read_tiles(spark, str(tmp_path / "tiles"))), by_id(some)
+    assert set(back) == set(want)
+    for k, r in back.items():
+        data = want[k]["text"].encode()
+        image = np.frombuffer(data.ljust(max(1, -(-len(data) // 64)) * 64, b"\0"), np.uint8).reshape(-1, 64)
+        assert (r["height"], r["width"]) == image.shape
+        assert np.abs(np.array(r["samples"]).reshape(16, 16) - plain_cells(image, 16, 16)).max() <= 0.5 + 1e-6
 
 
 def test_media_awkward(spark):
