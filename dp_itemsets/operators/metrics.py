@@ -34,21 +34,30 @@ def relative_error(release: DataFrame, exact: DataFrame) -> DataFrame:
     return release.join(exact, "itemset").select(e.alias("e")).agg(F.percentile("e", F.lit(0.5)).alias("re"), F.avg((F.col("e") == math.inf).cast("double")).alias("infinite_share"))
 
 
-def measured(tx: Transactions, published: list[tuple[str, float]], truth: list[Found], k: int, n: int, tie_tolerant: bool = False) -> dict[str, float]:
-    """FNR, FPR, relative error and the share of infinite terms of a release that is already on the driver."""
+def precision(release: DataFrame, truth: DataFrame, k: int) -> DataFrame:
+    """(precision): the published sets that are in the true top k, over k."""
+    return release.join(truth.select("itemset"), "itemset", "left_semi").agg((F.count("*") / F.lit(float(k))).alias("precision"))
+
+
+def measured(tx: Transactions, published: list[tuple[str, float]], truth: list[Found], k: int, tie_tolerant: bool = False) -> dict[str, float]:
+    """``measured_with`` the exact supports of the published sets, counted here."""
+    exact = {key_of(s): c for s, c in supports(tx, [tuple(s.split("|")) for s, _ in published]).items()} if published else {}
+    return measured_with(exact, published, truth, k, tie_tolerant)
+
+
+def measured_with(exact: dict[str, int], published: list[tuple[str, float]], truth: list[Found], k: int, tie_tolerant: bool = False) -> dict[str, float]:
+    """FNR, FPR, precision, relative error and the share of infinite terms of a release that is already on the driver."""
     top = {key_of(f.items) for f in truth[:k]}
     keys = [s for s, _ in published]
-    exact = supports(tx, [tuple(s.split("|")) for s in keys]) if keys else {}
-    errors = sorted(math.inf if not (c := exact[tuple(s.split("|"))]) else abs(noisy - c) / c for s, noisy in published)
+    errors = sorted(math.inf if not (c := exact[s]) else abs(noisy - c) / c for s, noisy in published)
     half = len(errors) // 2
     median = math.nan if not errors else errors[half] if len(errors) % 2 else (errors[half - 1] + errors[half]) / 2
     if tie_tolerant:  # any set as frequent as the k-th is right
         least = truth[min(k, len(truth)) - 1].support if truth else 0
-        right = sum(exact[tuple(s.split("|"))] >= least for s in keys)
-        fnr = 1 - min(right, k) / k
+        fnr = 1 - min(sum(exact[s] >= least for s in keys), k) / k
     else:
         fnr = len(top - set(keys)) / k
-    return {"fnr": fnr, "fpr": len(set(keys) - top) / k, "re": median, "infinite_share": sum(map(math.isinf, errors)) / max(len(errors), 1)}
+    return {"fnr": fnr, "fpr": len(set(keys) - top) / k, "precision": len(top & set(keys)) / k, "re": median, "infinite_share": sum(map(math.isinf, errors)) / max(len(errors), 1)}
 
 
 def coverage_miss_rate(bases: BasisSet, truth: list[Found], k: int) -> float:

@@ -2,10 +2,11 @@
 
 Level-wise counting works on one collapsed projection: transactions cut to a
 small pool of items, equal ones summed.  Sets of a level are counted in one
-pass, by bit tests against a broadcast list of candidates (pairs: by exploding
-the pairs of a projection).  The pool has at most k items and a level at most
-CANDIDATES sets at a time, so what is broadcast or collected doesn't grow with
-the data.
+pass: the pairs of a projection meet the broadcast candidates by their first
+two items, in a hash join, and a bit test sees to the rest.  The pool of a
+top-k has at most k items and a level at most CANDIDATES sets at a time, so
+what is broadcast or collected doesn't grow with the data; listings below a
+threshold are bounded by MOST_ITEMS and MOST_SETS and refuse beyond.
 """
 
 from __future__ import annotations
@@ -14,7 +15,7 @@ from dataclasses import dataclass
 from itertools import combinations
 
 from pyspark.ml.fpm import FPGrowth
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..sources.transactions import Transactions
@@ -23,12 +24,18 @@ Itemset = tuple[str, ...]
 
 #: Candidates that are broadcast at a time.
 CANDIDATES = 20_000
+#: Frequent items and sets that a listing on the driver may have.
+MOST_ITEMS, MOST_SETS = 20_000, 2_000_000
 #: Bits of a mask column.
 BITS = 62
 
 TOPK_SCHEMA = "rank int, itemset string, size int, support long, freq double"
 
 
+class TooManySets(ValueError):
+    """A listing that isn't bounded by k would outgrow the driver."""
+
+
 def key_of(items: Itemset) -> str:
     return "|".join(sorted(items))
 
@@ -66,24 +73,36 @@ class Projection:
     def close(self) -> None:
         self.rows.unpersist()
 
+    def _paired(self, *columns: str) -> DataFrame:
+        """(a, b, cnt, columns): a row for each pair of places of a projection, a before b."""
+        both = F.flatten(F.transform("items", lambda x, i: F.transform(F.slice("items", i + 2, F.size("items")), lambda y: F.struct(x.alias("a"), y.alias("b")))))
+        return self.rows.where(F.size("items") > 1).select(F.explode(both).alias("p"), "cnt", *columns).select("p.a", "p.b", "cnt", *columns)
+
     def pairs(self, above: int) -> dict[tuple[int, int], int]:
         """Supports of pairs of places that exceed ``above``."""
-        both = F.flatten(F.transform("items", lambda x, i: F.transform(F.slice("items", i + 2, F.size("items")), lambda y: F.struct(x.alias("a"), y.alias("b")))))
-        counted = self.rows.where(F.size("items") > 1).select(F.explode(both).alias("p"), "cnt").groupBy("p.a", "p.b").agg(F.sum("cnt").alias("n"))
-        return {(a, b): n for a, b, n in counted.where(F.col("n") > above).collect()}
+        counted = self._paired().groupBy("a", "b").agg(F.sum("cnt").alias("n")).where(F.col("n") > above).limit(MOST_SETS + 1).collect()
+        if len(counted) > MOST_SETS:
+            raise TooManySets(f"more than {MOST_SETS} pairs have a support above {above}")
+        return {(a, b): n for a, b, n in counted}
 
     def count(self, sets: list[tuple[int, ...]]) -> dict[tuple[int, ...], int]:
-        """Supports of sets of places, zeros left out."""
+        """Supports of sorted sets of places, zeros left out."""
         out: dict[tuple[int, ...], int] = {}
-        for start in range(0, len(sets), CANDIDATES):
-            part = sets[start : start + CANDIDATES]
-            rows = [(k, *(sum(1 << (x - w * BITS) for x in s if x // BITS == w) for w in range(self.words))) for k, s in enumerate(part)]
-            wanted = self.spark.createDataFrame(rows, "id int, " + ", ".join(f"c{w} long" for w in range(self.words)))
+        single = [s[0] for s in sets if len(s) == 1]
+        if single:
+            counted = self.rows.select(F.explode("items").alias("x"), "cnt").groupBy("x").agg(F.sum("cnt").alias("n")).collect()  # a row for each place of the pool
+            wanted = set(single)
+            out |= {(x,): n for x, n in counted if x in wanted}
+        larger = [s for s in sets if len(s) > 1]
+        for start in range(0, len(larger), CANDIDATES):
+            part = larger[start : start + CANDIDATES]
+            rows = [(k, s[0], s[1], *(sum(1 << (x - w * BITS) for x in s[2:] if x // BITS == w) for w in range(self.words))) for k, s in enumerate(part)]
+            wanted = self.spark.createDataFrame(rows, "id int, a int, b int, " + ", ".join(f"c{w} long" for w in range(self.words)))
             inside = F.lit(True)
             for w in range(self.words):
                 inside &= F.col(f"m{w}").bitwiseAND(F.col(f"c{w}")) == F.col(f"c{w}")
-            counted = self.rows.join(F.broadcast(wanted), inside).groupBy("id").agg(F.sum("cnt").alias("n"))
-            out |= {part[k]: n for k, n in counted.collect()}
+            met = self._paired(*(f"m{w}" for w in range(self.words))).join(F.broadcast(wanted), ["a", "b"]).where(inside)  # CANDIDATES rows at most
+            out |= {part[k]: n for k, n in met.groupBy("id").agg(F.sum("cnt").alias("n")).collect()}
         return out
 
 
@@ -100,6 +119,21 @@ def extended(sets: list[tuple[int, ...]]) -> list[tuple[int, ...]]:
     return out
 
 
+def numbered(counts: DataFrame, number: str = "item_id") -> DataFrame:
+    """``counts`` (item, n) with the item's number by descending support, then name, from 1.
+
+    Numbers of equal supports are given inside a window of their own, from where
+    the higher ones end; only the distinct supports reach the driver.
+    """
+    rows, start = [], 0
+    for r in sorted(counts.groupBy("n").agg(F.count("*").alias("m")).collect(), key=lambda r: -r["n"]):
+        rows.append((r["n"], start))
+        start += r["m"]
+    starts = counts.sparkSession.createDataFrame(rows, "n long, _start long")
+    place = F.row_number().over(Window.partitionBy("n").orderBy("item"))
+    return counts.join(F.broadcast(starts), "n").select((F.col("_start") + place).cast("int").alias(number), "item", "n")
+
+
 def top_items(tx: Transactions, k: int) -> list[tuple[str, int]]:
     """The k most frequent items that occur, ties by name."""
     rows = tx.item_counts().where("n > 0").orderBy(F.desc("n"), "item").limit(k).collect()
@@ -107,7 +141,12 @@ def top_items(tx: Transactions, k: int) -> list[tuple[str, int]]:
 
 
 def topk(tx: Transactions, k: int, max_len: int | None = None) -> list[Found]:
-    """The k most frequent itemsets, in order, exactly.
+    """The k most frequent itemsets, in order, exactly; made once where the transactions remember."""
+    return tx.kept(("topk", k, max_len), lambda: _topk(tx, k, max_len))
+
+
+def _topk(tx: Transactions, k: int, max_len: int | None) -> list[Found]:
+    """Level by level under a rising floor.
 
     The k-th best support so far is a rising floor.  A larger set that only
     ties with it comes later in the order, so only sets strictly above the
@@ -137,8 +176,10 @@ def topk(tx: Transactions, k: int, max_len: int | None = None) -> list[Found]:
 
 
 def apriori(tx: Transactions, min_count: int, max_len: int | None = None) -> list[Found]:
-    """All itemsets with a support of ``min_count`` (1 or more) or above, level by level."""
-    items = tx.item_counts().where(F.col("n") >= max(min_count, 1)).orderBy(F.desc("n"), "item").collect()
+    """All itemsets with a support of ``min_count`` (1 or more) or above, level by level; ``fp_growth`` lists them without a bound."""
+    items = tx.item_counts().where(F.col("n") >= max(min_count, 1)).orderBy(F.desc("n"), "item").limit(MOST_ITEMS + 1).collect()
+    if len(items) > MOST_ITEMS and max_len != 1:
+        raise TooManySets(f"more than {MOST_ITEMS} items have a support of {min_count}")
     out, pool = [Found((r["item"],), r["n"]) for r in items], [r["item"] for r in items]
     if len(pool) < 2 or max_len == 1:
         return out
@@ -147,6 +188,8 @@ def apriori(tx: Transactions, min_count: int, max_len: int | None = None) -> lis
         level, size = projection.pairs(max(min_count, 1) - 1), 2
         while level:
             out += [Found(tuple(pool[x] for x in s), n) for s, n in level.items()]
+            if len(out) > MOST_SETS:
+                raise TooManySets(f"more than {MOST_SETS} sets have a support of {min_count}")
             size += 1
             if max_len is not None and size > max_len:
                 break
@@ -156,6 +199,20 @@ def apriori(tx: Transactions, min_count: int, max_len: int | None = None) -> lis
     return sorted(out, key=lambda f: f.order)
 
 
+def topk_of_size(tx: Transactions, k: int, size: int) -> list[Found]:
+    """The k most frequent sets of exactly ``size`` items: a threshold falls from the k-th item's support until there are k above it."""
+    if size == 1:
+        return topk(tx, k, 1)
+    items = top_items(tx, k + size)
+    least = items[-1][1] if items else 0
+    while least >= 1:
+        found = [f for f in apriori(tx, least, size) if len(f.items) == size]
+        if len(found) >= k or least == 1:
+            return sorted(found, key=lambda f: f.order)[:k]
+        least = max(1, least // 2)
+    return []
+
+
 def fp_growth(tx: Transactions, min_count: int) -> DataFrame:
     """(itemset, size, support) by the distributed pattern-growth of the machine-learning library."""
     n = tx.size()
@@ -213,9 +270,9 @@ def maximal(found: list[Found]) -> list[Found]:
 
 
 def k_for_threshold(tx: Transactions, theta: float, n: int | None = None) -> int:
-    """How many itemsets have a frequency of theta or more."""
+    """How many itemsets have a frequency of theta or more, counted where they are found."""
     n = tx.size() if n is None else n
-    return len(apriori(tx, max(1, least_count(theta, n))))
+    return fp_growth(tx, max(1, least_count(theta, n))).count()
 
 
 def least_count(theta: float, n: int) -> int:

@@ -58,8 +58,8 @@ def explicit_itemsets(tx: Transactions, m: int, floor_count: float, exactly: boo
         n_sets = tx.rows.agg(F.sum(sum((_choose(F.size("items"), i) for i in range(2, m + 1)), F.size("items").cast("double")))).first()[0] or 0
         n_sets = min(n_sets, candidate_space(tx.item_counts().where("n > 0").count(), m))
         if n_sets > MOST_EXPLICIT:
-            raise ValueError(f"the floor is at or below 0: up to {n_sets:.3g} supported sets would be listed")
-    found = mining.apriori(tx, least, m)
+            raise mining.TooManySets(f"the floor is at or below 0: up to {n_sets:.3g} supported sets would be listed")
+    found = tx.kept(("explicit", m, least), lambda: mining.apriori(tx, least, m))
     return [f for f in found if not exactly or len(f.items) == m]
 
 
@@ -122,19 +122,20 @@ def implicit_members(universe: list[str], m: int, listed: set[str], how_many: in
     return list(out.values())
 
 
-def select(tx: Transactions, k: int, m: int, eps: float, noise: NoiseSource, rho: float = 0.9, selector: str = "exponential", exactly: bool = False) -> list[Itemset]:
+def select(tx: Transactions, k: int, m: int, eps: float, noise: NoiseSource, rho: float = 0.9, selector: str = "exponential", exactly: bool = False, observed_domain: bool = False) -> list[Itemset]:
     """k itemsets at half the budget, by noisy truncated frequencies or by k exponential draws."""
     if selector not in ("exponential", "laplace"):
         raise ValueError("the selector is exponential or laplace")
+    tx.need_domain(observed_domain)
     with tx.remembering() as own:
         return _select(own, k, m, eps, noise, rho, selector, exactly)
 
 
 def _select(tx: Transactions, k: int, m: int, eps: float, noise: NoiseSource, rho: float, selector: str, exactly: bool) -> list[Itemset]:
-    n, universe = tx.size(), _universe(tx)
+    n, universe = tx.size(), tx.kept("names", lambda: _universe(tx))
     space = candidate_space(len(universe), m, exactly)
     k = min(k, space)
-    best = mining.topk(tx, k, m) if not exactly else [f for f in mining.apriori(tx, 1, m) if len(f.items) == m][:k]
+    best = mining.topk_of_size(tx, k, m) if exactly else mining.topk(tx, k, m)
     c_k = best[k - 1].support if len(best) >= k else 0
     floor = c_k - truncation_margin(k, eps, n, rho, space) * n
     explicit = explicit_itemsets(tx, m, floor, exactly)
@@ -163,10 +164,10 @@ def release_selected(tx: Transactions, sets: list[Itemset], eps: float, noise: N
     return noisy.select("itemset", "size", F.round("noisy", 6).alias("noisy_count"), F.round(F.col("noisy") / F.lit(float(max(n, 1))), 9).alias("noisy_freq"))
 
 
-def truncated_release(tx: Transactions, k: int, m: int, eps: float, noise: NoiseSource, rho: float = 0.9, selector: str = "exponential", exactly: bool = False) -> DataFrame:
+def truncated_release(tx: Transactions, k: int, m: int, eps: float, noise: NoiseSource, rho: float = 0.9, selector: str = "exponential", exactly: bool = False, observed_domain: bool = False) -> DataFrame:
     """The whole baseline: half the budget to select, half to count."""
     with tx.remembering() as own:
-        return release_selected(own, select(own, k, m, eps, noise, rho, selector, exactly), eps, noise, "truncated")
+        return release_selected(own, select(own, k, m, eps, noise, rho, selector, exactly, observed_domain), eps, noise, "truncated")
 
 
 def direct_release(tx: Transactions, sets: list[Itemset], eps: float, noise: NoiseSource) -> DataFrame:

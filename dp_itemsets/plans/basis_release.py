@@ -9,7 +9,8 @@ need, reach the driver.
 from __future__ import annotations
 
 import math
-from dataclasses import dataclass, replace
+import time
+from dataclasses import dataclass, field, replace
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -42,6 +43,8 @@ class ReleaseParams:
     true_rank: bool = False
     true_elements: bool = False
     maximal_bases: bool = False
+    #: Without a universe a release is refused, unless the items that occur are accepted as public.
+    observed_domain: bool = False
 
     def __post_init__(self) -> None:
         if self.eta < 1 or self.single_basis_limit < 1 or self.max_basis_len < 2:
@@ -52,7 +55,7 @@ class ReleaseParams:
 
 @dataclass
 class Release:
-    """itemsets: (itemset, size, noisy_count, noisy_freq, variance), and how they came about."""
+    """itemsets: (itemset, size, noisy_count, noisy_freq, variance), and how they came about; seconds: what each step took."""
 
     itemsets: DataFrame
     ledger: BudgetLedger
@@ -61,13 +64,19 @@ class Release:
     pairs: list[tuple[str, str]]
     bases: BasisSet
     params: ReleaseParams
+    seconds: dict[str, float] = field(default_factory=dict)
 
     def ranked(self) -> list[tuple[str, float]]:
         return [(r["itemset"], r["noisy_count"]) for r in self.itemsets.orderBy(F.desc("noisy_count"), "size", "itemset").collect()]
 
     def report(self, spark: SparkSession) -> DataFrame:
+        """What each step spent; outputs that follow from released ones alone spend nothing."""
         return self.ledger.report(spark)
 
+    def timings(self, spark: SparkSession) -> DataFrame:
+        """(step, seconds): the rank, the items, the pairs, and bases with bins."""
+        return spark.createDataFrame(list(self.seconds.items()), "step string, seconds double")
+
 
 def item_ranks(tx: Transactions, count: int | None) -> DataFrame:
     """(j, n): supports by rank.  With a count, of the top of them only: small, so ranking them in one task is cheap."""
@@ -81,7 +90,7 @@ def item_ranks(tx: Transactions, count: int | None) -> DataFrame:
     for r in sorted(sizes, key=lambda r: -r["n"]):
         rows.append((j, j + r["m"] - 1, r["n"]))
         j += r["m"]
-    ranks = tx.spark.createDataFrame(rows or [(1, 1, 0)], "low int, high int, n long")
+    ranks = tx.spark.createDataFrame(rows or [(1, 1, 0)], "low int, high int, n long")  # a row for each distinct support
     return ranks.select(F.explode(F.sequence("low", "high")).alias("j"), "n")
 
 
@@ -121,8 +130,11 @@ def release_topk_private(tx: Transactions, k: int, eps: float, noise: NoiseSourc
     """
     if k < 1 or not eps > 0:
         raise ValueError("k and the budget must be above 0")
+    params = params or ReleaseParams()
+    if not math.isinf(eps):
+        tx.need_domain(params.observed_domain)
     with tx.remembering() as own:
-        return _release(own, k, eps, noise, params or ReleaseParams())
+        return _release(own, k, eps, noise, params)
 
 
 def _release(tx: Transactions, k: int, eps: float, noise: NoiseSource, p: ReleaseParams) -> Release:
@@ -130,10 +142,14 @@ def _release(tx: Transactions, k: int, eps: float, noise: NoiseSource, p: Releas
     inf = math.isinf(eps)
     part = (lambda x: math.inf) if inf else (lambda x: x)
     n = tx.size() if p.n_mode == "public" else None
-    warning = "" if tx.universe is not None else "items are those observed"
+    warning = "" if tx.universe is not None else "items are those observed, accepted as public"
     shares = split_budget(1.0 if inf else eps, 1, 0, p.alphas, p.single_basis_limit)
 
+    seconds, began = {}, [time.time()]
+
     def book(step: str, share: float, label: str, sensitivity: float, mechanism: str, size: int, note: str = "") -> None:
+        now = time.time()
+        seconds[step], began[0] = now - began[0], now
         if not inf:
             ledger.spend(step, share, label, sensitivity, mechanism, size, note)
 
@@ -167,7 +183,7 @@ def _release(tx: Transactions, k: int, eps: float, noise: NoiseSource, p: Releas
     counted = count_with_bases(tx, bases, k, part(shares["bins"]), noise, n, p.superset_strategy)
     itemsets = spark.createDataFrame([tuple(r) for r in counted.collect()], counted.schema)  # a private output of k rows, drawn once
     book("bins", shares["bins"], "bins", bases.width, "laplace", sum(1 << len(b) for b in bases), "" if n is None else "the number of transactions is public")
-    return Release(itemsets, ledger, lam, items, pairs, bases, p)
+    return Release(itemsets, ledger, lam, items, pairs, bases, p, seconds)
 
 
 def release_threshold_private(tx: Transactions, theta: float, eps: float, noise: NoiseSource, params: ReleaseParams | None = None) -> Release:

@@ -16,7 +16,7 @@ from ..operators import bins, metrics, mining, truncated
 from ..plans import basis_release as R
 from ..plans import experiments
 from ..sources.transactions import Transactions
-from ..sources.views import VIEWS
+from ..sources.views import VIEW_SQL, VIEWS
 from . import sqltext as S
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -73,10 +73,7 @@ def pair_counts_brands(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query(f"WITH {S.counts('order_terms')} SELECT row_number() OVER (ORDER BY n DESC, item)::INT AS item_id, item, n FROM c")
 def item_dictionary_universe(spark: SparkSession, sf_dir: str) -> DataFrame:
-    from pyspark.sql import Window
-
-    # as many rows as the public universe has items
-    return _view("order_terms", spark, sf_dir).item_counts().select(F.row_number().over(Window.orderBy(F.desc("n"), "item")).alias("item_id"), "item", "n")
+    return mining.numbered(_view("order_terms", spark, sf_dir).item_counts())
 
 
 @query(f"""WITH {S.d('order_terms')}, g AS (SELECT * FROM (VALUES {', '.join(f"('{mining.key_of(s)}', {list(s)})" for s in GIVEN)}) AS t(itemset, items)),
@@ -97,8 +94,8 @@ _topk("topk_exact_order_parts", "order_parts", 100, S.small_sets(100, 2))
 _topk("topk_exact_embedding_signs", "embedding_signs", 100, S.small_sets(64))
 _topk("topk_exact_page_words", "page_words", 100, S.bitmap_sets(10))
 _topk("topk_exact_user_day_clicks", "user_day_clicks", 50, S.small_sets(50))
-_topk("topk_exact_doc_keywords", "doc_keywords", 50, None)
-_topk("topk_exact_conv_keywords", "conv_keywords", 50, None)
+_topk("topk_exact_doc_keywords", "doc_keywords", 50, S.small_sets(50) if "doc_keywords" in VIEW_SQL else None)
+_topk("topk_exact_conv_keywords", "conv_keywords", 50, S.small_sets(50) if "conv_keywords" in VIEW_SQL else None)
 
 _LEAST = 1500
 _FREQUENT = f"WITH {S.counts('order_terms')}, {S.small_sets(60)} SELECT itemset, size::INT AS size, support::BIGINT AS support FROM s WHERE support >= {_LEAST}"
@@ -124,20 +121,20 @@ def maximal_itemsets_order_terms(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _frame(spark, mining.maximal(mining.apriori(_view("order_terms", spark, sf_dir), _LEAST)))
 
 
-@query(f"WITH {S.counts('order_terms')}, {S.small_sets(60)}, n AS (SELECT count(DISTINCT tid) AS n FROM d) SELECT count(*) AS k FROM s, n WHERE support >= 0.15 * n.n")
+@query(f"WITH {S.counts('order_terms')}, {S.small_sets(60)}, n AS (SELECT count(*) AS n FROM tids) SELECT count(*) AS k FROM s, n WHERE support >= 0.15 * n.n")
 def k_for_threshold(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.createDataFrame([(mining.k_for_threshold(_view("order_terms", spark, sf_dir), 0.15),)], "k long")
 
 
-@query(f"WITH {S.counts('order_terms')}, {S.small_sets(60)}, n AS (SELECT count(DISTINCT tid) AS n FROM d) SELECT round(support / n.n, 9) AS theta FROM s, n ORDER BY support DESC LIMIT 1 OFFSET 99")
+@query(f"WITH {S.counts('order_terms')}, {S.small_sets(60)}, n AS (SELECT count(*) AS n FROM tids) SELECT round(support / n.n, 9) AS theta FROM s, n ORDER BY support DESC LIMIT 1 OFFSET 99")
 def threshold_for_k(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.createDataFrame([(round(mining.threshold_for_k(_view("order_terms", spark, sf_dir), 100), 9),)], "theta double")
 
 
 def _profile_sql(view: str, k: int, sets: str) -> str:
     return f"""WITH {S.counts(view)}, {sets}, top AS (SELECT * FROM s ORDER BY support DESC, size, itemset LIMIT {k})
-        SELECT '{view}' AS "view", {k}::INT AS k, (SELECT count(DISTINCT tid) FROM d) AS n, (SELECT count(*) FROM c) AS items,
-        round((SELECT count(*) FROM d) / (SELECT count(DISTINCT tid) FROM d), 9) AS avg_len,
+        SELECT '{view}' AS "view", {k}::INT AS k, {S.N} AS n, (SELECT count(*) FROM c) AS items,
+        round((SELECT count(*) FROM d) / {S.N}, 9) AS avg_len,
         (SELECT count(DISTINCT i) FROM (SELECT unnest(string_split(itemset, '|')) AS i FROM top)) AS lam,
         (SELECT count(*) FROM top WHERE size = 2) AS lam2, (SELECT count(*) FROM top WHERE size = 3) AS lam3, (SELECT min(support) FROM top)::BIGINT AS c_k"""
 
@@ -321,7 +318,7 @@ def _counted(which: list[tuple[str, ...]], eps: float, k: int) -> Query:
 
 for _name, _which, _eps in (("count_with_bases_noiseless", OVERLAP, math.inf), ("count_with_bases_single", SINGLE, 0.5), ("count_with_bases_overlap", OVERLAP, 0.5)):
     QUERIES[_name] = _counted(_which, _eps, 15)
-    ORACLES[_name] = _bins_sql(_which, "inf" if math.isinf(_eps) else str(_eps)) + " " + S.released(15, "(SELECT count(DISTINCT tid) FROM d)", "0.0" if math.isinf(_eps) else str(2 * (len(_which) / _eps) ** 2))
+    ORACLES[_name] = _bins_sql(_which, "inf" if math.isinf(_eps) else str(_eps)) + " " + S.released(15, S.N, "0.0" if math.isinf(_eps) else str(2 * (len(_which) / _eps) ** 2))
 
 
 def _zero_rows(checks: dict[str, bool]) -> list[tuple[str, int]]:
@@ -401,12 +398,12 @@ def cost_model(spark: SparkSession, sf_dir: str) -> DataFrame:
 # --- releases -------------------------------------------------------------
 
 
-def _single_release_sql(view: str, k: int, k1: int, pool: int, n: str = "(SELECT count(DISTINCT tid) FROM d)") -> str:
-    """The release of a view whose drawn rank is at most 12, at a budget of 1: rank, items, one basis, bins."""
+def _single_release_sql(view: str, k: int, k1: int, pool: int, n: str = S.N, limit: int = 12) -> str:
+    """The release of a view whose drawn rank is at most ``limit``, at a budget of 1: rank, items, one basis, bins.  A higher rank takes another path, so the basis is cut there."""
     items_scale = "0.4 / (SELECT lam FROM lam)"
     return f"""WITH {_rank_sql(view, k1, 0.1, S.bitmap_sets(pool))}, lam AS (SELECT j AS lam FROM rank ORDER BY score DESC, j LIMIT 1),
         drawn AS (SELECT item, row_number() OVER (ORDER BY round(n * {items_scale} + {S.gumbel("'42:items:' || item")}, 9) DESC, item) AS r FROM c),
-        bas AS (SELECT 0 AS basis_id, row_number() OVER (ORDER BY item) - 1 AS pos, item FROM drawn WHERE r <= (SELECT lam FROM lam)),
+        bas AS (SELECT 0 AS basis_id, row_number() OVER (ORDER BY item) - 1 AS pos, item FROM drawn WHERE r <= (SELECT least(lam, {limit}) FROM lam)),
         {S.BINS}, {S.noisy('1', '0.5')}, {S.FUSED} {S.released(k, n, '8.0')}"""
 
 
@@ -417,16 +414,87 @@ def _release(view: str, k: int, eps: float = 1.0, **options: object) -> Query:
     return run
 
 
+#: The bases that the releases below build on the tables of scale 0.01, for their checks: SQL counts with them, so another draw of rank, items or pairs, or other merges, would show.
+FEW_TERMS = (
+    "LARGE,STANDARD,cold,rod;PROMO,gizmo,hot,red;MEDIUM,SMALL,bolt,small;PROMO,STANDARD,large,ring;MEDIUM,STANDARD,blue,gear;"
+    "LARGE,MEDIUM,anvil,plate;LARGE,MEDIUM,PROMO,STANDARD,widget;ECONOMY,SMALL,hot,small,widget;Brand#2,new,old;"
+)
+MANY_TERMS = (
+    "ECONOMY+Brand#12,PROMO+Brand#17,STANDARD+Brand#6;ECONOMY+Brand#7,PROMO+Brand#2,STANDARD+Brand#7;"
+    "ECONOMY+Brand#1,LARGE+Brand#13,LARGE+Brand#15;ECONOMY+Brand#15,LARGE+Brand#4,SMALL+Brand#3;"
+    "ECONOMY+Brand#17,LARGE+Brand#8,PROMO+Brand#12;ECONOMY+Brand#18,LARGE+Brand#9,MEDIUM+Brand#2;"
+    "ECONOMY+Brand#19,MEDIUM+Brand#4,PROMO+Brand#4;ECONOMY+Brand#20,PROMO+Brand#10,SMALL+Brand#6;"
+    "ECONOMY+Brand#21,PROMO+Brand#15,STANDARD+Brand#2;ECONOMY+Brand#22,PROMO+Brand#8,STANDARD+Brand#24;"
+    "ECONOMY+Brand#25,PROMO+Brand#9,STANDARD+Brand#9;SMALL+Brand#21,SMALL+Brand#25;ECONOMY+Brand#14,PROMO+Brand#9,STANDARD+Brand#23;"
+    "ECONOMY+Brand#3,ECONOMY+Brand#4,ECONOMY+Brand#5;LARGE+Brand#12,LARGE+Brand#14,LARGE+Brand#16;"
+    "LARGE+Brand#2,LARGE+Brand#20,LARGE+Brand#22;LARGE+Brand#23,LARGE+Brand#24,LARGE+Brand#25;LARGE+Brand#5,LARGE+Brand#6,LARGE+Brand#7;"
+    "MEDIUM+Brand#10,MEDIUM+Brand#12,MEDIUM+Brand#13;MEDIUM+Brand#15,MEDIUM+Brand#16,MEDIUM+Brand#17;"
+    "MEDIUM+Brand#19,MEDIUM+Brand#21,MEDIUM+Brand#23;MEDIUM+Brand#24,MEDIUM+Brand#25,MEDIUM+Brand#5;"
+    "MEDIUM+Brand#8,MEDIUM+Brand#9,PROMO+Brand#11;PROMO+Brand#13,PROMO+Brand#14,PROMO+Brand#16;"
+    "PROMO+Brand#19,PROMO+Brand#20,PROMO+Brand#21;PROMO+Brand#22,PROMO+Brand#23,PROMO+Brand#24;"
+    "PROMO+Brand#25,PROMO+Brand#3,PROMO+Brand#5;PROMO+Brand#6,PROMO+Brand#7,SMALL+Brand#10;SMALL+Brand#12,SMALL+Brand#13,SMALL+Brand#14;"
+    "SMALL+Brand#15,SMALL+Brand#18,SMALL+Brand#20;SMALL+Brand#22,SMALL+Brand#23,SMALL+Brand#4;SMALL+Brand#5,SMALL+Brand#7,SMALL+Brand#8;"
+    "SMALL+Brand#9,STANDARD+Brand#1,STANDARD+Brand#13;STANDARD+Brand#15,STANDARD+Brand#16,STANDARD+Brand#18;"
+    "STANDARD+Brand#19,STANDARD+Brand#20,STANDARD+Brand#21;STANDARD+Brand#22,STANDARD+Brand#25,STANDARD+Brand#3;"
+)
+FEW_CLICKS = (
+    "click,k11,k38,k45;k1,k13,k2;k16,k26,k32;k17,k28,k8;k19,k29,k33;k21,k34,k60;k22,k42,k95;k30,k46,k98;k31,k50,k85;k35,k6,k71;"
+    "k36,k66,k83;k40,k74,k82;k41,k92,k94;k44,purchase,signup;k24,k3,k58;k15,k58,k95;k18,k27,k76;k34,k43,k69;k38,k43,k93;k23,k24,k78;"
+    "k55,k56,k74;k99,purchase,view;error,k3,k39;k10,k53,k79;k18,k27,k61,k71;k47,k48,k49;k5,k51,k54;k64,k65,k7;k73,k80,k81;k84,k86,k87;"
+    "k9,k90,k91;"
+)
+
+
+def _literal(bases: str) -> list[tuple[str, ...]]:
+    return [tuple(b.split(",")) for b in bases.split(";") if b]
+
+
+def _several_release_sql(view: str, k: int, bases: str) -> str:
+    which = _literal(bases)
+    scale = str(2 * (len(which) / 0.5) ** 2)
+    return f"WITH {S.d(view)}, {S.basis_values(which)}, {S.BINS}, {S.noisy(str(len(which)), '0.5')}, {S.FUSED} {S.released(k, S.N, scale)}"
+
+
 QUERIES["basis_release_line_records"] = _release("line_records", 50)
 ORACLES["basis_release_line_records"] = _single_release_sql("line_records", 50, 60, 13)
-QUERIES["basis_release_doc_words"] = _release("doc_words", 50, single_basis_limit=16)
-ORACLES["basis_release_doc_words"] = _single_release_sql("doc_words", 50, 60, 13)
+QUERIES["basis_release_doc_words"] = _release("doc_words", 50, single_basis_limit=16, observed_domain=True)
+ORACLES["basis_release_doc_words"] = _single_release_sql("doc_words", 50, 60, 13, limit=16)
 QUERIES["basis_release_order_terms"] = _release("order_terms", 50, max_basis_len=7)
+ORACLES["basis_release_order_terms"] = _several_release_sql("order_terms", 50, FEW_TERMS)
 QUERIES["basis_release_cust_terms"] = _release("cust_terms", 100)
+ORACLES["basis_release_cust_terms"] = _several_release_sql("cust_terms", 100, MANY_TERMS)
 QUERIES["basis_release_user_day_clicks"] = _release("user_day_clicks", 100, max_basis_len=7)
+ORACLES["basis_release_user_day_clicks"] = _several_release_sql("user_day_clicks", 100, FEW_CLICKS)
 QUERIES["basis_release_noisy_n"] = _release("line_records", 50, n_mode="noisy")
 ORACLES["basis_release_noisy_n"] = _single_release_sql("line_records", 50, 60, 13, "(SELECT greatest(nc, 1.0) FROM fused WHERE size = 0)")
 
+
+def _drawn_sql(view: str, k1: int, k: int, sets: str) -> str:
+    """CTEs up to picked(a, b, n): rank, the number of pairs, items and pairs of a release at a budget of 1 with more than one basis."""
+    left = f"greatest(floor(1.2 * {k} - lam + 1e-12), 0)"
+    return f"""WITH {_rank_sql(view, k1, 0.1, sets)}, lam AS (SELECT j AS lam FROM rank ORDER BY score DESC, j LIMIT 1),
+        asked AS (SELECT lam, CASE WHEN lam <= 12 OR {left} <= 0 THEN 0 ELSE least(floor((1.2 * {k} - lam) / sqrt(greatest(1.0, (1.2 * {k} - lam) / lam)) + 1e-9), lam * (lam - 1) // 2) END AS lam2 FROM lam),
+        split AS (SELECT lam, lam2, 0.4 * lam / (lam + lam2) / lam AS items_scale, CASE WHEN lam2 > 0 THEN (0.4 - 0.4 * lam / (lam + lam2)) / lam2 ELSE 0 END AS pairs_scale FROM asked),
+        drawn AS (SELECT item, row_number() OVER (ORDER BY round(n * (SELECT items_scale FROM split) + {S.gumbel("'42:items:' || item")}, 9) DESC, item) AS r FROM c),
+        own AS (SELECT item FROM drawn WHERE r <= (SELECT lam FROM split)),
+        pp AS (SELECT x.item AS a, y.item AS b FROM own x JOIN own y ON x.item < y.item), dd AS (SELECT tid, item FROM d JOIN own USING (item)),
+        qq AS (SELECT x.item AS a, y.item AS b, count(*) AS n FROM dd x JOIN dd y ON x.tid = y.tid AND x.item < y.item GROUP BY 1, 2), rr AS (SELECT a, b, coalesce(n, 0) AS n FROM pp LEFT JOIN qq USING (a, b)),
+        placed AS (SELECT a, b, row_number() OVER (ORDER BY round(n * (SELECT pairs_scale FROM split) + {S.gumbel("'42:pairs:' || a || ':' || b")}, 9) DESC, a, b) AS r FROM rr),
+        picked AS (SELECT a, b FROM placed WHERE r <= (SELECT lam2 FROM split))"""
+
+
+def _drawn(view: str, k: int, **options: object) -> Query:
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        out = R.release_topk_private(_view(view, spark, sf_dir), k, 1.0, NOISE, R.ReleaseParams(**options))
+        return spark.createDataFrame([(i, "") for i in out.items] + out.pairs, "a string, b string")
+
+    return run
+
+
+for _name, _k, _sets in (("order_terms", 50, S.small_sets(60)), ("user_day_clicks", 100, S.small_sets(110)), ("cust_terms", 100, S.small_sets(130, 2))):
+    QUERIES[f"release_draws_{_name}"] = _drawn(_name, _k, max_basis_len=7)
+    ORACLES[f"release_draws_{_name}"] = _drawn_sql(_name, math.ceil(_k * 1.2), _k, _sets) + " SELECT item AS a, '' AS b FROM own UNION ALL SELECT a, b FROM picked"
+
 _RELEASE_CHECKS = ["as_many_as_asked", "inside_candidates", "budget_kept", "pairs_covered", "repartitioning_changes_nothing"]
 
 
@@ -456,10 +524,11 @@ def ablation_table(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Error rate and coverage of each design choice."""
     rows = []
     with _view("order_terms", spark, sf_dir).remembering() as tx:
-        n, truth = tx.size(), mining.topk(tx, 50)
+        truth = mining.topk(tx, 50)
         for name, params in R.ablations(R.ReleaseParams(max_basis_len=7)).items():
-            m = experiments.run_basis(tx, truth, n, 50, 1.0, 1, params)
-            rows.append((name, m[0], m[2], m[3], m[4], m[5]))
+            out = R.release_topk_private(tx, 50, 1.0, NoiseSource.fixed(1), params)
+            m = metrics.measured(tx, out.ranked(), truth, 50)
+            rows.append((name, m["fnr"], m["re"], metrics.coverage_miss_rate(out.bases, truth, 50), out.bases.width, out.bases.length))
     return spark.createDataFrame(rows, "variant string, fnr double, re double, coverage_miss double, width int, length int")
 
 
@@ -507,7 +576,56 @@ def tf_explicit_itemsets(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _frame(spark, truncated.explicit_itemsets(tx, _TF_M, floor))
 
 
-def _tf_select(selector: str) -> Query:
+def _tf_sql(selector: str, eps: float, exactly: bool = False) -> str:
+    """CTEs up to chosen(itemset): the baseline's choice among all candidates, listed ones by their own draws, the rest by order statistics."""
+    label, scale, space = f"42:select-{selector}", 4 * _TF_K / eps, truncated.candidate_space(25, _TF_M, exactly)
+    key, gumbel = f"'{label}:' || itemset", selector == "exponential"
+    start = f"value / {scale}" if gumbel else "value"
+    own = f"greatest(support::DOUBLE, value) / {scale} + {S.gumbel(key)}" if gumbel else f"greatest(support::DOUBLE, value) + {S.laplace(key, str(scale))}"
+    draw = "-ln(greatest(-lu, 5e-324))" if gumbel else f"CASE WHEN exp(lu) > 0.5 THEN -{scale} * ln(2 * (1 - exp(lu))) ELSE {scale} * ln(2 * exp(lu)) END"
+    u = lambda what: S.uniform(f"'{label}:{what}:' || j")
+    size = "2" if exactly else f"CASE WHEN {S.uniform(chr(39) + label + ':size:' + chr(39) + ' || t')} * {space} <= 25 THEN 1 ELSE 2 END"
+    index = f"floor({S.uniform(chr(39) + label + ':item:' + chr(39) + ' || t || ' + chr(39) + ':' + chr(39) + ' || s')} * 25)::INT"
+    return f"""{_TF.split("ck AS (")[0].rstrip().rstrip(",")}, uu AS (SELECT * FROM u{' WHERE size = 2' if exactly else ''}),
+        ck AS (SELECT support AS ck FROM uu ORDER BY support DESC, size, itemset LIMIT 1 OFFSET {_TF_K - 1}),
+        fl AS (SELECT ck - {scale} * (ln({_TF_K} / 0.9) + ln({space})) AS floor, greatest(ck - {scale} * (ln({_TF_K} / 0.9) + ln({space})), 0) AS value FROM ck),
+        listed AS (SELECT itemset, support, value FROM uu, fl WHERE support > floor AND support > 0),
+        own AS (SELECT itemset, round({own}, 9) AS score, row_number() OVER (ORDER BY round({own}, 9) DESC, itemset) AS r FROM listed),
+        beat AS (SELECT CASE WHEN (SELECT count(*) FROM own) >= {_TF_K} THEN (SELECT score FROM own WHERE r = {_TF_K}) ELSE -1e300 END AS beat, {space} - (SELECT count(*) FROM listed) AS left_over),
+        logs AS (SELECT j, sum(ln({u('tail')}) / (left_over - j)) OVER (ORDER BY j) AS lu FROM range(0, {_TF_K}) t(j), beat WHERE j < left_over),
+        tail AS (SELECT j, {start} + {draw} AS score FROM logs, fl), high AS (SELECT j, score FROM tail, beat WHERE score > beat), many AS (SELECT count(*) AS many FROM high),
+        names AS (SELECT item, row_number() OVER (ORDER BY item) - 1 AS spot FROM universe), steps AS (SELECT t, s, {index} AS spot FROM range(0, 1000) a(t), range(0, 9) b(s)),
+        trials AS (SELECT t, {size} AS size FROM range(0, 1000) a(t)), one AS (SELECT t, spot FROM steps WHERE s = 0),
+        two AS (SELECT s.t, arg_min(s.spot, s.s) AS spot FROM steps s JOIN one ON one.t = s.t AND s.s > 0 AND s.spot <> one.spot GROUP BY s.t),
+        drawn AS (SELECT trials.t, CASE WHEN size = 1 THEN x.item ELSE least(x.item, y.item) || '|' || greatest(x.item, y.item) END AS itemset
+            FROM trials JOIN one ON one.t = trials.t JOIN two ON two.t = trials.t JOIN names x ON x.spot = one.spot JOIN names y ON y.spot = two.spot),
+        unlisted AS (SELECT itemset, min(t) AS t FROM drawn ANTI JOIN listed USING (itemset) GROUP BY itemset),
+        rest AS (SELECT itemset, {S.uniform(chr(39) + label + ':member:' + chr(39) + ' || itemset')} AS t FROM uu ANTI JOIN listed USING (itemset)),
+        few AS (SELECT left_over <= greatest(64, 4 * many) AS few FROM beat, many),
+        members AS (SELECT itemset, row_number() OVER (ORDER BY t) - 1 AS j FROM (SELECT itemset, t::DOUBLE AS t FROM unlisted, few WHERE NOT few UNION ALL SELECT itemset, t FROM rest, few WHERE few)),
+        mixed AS (SELECT itemset, score, 0 AS last FROM own WHERE r <= {_TF_K} UNION ALL SELECT itemset, score, 1 FROM high JOIN members USING (j)),
+        chosen AS (SELECT itemset FROM mixed ORDER BY score DESC, last LIMIT {_TF_K})"""
+
+
+def _tf_select(selector: str, eps: float) -> Query:
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        with _view("order_brands", spark, sf_dir).remembering() as tx:
+            chosen = truncated.select(tx, _TF_K, _TF_M, eps, NOISE, selector=selector)
+            counts = mining.supports(tx, chosen)
+            return spark.createDataFrame([(mining.key_of(c), len(c), counts[c]) for c in chosen], "itemset string, size int, support long")
+
+    return run
+
+
+#: Budgets at which most of the candidates are listed, few of them, and none that a draw would reach.
+for _name, _selector, _eps in (("exponential", "exponential", _TF_EPS), ("exponential_small_budget", "exponential", 4.0), ("laplace", "laplace", _TF_EPS), ("laplace_small_budget", "laplace", 1.0)):
+    QUERIES[f"tf_select_{_name}"] = _tf_select(_selector, _eps)
+    ORACLES[f"tf_select_{_name}"] = f"WITH {_tf_sql(_selector, _eps)} SELECT itemset, size::INT AS size, support FROM uu JOIN chosen USING (itemset)"
+
+_SCALE = 4 * _TF_K / _TF_EPS
+
+
+def _tf_exhaustive(selector: str) -> Query:
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
         rows = truncated.truncated_counts(_view("order_brands", spark, sf_dir), _TF_K, _TF_M, _TF_EPS)
         return truncated.exhaustive_select(rows, "truncated", _TF_K, _TF_EPS, NOISE, "tf", selector).select("itemset", "size", "support")
@@ -515,10 +633,9 @@ def _tf_select(selector: str) -> Query:
     return run
 
 
-_SCALE = 4 * _TF_K / _TF_EPS
 for _name, _score in (("exponential", f"truncated / {_SCALE} + {S.gumbel(chr(39) + '42:tf:' + chr(39) + ' || itemset')}"), ("laplace", f"truncated + {S.laplace(chr(39) + '42:tf:' + chr(39) + ' || itemset', str(_SCALE))}")):
-    QUERIES[f"tf_select_{_name}"] = _tf_select(_name)
-    ORACLES[f"tf_select_{_name}"] = f"WITH {_TF} SELECT itemset, size::INT AS size, support FROM f ORDER BY round({_score}, 9) DESC, itemset LIMIT {_TF_K}"
+    QUERIES[f"tf_exhaustive_{_name}"] = _tf_exhaustive(_name)
+    ORACLES[f"tf_exhaustive_{_name}"] = f"WITH {_TF} SELECT itemset, size::INT AS size, support FROM f ORDER BY round({_score}, 9) DESC, itemset LIMIT {_TF_K}"
 
 
 @query(f"WITH {_TF} SELECT itemset, size::INT AS size, support FROM f ORDER BY round(support / {_SCALE} + {S.gumbel(chr(39) + '42:all:' + chr(39) + ' || itemset')}, 9) DESC, itemset LIMIT {_TF_K}")
@@ -527,12 +644,17 @@ def exhaustive_release(spark: SparkSession, sf_dir: str) -> DataFrame:
     return truncated.exhaustive_select(rows, "support", _TF_K, _TF_EPS, NOISE, "all").select("itemset", "size", "support")
 
 
-@query()
+def _tf_release_sql(exactly: bool) -> str:
+    noisy = f"support + {S.laplace(chr(39) + '42:truncated:' + chr(39) + ' || itemset', f'{_TF_K} / ({_TF_EPS} * 0.5)')}"
+    return f"WITH {_tf_sql('exponential', _TF_EPS, exactly)} SELECT itemset, size::INT AS size, round({noisy}, 6) AS noisy_count, round(({noisy}) / {S.N}, 9) AS noisy_freq FROM uu JOIN chosen USING (itemset)"
+
+
+@query(_tf_release_sql(False))
 def tf_release_brands(spark: SparkSession, sf_dir: str) -> DataFrame:
     return truncated.truncated_release(_view("order_brands", spark, sf_dir), _TF_K, _TF_M, _TF_EPS, NOISE)
 
 
-@query()
+@query(_tf_release_sql(True))
 def tf_release_exactly_m(spark: SparkSession, sf_dir: str) -> DataFrame:
     return truncated.truncated_release(_view("order_brands", spark, sf_dir), _TF_K, _TF_M, _TF_EPS, NOISE, exactly=True)
 
@@ -552,12 +674,12 @@ _DIRECT = [("Brand#1",), ("Brand#2",), ("Brand#1", "Brand#2"), ("Brand#10", "Bra
 
 @query(f"""WITH {S.d('order_brands')}, g AS (SELECT * FROM (VALUES {', '.join(f"('{mining.key_of(s)}', {list(s)})" for s in _DIRECT)}) AS t(itemset, items)), w AS (SELECT itemset, len(items) AS size, unnest(items) AS item FROM g),
     h AS (SELECT itemset, tid FROM w JOIN d USING (item) GROUP BY itemset, tid, size HAVING count(*) = size), s AS (SELECT g.itemset, any_value(len(items))::INT AS size, count(h.tid) AS support FROM g LEFT JOIN h USING (itemset) GROUP BY 1),
-    r AS (SELECT itemset, size, support + {S.laplace("'42:direct:' || itemset", '4.0 / 0.5')} AS x FROM s) SELECT itemset, size, round(x, 6) AS noisy_count, round(x / (SELECT count(DISTINCT tid) FROM d), 9) AS noisy_freq FROM r""")
+    r AS (SELECT itemset, size, support + {S.laplace("'42:direct:' || itemset", '4.0 / 0.5')} AS x FROM s) SELECT itemset, size, round(x, 6) AS noisy_count, round(x / {S.N}, 9) AS noisy_freq FROM r""")
 def direct_release(spark: SparkSession, sf_dir: str) -> DataFrame:
     return truncated.direct_release(_view("order_brands", spark, sf_dir), _DIRECT, 0.5, NOISE)
 
 
-_EFFECTIVE = ("order_brands", "order_terms", "line_records")
+_EFFECTIVE = ("order_brands", "order_terms", "line_records", "cust_terms", "user_day_clicks", "embedding_signs")
 
 
 def _effective_sql(view: str, k: int, sets: str, items: int | None = None) -> str:
@@ -575,39 +697,43 @@ def tf_effectiveness_table(spark: SparkSession, sf_dir: str) -> DataFrame:
 # --- measures and experiments ---------------------------------------------
 
 
-def _grid(name: str, budgets: tuple[float, ...], seeds: tuple[int, ...], ks: tuple[int, ...]) -> Query:
+def _grid(name: str) -> Query:
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-        return experiments.best_m(experiments.run_grid(spark, sf_dir, experiments.WORKLOADS[name], budgets, seeds, ks)).drop("seconds")
+        return experiments.summary(experiments.run_grid(spark, sf_dir, experiments.WORKLOADS[name]))
 
     return run
 
 
-QUERIES["experiment_single_basis_records"] = _grid("single_basis_records", (0.5, 1.0), (1,), (50,))
-QUERIES["experiment_single_basis_words"] = _grid("single_basis_words", (1.0,), (1,), (50,))
-QUERIES["experiment_few_bases_terms"] = _grid("few_bases_terms", (1.0,), (1,), (50,))
-QUERIES["experiment_few_bases_clicks"] = _grid("few_bases_clicks", (1.0,), (1,), (100,))
-QUERIES["experiment_many_bases"] = _grid("many_bases", (1.0,), (1,), (100,))
+for _name in experiments.WORKLOADS:
+    QUERIES[f"experiment_{_name}"] = _grid(_name)
 
 
-@query()
+@query(f"""WITH {S.counts('order_brands')}, s AS (SELECT unnest([1, 2, 3]) AS seed), e AS (SELECT item, abs({S.laplace("seed || ':repeat:' || item", '2.0')}) / n AS e FROM c, s)
+    SELECT item, round(avg(e), 9) AS mean, round(stddev_samp(e) / sqrt(count(*)), 9) AS std_error, count(*) AS runs FROM e GROUP BY item""")
 def repeat_summary(spark: SparkSession, sf_dir: str) -> DataFrame:
-    runs = experiments.run_grid(spark, sf_dir, experiments.WORKLOADS["single_basis_records"], (1.0,), (1, 2, 3), (50,), (2,))
-    return metrics.repeats(runs, ["view", "method", "k", "eps"], "fnr")
+    """Mean and standard error of the relative error of item counts over three repeats."""
+    counts, rows = _view("order_brands", spark, sf_dir).item_counts(), None
+    for seed in (1, 2, 3):
+        noisy = mechanisms.laplace_release(counts, "n", 1.0, 0.5, ["item"], NoiseSource.fixed(seed), "repeat")
+        one = noisy.select("item", (F.abs(F.col("noisy") - F.col("n")) / F.col("n")).alias("e"))
+        rows = one if rows is None else rows.unionByName(one)
+    return metrics.repeats(rows, ["item"], "e").select("item", F.round("mean", 9).alias("mean"), F.round("std_error", 9).alias("std_error"), "runs")
 
 
 _BASIS_K = 50
 
 
 @query(f"""WITH rel AS ({_single_release_sql('line_records', _BASIS_K, 60, 13)}), tru AS ({S.topk('line_records', _BASIS_K, S.bitmap_sets(13))}), al AS ({S.topk('line_records', 3000, S.bitmap_sets(13))})
-    SELECT round((SELECT count(*) FROM tru ANTI JOIN rel USING (itemset)) / 50.0, 9)::DOUBLE AS fnr, round((SELECT count(*) FROM rel ANTI JOIN tru USING (itemset)) / 50.0, 9)::DOUBLE AS fpr,
+    SELECT round((SELECT count(*) FROM tru ANTI JOIN rel USING (itemset)) / 50.0, 9)::DOUBLE AS fnr, round((SELECT count(*) FROM rel ANTI JOIN tru USING (itemset)) / 50.0, 9)::DOUBLE AS fpr, round((SELECT count(*) FROM rel SEMI JOIN tru USING (itemset)) / 50.0, 9)::DOUBLE AS precision,
     (SELECT round(median(abs(noisy_freq - freq) / freq), 6) FROM rel JOIN al USING (itemset)) AS re""")
 def fnr_re_basis_line_records(spark: SparkSession, sf_dir: str) -> DataFrame:
-    tx = _view("line_records", spark, sf_dir)
-    out, truth, n = R.release_topk_private(tx, _BASIS_K, 1.0, NOISE).itemsets, mining.topk_frame(tx, _BASIS_K), tx.size()
-    published = [tuple(r["itemset"].split("|")) for r in out.select("itemset").collect()]
-    exact = spark.createDataFrame([(mining.key_of(s), c / n) for s, c in mining.supports(tx, published).items()], "itemset string, freq double")
-    both = metrics.false_negative_rate(out, truth, _BASIS_K).crossJoin(metrics.false_positive_rate(out, truth, _BASIS_K))
-    return both.crossJoin(metrics.relative_error(out, exact).select(F.round("re", 6).alias("re"))).select(F.round("fnr", 9).alias("fnr"), F.round("fpr", 9).alias("fpr"), "re")
+    with _view("line_records", spark, sf_dir).remembering() as tx:
+        out, truth, n = R.release_topk_private(tx, _BASIS_K, 1.0, NOISE).itemsets, mining.topk_frame(tx, _BASIS_K), tx.size()
+        published = [tuple(r["itemset"].split("|")) for r in out.select("itemset").collect()]  # k sets
+        exact = spark.createDataFrame([(mining.key_of(s), c / n) for s, c in mining.supports(tx, published).items()], "itemset string, freq double")
+    rates = metrics.false_negative_rate(out, truth, _BASIS_K).crossJoin(metrics.false_positive_rate(out, truth, _BASIS_K)).crossJoin(metrics.precision(out, truth, _BASIS_K))
+    both = rates.crossJoin(metrics.relative_error(out, exact).select(F.round("re", 6).alias("re")))
+    return both.select(F.round("fnr", 9).alias("fnr"), F.round("fpr", 9).alias("fpr"), F.round("precision", 9).alias("precision"), "re")
 
 
 _TOY = [set("abc"), set("abc"), set("abd"), set("ab"), set("acd"), set("bcd"), set("ae"), set("b"), set("ce"), set("abcd")]
@@ -622,7 +748,7 @@ def toy_bins(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def _errors(measure: str) -> Query:
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-        rows = experiments.run_grid(spark, sf_dir, experiments.WORKLOADS["single_basis_records"], (0.25, 1.0), (1,), (50,), (3,))
+        rows = experiments.run_grid(spark, sf_dir, experiments.WORKLOADS["single_basis_records"], (0.25, 1.0), (1, 2, 3), (50,), (3,))
         return experiments.error_table(rows, measure)
 
     return run
@@ -634,9 +760,45 @@ QUERIES["relative_error_basis_vs_tf"] = _errors("re")
 
 @query()
 def tf_best_m(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Error rate of the baseline for each length limit."""
-    rows = experiments.run_grid(spark, sf_dir, experiments.WORKLOADS["few_bases_terms"], (1.0,), (1,), (50,), (1, 2))
-    return rows.where("method = 'truncated'").select("view", "k", "eps", "m", "fnr")
+    """The baseline's length limit with the best mean precision at each k and budget, and that precision."""
+    rows = experiments.run_grid(spark, sf_dir, experiments.WORKLOADS["few_bases_terms"], (0.5, 1.0), ks=(50,))
+    best = experiments.best_m(rows).where("method = 'truncated'")
+    return best.groupBy("view", "k", "eps", "m").agg(F.round(F.avg("precision"), 9).alias("precision"), F.round(F.avg("fnr"), 9).alias("fnr"))
+
+
+@query(_zero_sql(["fnr_and_precision_add_up", "best_m_has_best_precision", "summary_has_every_point", "shared_passes_change_nothing"]))
+def experiment_invariants(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The grid on one workload: its runs are those that a release of its own makes, and what is summed up is consistent."""
+    workload, budgets = experiments.WORKLOADS["few_bases_terms"], (0.5, 1.0)
+    rows = experiments.run_grid(spark, sf_dir, workload, budgets, (1, 2), (50,))
+    got = [r.asDict() for r in rows.collect()]
+    with _view("order_terms", spark, sf_dir).remembering() as tx:
+        truth, params = mining.topk(tx, 50), R.ReleaseParams(max_basis_len=workload.max_basis_len)
+        alone = [metrics.measured(tx, R.release_topk_private(tx, 50, 0.5, NoiseSource.fixed(s), params).ranked(), truth, 50) for s in (1, 2)]
+    same = [r for r in got if r["method"] == "basis" and r["eps"] == 0.5]
+    best = {(r["eps"], r["m"]): r["p"] for r in rows.where("method = 'truncated'").groupBy("eps", "m").agg(F.avg("precision").alias("p")).collect()}
+    picked = {r["eps"]: r["m"] for r in experiments.best_m(rows).where("method = 'truncated'").select("eps", "m").distinct().collect()}
+    points = experiments.summary(rows).select("method", "eps").collect()
+    ok = {
+        "fnr_and_precision_add_up": all(abs(r["fnr"] + r["precision"] - 1) < 1e-9 for r in got),
+        "best_m_has_best_precision": all(best[e, m] >= max(p for (x, _), p in best.items() if x == e) - 1e-12 for e, m in picked.items()),
+        "summary_has_every_point": sorted((r["method"], r["eps"]) for r in points) == sorted((m, e) for m in ("basis", "truncated") for e in budgets),
+        "shared_passes_change_nothing": all(abs(r["fnr"] - a["fnr"]) < 1e-9 and abs(r["re"] - a["re"]) < 1e-6 for r, a in zip(sorted(same, key=lambda r: r["seed"]), alone, strict=True)),
+    }
+    return spark.createDataFrame(_zero_rows(ok), "check_name string, violations int")
+
+
+@query(_zero_sql([f"group_of_{g}" for g in range(1, 7)]))
+def grouping_factor_by_draws(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Measured variance of single items in bases of a size against one basis an item, over 3000 draws: within 15 % of the factor."""
+    checks = {}
+    for g in range(1, 7):
+        width = 12 / g  # twelve items in bases of g, so a bin's noise has this scale at a budget of 1
+        bins_of_one = spark.range(1 << (g - 1)).select(F.col("id").alias("mask"))
+        draws = spark.range(3000).select(F.col("id").alias("run")).join(F.broadcast(bins_of_one)).withColumn("x", NOISE.laplace(f"group{g}", width, "run", "mask"))
+        variance = draws.groupBy("run").agg(F.sum("x").alias("x")).agg(F.var_samp("x")).first()[0]
+        checks[f"group_of_{g}"] = abs(variance / (2 * 12**2) / B.grouping_factor(g) - 1) < 0.15
+    return spark.createDataFrame(_zero_rows(checks), "check_name string, violations int")
 
 
 @query(_zero_sql(["items", "bins_of_two_bases", "rank_quality"]))

@@ -2,12 +2,16 @@
 
 from __future__ import annotations
 
-from ..sources.views import UNIVERSE_SQL, VIEW_SQL
+from ..sources.views import TIDS_SQL, UNIVERSE_SQL, VIEW_SQL
 
 
 def d(view: str) -> str:
-    """CTE d(tid, item)."""
-    return f"d AS (SELECT tid, item FROM ({VIEW_SQL[view]}) WHERE item IS NOT NULL)"
+    """CTEs d(tid, item) and tids(tid), which also has the transactions without an item."""
+    return f"d AS (SELECT tid, item FROM ({VIEW_SQL[view]}) WHERE item IS NOT NULL), tids AS ({TIDS_SQL.get(view, 'SELECT DISTINCT tid FROM d')})"
+
+
+#: The number of transactions, after d.
+N = "(SELECT count(*) FROM tids)"
 
 
 def universe(view: str) -> str:
@@ -56,7 +60,7 @@ def bitmap_sets(pool: int) -> str:
 
 
 def topk(view: str, k: int, sets: str) -> str:
-    return f"""WITH {counts(view)}, {sets}, n AS (SELECT count(DISTINCT tid) AS n FROM d)
+    return f"""WITH {counts(view)}, {sets}, n AS (SELECT count(*) AS n FROM tids)
         SELECT row_number() OVER (ORDER BY support DESC, size, itemset)::INT AS rank, itemset, size::INT AS size, support::BIGINT AS support, round(support / n.n, 9) AS freq
         FROM s, n ORDER BY support DESC, size, itemset LIMIT {k}"""
 
@@ -68,7 +72,7 @@ def basis_values(bases: list[tuple[str, ...]]) -> str:
 
 #: CTEs after d and bas: bins(basis_id, mask, n), complete.
 BINS = """ids AS (SELECT basis_id, count(*) AS len FROM bas GROUP BY basis_id),
-    t AS (SELECT DISTINCT tid FROM d),
+    t AS (SELECT tid FROM tids),
     held AS (SELECT basis_id, tid, sum(1 << pos)::BIGINT AS mask FROM d JOIN bas USING (item) GROUP BY basis_id, tid),
     seen AS (SELECT i.basis_id, coalesce(h.mask, 0)::BIGINT AS mask, count(*) AS n FROM t CROSS JOIN ids i LEFT JOIN held h ON h.tid = t.tid AND h.basis_id = i.basis_id GROUP BY 1, 2),
     dom AS (SELECT basis_id, len, unnest(range(0, (1::BIGINT << len))) AS mask FROM ids),

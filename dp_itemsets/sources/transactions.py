@@ -41,6 +41,11 @@ class Transactions:
         domain = None if universe is None else spark.createDataFrame([(u,) for u in universe], "item string")
         return cls(spark.createDataFrame(rows, "tid long, items array<string>"), domain)
 
+    def need_domain(self, observed_domain: bool) -> None:
+        """A private draw is from a public domain; items that merely occur are one only if the caller vouches for that."""
+        if self.universe is None and not observed_domain:
+            raise ValueError("these transactions have no public domain of items: give a universe, or accept the observed items as public with observed_domain")
+
     @contextmanager
     def remembering(self) -> Iterator[Transactions]:
         """The same transactions, whose item counts, number and projections are computed once and kept until the end.
@@ -58,6 +63,8 @@ class Transactions:
             for df in own._kept.values():
                 if isinstance(df, DataFrame):
                     df.unpersist()
+                elif hasattr(df, "close"):
+                    df.close()
 
     def _once(self, key: object, make: Callable[[], DataFrame]) -> DataFrame:
         if self._kept is None:

@@ -2,8 +2,11 @@
 
 from __future__ import annotations
 
+import zipfile
 from collections.abc import Callable
+from pathlib import Path
 
+import pyspark
 from pyspark.ml.feature import StopWordsRemover
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -16,6 +19,33 @@ DISCOUNT_STEPS = (9, 8)
 TAX_STEPS = (7, 6)
 PRICE_STEPS = ((10_000, "10k"), (20_000, "20k"))
 
+#: The codes of a lineitem record that its columns can take, by tag; with the thermometer codes they are the public domain.
+RECORD_CODES = {
+    "flag": ("A", "N", "R"), "stat": ("F", "O"), "line": tuple(range(1, 8)), "yr": tuple(range(1995, 2002)), "ost": ("F", "O", "P"), "nat": tuple(range(25)),
+    "prio": ("1-URGENT", "2-HIGH", "3-MEDIUM", "4-NOT SPECIFIED", "5-LOW"), "seg": ("AUTOMOBILE", "BUILDING", "FURNITURE", "HOUSEHOLD", "MACHINERY"),
+}
+EVENT_TYPES = ("click", "error", "purchase", "signup", "view")
+#: Event pages are numbered below this, and vectors have so many dimensions.
+PAGES, DIMENSIONS = 100, 64
+
+
+def record_items() -> list[str]:
+    steps = [f"q>{q}" for q in QUANTITY_STEPS] + [f"d<={d}" for d in DISCOUNT_STEPS] + [f"t<={t}" for t in TAX_STEPS] + [f"p>{name}" for _, name in PRICE_STEPS]
+    return steps + [f"{tag}={code}" for tag, codes in RECORD_CODES.items() for code in codes]
+
+
+def click_items() -> list[str]:
+    return [*EVENT_TYPES, *(f"k{k}" for k in range(PAGES))]
+
+
+def sign_items() -> list[str]:
+    return [f"e{k}" for k in range(DIMENSIONS)]
+
+
+def _domain(spark: SparkSession, items: list[str]) -> DataFrame:
+    return spark.createDataFrame([(i,) for i in items], "item string")
+
+
 WORD = r"\p{L}+"
 SUFFIX = "(ing|tion|ed|es|s)$"
 LANGUAGES = ("english", "french", "german", "spanish")
@@ -40,7 +70,7 @@ def line_records(spark: SparkSession, sf_dir: str) -> Transactions:
     coded += [F.concat(F.lit(f"{tag}="), F.col(c).cast("string")) for tag, c in tags.items()]
     coded.append(F.concat(F.lit("yr="), F.year("l_shipdate").cast("string")))
     tid = F.concat_ws("-", "l_orderkey", "l_linenumber", "l_partkey", "l_suppkey", "l_extendedprice")
-    return Transactions(joined.select(tid.alias("tid"), F.sort_array(_present(*coded)).alias("items")), unit="record")
+    return Transactions(joined.select(tid.alias("tid"), F.sort_array(_present(*coded)).alias("items")), _domain(spark, record_items()), unit="record")
 
 
 def _present(*items: Column) -> Column:
@@ -55,13 +85,22 @@ def _words(text: Column) -> Column:
 def doc_words(spark: SparkSession, sf_dir: str) -> Transactions:
     """Lower-cased letter runs of a document."""
     rows = read(spark, sf_dir, "documents").select(F.col("doc_id").alias("tid"), F.sort_array(F.array_distinct(_words(F.col("text")))).alias("items"))
-    return Transactions(rows.where(F.size("items") > 0), unit="document")
+    return Transactions(rows.withColumn("items", F.coalesce("items", F.array().cast("array<string>"))), unit="document")
 
 
 def stop_words() -> list[str]:
     return sorted({w for lang in LANGUAGES for w in StopWordsRemover.loadDefaultStopWords(lang)})
 
 
+def stop_words_file() -> list[str] | None:
+    """The same lists, read from the engine's library without a session; None where it isn't beside this Python package."""
+    jars = sorted((Path(pyspark.__file__).parent / "jars").glob("spark-mllib_*.jar"))
+    if not jars:
+        return None
+    with zipfile.ZipFile(jars[0]) as jar:
+        return sorted({w for lang in LANGUAGES for w in jar.read(f"org/apache/spark/ml/feature/stopwords/{lang}.txt").decode().split("\n") if w})
+
+
 def keywords(text: Column, stop: list[str]) -> Column:
     """Letter runs of three letters or more that are no stop words, less a common suffix."""
     # a set difference hashes the stop words once a text
@@ -71,12 +110,12 @@ def keywords(text: Column, stop: list[str]) -> Column:
 
 def doc_keywords(spark: SparkSession, sf_dir: str) -> Transactions:
     rows = read(spark, sf_dir, "documents").select(F.col("doc_id").alias("tid"), keywords(F.col("text"), stop_words()).alias("items"))
-    return Transactions(rows.where(F.size("items") > 0), unit="document")
+    return Transactions(rows.withColumn("items", F.coalesce("items", F.array().cast("array<string>"))), unit="document")
 
 
 def conv_keywords(spark: SparkSession, sf_dir: str) -> Transactions:
     """Keywords of what the user says in a conversation: queries grouped by their author."""
-    said = read(spark, sf_dir, "conversations").where("role = 'user'").select("conv_id", F.explode(keywords(F.col("text"), stop_words())).alias("item"))
+    said = read(spark, sf_dir, "conversations").where("role = 'user'").select("conv_id", F.explode_outer(keywords(F.col("text"), stop_words())).alias("item"))
     return Transactions.from_long(said, "conv_id", unit="conversation")
 
 
@@ -120,19 +159,20 @@ def user_day_clicks(spark: SparkSession, sf_dir: str) -> Transactions:
     """Event types and page numbers of a user's day."""
     events = read(spark, sf_dir, "events").select("user_id", F.date_format("ts", "yyyy-MM-dd").alias("day"), "event_type", F.get_json_object("props", "$.k").alias("k"))
     items = _present(F.col("event_type"), F.when(F.col("k").isNotNull(), F.concat(F.lit("k"), F.col("k"))))
-    return Transactions.from_long(events.select(F.concat_ws("/", "user_id", "day").alias("tid"), F.explode(items).alias("item")), unit="user and day")
+    rows = events.select(F.concat_ws("/", "user_id", "day").alias("tid"), F.explode_outer(items).alias("item"))
+    return Transactions.from_long(rows, universe=_domain(spark, click_items()), unit="user and day")
 
 
 def page_words(spark: SparkSession, sf_dir: str) -> Transactions:
     """Letter runs of a page without its tags: many words on every page."""
     rows = read(spark, sf_dir, "pages").select(F.col("page_id").alias("tid"), F.sort_array(F.array_distinct(_words(F.regexp_replace("html", "<[^>]*>", " ")))).alias("items"))
-    return Transactions(rows.where(F.size("items") > 0), unit="page")
+    return Transactions(rows.withColumn("items", F.coalesce("items", F.array().cast("array<string>"))), unit="page")
 
 
 def embedding_signs(spark: SparkSession, sf_dir: str) -> Transactions:
     """Dimensions with a positive value: nearly independent items."""
     signs = F.filter(F.transform("embedding", lambda x, i: F.when(x > 0, F.concat(F.lit("e"), i.cast("string")))), lambda s: s.isNotNull())
-    return Transactions(read(spark, sf_dir, "embeddings").select(F.col("vec_id").alias("tid"), F.sort_array(signs).alias("items")), unit="vector")
+    return Transactions(read(spark, sf_dir, "embeddings").select(F.col("vec_id").alias("tid"), F.sort_array(signs).alias("items")), _domain(spark, sign_items()), unit="vector")
 
 
 VIEWS: dict[str, Callable[[SparkSession, str], Transactions]] = {
@@ -140,7 +180,6 @@ VIEWS: dict[str, Callable[[SparkSession, str], Transactions]] = {
 }
 
 
-
 def register_views(spark: SparkSession, sf_dir: str, names: list[str] | None = None) -> None:
     """Each view as a temporary SQL view tx_<name>(tid, items)."""
     for name in names or list(VIEWS):
@@ -169,10 +208,33 @@ VIEW_SQL = {
         FROM lineitem JOIN orders ON l_orderkey = o_orderkey JOIN customer ON o_custkey = c_custkey) WHERE item IS NOT NULL""",
 }
 
+def _keyword_sql(tid: str, table: str, stop: list[str]) -> str:
+    """(tid, item) of keywords: words of three letters or more but stop words, without a suffix."""
+    words = ", ".join("'" + w.replace("'", "''") + "'" for w in stop)
+    return rf"""SELECT DISTINCT tid, regexp_replace(w, '{SUFFIX}', '') AS item FROM (SELECT {tid} AS tid, unnest(regexp_extract_all(lower(text), '\p{{L}}+')) AS w FROM {table})
+        WHERE len(w) >= 3 AND w NOT IN ({words}) AND regexp_replace(w, '{SUFFIX}', '') <> ''"""
+
+
+if (_STOP := stop_words_file()) is not None:
+    VIEW_SQL["doc_keywords"] = _keyword_sql("doc_id", "documents", _STOP)
+    VIEW_SQL["conv_keywords"] = _keyword_sql("conv_id", "(SELECT * FROM conversations WHERE role = 'user')", _STOP)
+
+#: DuckDB: (tid) of all transactions, those without an item among them, of views that may have such.
+TIDS_SQL = {
+    "doc_words": "SELECT doc_id AS tid FROM documents",
+    "doc_keywords": "SELECT doc_id AS tid FROM documents",
+    "page_words": "SELECT page_id AS tid FROM pages",
+    "conv_keywords": "SELECT DISTINCT conv_id AS tid FROM conversations WHERE role = 'user'",
+    "embedding_signs": "SELECT vec_id AS tid FROM embeddings",
+}
+
 #: DuckDB: (item), the public universe of a view that has one.
 UNIVERSE_SQL = {
     "order_brands": "SELECT DISTINCT p_brand AS item FROM part",
     "order_terms": "SELECT DISTINCT unnest([p_type, p_brand, split_part(p_name, ' ', 1), split_part(p_name, ' ', 2)]) AS item FROM part",
     "order_parts": "SELECT p_partkey::VARCHAR AS item FROM part",
     "cust_terms": "SELECT DISTINCT p_type || '+' || p_brand AS item FROM part",
+    "line_records": f"SELECT unnest({record_items()}) AS item",
+    "user_day_clicks": f"SELECT unnest({click_items()}) AS item",
+    "embedding_signs": f"SELECT unnest({sign_items()}) AS item",
 }

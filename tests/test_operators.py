@@ -192,9 +192,9 @@ def test_truncated_release_limits(toy):
 def test_measures(spark, toy):
     truth = mining.topk(toy, 4)
     published = [("a", 7.0), ("b", 7.7), ("d", 4.0), ("f", 1.0)]
-    m = metrics.measured(toy, published, truth, 4, 10)
+    m = metrics.measured(toy, published, truth, 4)
     assert m["fnr"] == m["fpr"] == 0.5 and m["infinite_share"] == 0.25 and m["re"] == pytest.approx(0.05)
-    assert metrics.measured(toy, [("a|c", 4.0)] * 1, truth, 4, 10, tie_tolerant=True)["fnr"] == 1
+    assert metrics.measured(toy, [("a|c", 4.0)] * 1, truth, 4, tie_tolerant=True)["fnr"] == 1
     assert metrics.coverage_miss_rate(B.BasisSet.of(["a", "b", "c"]), truth, 4) == 0.25
     rows = spark.createDataFrame([("x", 1.0), ("x", 2.0), ("x", 3.0)], "c string, v double")
     assert metrics.repeats(rows, ["c"], "v").first()["std_error"] == pytest.approx(1 / math.sqrt(3))

@@ -10,31 +10,34 @@ import __spark_entry__ as entry
 
 OWN = {n: q for n, q in entry.queries().items() if not n.startswith("op") and n != "pipeline"}
 ORACLES = entry.oracle_sql()
-SLOW = {"repeat_summary", "ablation_table", "dataset_profile", "basis_release_invariants"}
 
+#: Queries whose parameters need the 0.01 tables: at the smallest scale their SQL lists too few set sizes, supports tie at the cut, or another rank is drawn.
+LARGER = {n for n in set(ORACLES) & set(OWN) if n.startswith(("topk_exact", "apriori", "fpgrowth", "maximal", "basis_release", "release_draws", "k_for", "threshold_for", "dataset", "tf_", "fnr_re"))}
 
-@pytest.fixture(scope="module")
-def duck(tiny):
-    con = duckdb.connect()
+
+def duck_of(folder):
+    con = duckdb.connect(config={"memory_limit": "6GB", "threads": 4})
     con.execute("SET TimeZone = 'UTC'")
-    for name in os.listdir(tiny):
-        con.execute(f"CREATE VIEW {name.removesuffix('.parquet')} AS SELECT * FROM '{tiny}/{name}'")
+    for name in os.listdir(folder):
+        con.execute(f"CREATE VIEW {name.removesuffix('.parquet')} AS SELECT * FROM '{folder}/{name}'")
     return con
 
 
+@pytest.fixture(scope="module")
+def ducks(tiny, small):
+    return {folder: duck_of(folder) for folder in (tiny, small)}
+
+
 def comparable(rows):
     fix = lambda v: "nan" if isinstance(v, float) and math.isnan(v) else round(v, 6) + 0.0 if isinstance(v, float) else v
     return sorted((tuple(map(fix, r)) for r in rows), key=repr)
 
 
-#: Queries whose parameters need the 0.01 tables: at the smallest scale their SQL lists too few set sizes, or supports tie at the cut.
-LARGER = {"apriori_order_terms", "fpgrowth_order_terms", "maximal_itemsets_order_terms", "topk_exact_doc_words", "topk_exact_page_words", "k_for_threshold", "threshold_for_k", "topk_exact_order_parts", "topk_exact_cust_terms", "topk_exact_embedding_signs", "topk_exact_order_brands"}
-
-
-@pytest.mark.parametrize("name", sorted(set(ORACLES) & set(OWN) - SLOW - LARGER))
-def test_matches_sql(spark, duck, tiny, name):
-    got = OWN[name](spark, tiny)
-    cursor = duck.execute(ORACLES[name])
+@pytest.mark.parametrize("name", sorted(set(ORACLES) & set(OWN)))
+def test_matches_sql(spark, ducks, tiny, small, name):
+    folder = small if name in LARGER else tiny
+    got = OWN[name](spark, folder)
+    cursor = ducks[folder].execute(ORACLES[name])
     names = [c[0] for c in cursor.description]
     want = cursor.fetchall()
     assert sorted(got.columns) == sorted(names)

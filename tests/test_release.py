@@ -20,7 +20,7 @@ def test_single_basis_release_is_accurate(spark, small):
     tx = VIEWS["line_records"](spark, small)
     out = R.release_topk_private(tx, 50, 0.5, FIXED)
     truth = mining.topk(tx, 50)
-    m = metrics.measured(tx, out.ranked(), truth, 50, tx.size())
+    m = metrics.measured(tx, out.ranked(), truth, 50)
     assert out.bases.width == 1 and out.lam <= 12 and m["fnr"] <= 0.06 and m["re"] < 0.01
     assert out.ledger.spent == pytest.approx(0.5) and out.report(spark).count() == 4
 
@@ -32,7 +32,7 @@ def test_infinite_budget_gives_the_truth(spark, tiny):
     wide = VIEWS["order_terms"](spark, tiny)
     rel = R.release_topk_private(wide, 50, math.inf, FIXED, R.ReleaseParams(max_basis_len=7))
     truth = mining.topk(wide, 50)
-    assert metrics.measured(wide, rel.ranked(), truth, 50, wide.size())["fnr"] == pytest.approx(metrics.coverage_miss_rate(rel.bases, truth, 50))
+    assert metrics.measured(wide, rel.ranked(), truth, 50)["fnr"] == pytest.approx(metrics.coverage_miss_rate(rel.bases, truth, 50))
 
 
 def test_boundary_of_one_basis(spark, tiny):
