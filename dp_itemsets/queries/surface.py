@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import atexit
+import contextlib
 import re
 import tempfile
 import uuid
@@ -34,9 +36,23 @@ def query(sql: str | None = None) -> Callable[[Query], Query]:
 
 
 def _shared(spark: SparkSession, name: str) -> str:
-    """A fresh path that all executors reach: below the checkpoint folder, or a temporary one where none is set."""
-    base = spark.sparkContext.getConf().get("spark.checkpoint.dir") or tempfile.mkdtemp(prefix="dp-itemsets-")
-    return f"{base}/{name}-{uuid.uuid4().hex}"
+    """A fresh path that all executors reach: below the checkpoint folder, or in the warehouse where none is set.
+
+    What earlier queries of this application left there has been read by now,
+    or is about to be: it goes when the application ends.
+    """
+    base = spark.sparkContext.getConf().get("spark.checkpoint.dir")
+    if not base:
+        base = tempfile.gettempdir() if spark.sparkContext.master.startswith("local") else spark.conf.get("spark.sql.warehouse.dir")
+    path = f"{base}/dp-itemsets-{name}-{uuid.uuid4().hex}"
+    atexit.register(_remove, spark, path)
+    return path
+
+
+def _remove(spark: SparkSession, path: str) -> None:
+    with contextlib.suppress(Exception):  # the session may be gone by then
+        target = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+        target.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(target, True)
 
 
 def _sql(name: str, text: str, duck: str | None = None) -> None:
@@ -82,6 +98,20 @@ def sink_partitioned_parquet(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.read.parquet(path).groupBy("r_name").agg(F.count("*").alias("n"))
 
 
+@query(f"WITH {S.d('order_brands')} SELECT item, count(*) AS n FROM d GROUP BY item")
+def sink_table(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Transactions in long form as a table, bucketed by transaction, and their counts from it."""
+    name = f"tx_{uuid.uuid4().hex}"
+    files.write_table(VIEWS["order_brands"](spark, sf_dir), name)
+    atexit.register(_drop, spark, name)
+    return files.read_table(spark, name).item_counts()
+
+
+def _drop(spark: SparkSession, name: str) -> None:
+    with contextlib.suppress(Exception):
+        spark.sql(f"DROP TABLE IF EXISTS {name}")
+
+
 _sql("project_coded_items", "SELECT concat_ws('=', 'flag', l_returnflag) AS item, CAST(l_linenumber AS BIGINT) + 1 AS next_line, count(*) AS n FROM {lineitem} GROUP BY 1, 2")
 _sql("filter_predicates", "SELECT o_orderstatus, count(*) AS n FROM {orders} WHERE o_orderpriority IN ('1-URGENT', '2-HIGH') AND o_orderstatus LIKE '%O%' OR o_totalprice BETWEEN 1000 AND 50000 GROUP BY o_orderstatus")
 _sql("filter_regex_null", "SELECT count(*) AS n, count(nullif(p_size, 1)) AS no_ones FROM {part} WHERE regexp_like(p_name, '^(small|red) ') AND p_brand IS NOT NULL", "SELECT count(*) AS n, count(nullif(p_size, 1)) AS no_ones FROM part WHERE regexp_matches(p_name, '^(small|red) ') AND p_brand IS NOT NULL")
@@ -257,14 +287,14 @@ def sql_noise_functions(spark: SparkSession, sf_dir: str) -> DataFrame:
 # --- streams -------------------------------------------------------------------
 
 
-def _name() -> str:
-    return f"stream_{uuid.uuid4().hex}"
+def _drained(stream: DataFrame) -> DataFrame:
+    return windows.drain(stream, _shared(stream.sparkSession, "stream"))
 
 
 @query("SELECT date_trunc('day', ts) AS opened, user_id, count(DISTINCT event_type) AS kinds FROM events WHERE date_trunc('day', ts) + INTERVAL 1 DAY <= (SELECT max(ts) FROM events) - INTERVAL 1 DAY GROUP BY 1, 2")
 def stream_tumbling_transactions(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Final windows only: those that the watermark has passed."""
-    rows = windows.drain(windows.transactions(windows.event_stream(spark, sf_dir), windows.tumbling("1 day")), _name())
+    rows = _drained(windows.transactions(windows.event_stream(spark, sf_dir), windows.tumbling("1 day")))
     return rows.select(F.col("opened").cast("timestamp_ntz").alias("opened"), "user_id", F.size("items").cast("long").alias("kinds"))
 
 
@@ -272,7 +302,7 @@ def stream_tumbling_transactions(spark: SparkSession, sf_dir: str) -> DataFrame:
     y AS (SELECT user_id, ts, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS s FROM x), z AS (SELECT user_id, s, max(ts) + INTERVAL 2 HOUR AS closed, count(*) AS n FROM y GROUP BY 1, 2)
     SELECT user_id, count(*) AS sessions FROM z WHERE closed <= (SELECT max(ts) FROM events) - INTERVAL 1 DAY GROUP BY user_id""")
 def stream_sessions(spark: SparkSession, sf_dir: str) -> DataFrame:
-    rows = windows.drain(windows.transactions(windows.event_stream(spark, sf_dir), windows.sessions("2 hours")), _name())
+    rows = _drained(windows.transactions(windows.event_stream(spark, sf_dir), windows.sessions("2 hours")))
     return rows.groupBy("user_id").agg(F.count("*").alias("sessions"))
 
 
@@ -280,7 +310,7 @@ def stream_sessions(spark: SparkSession, sf_dir: str) -> DataFrame:
     WHERE opened + INTERVAL 12 HOUR <= (SELECT max(ts) FROM events) - INTERVAL 1 DAY GROUP BY opened""")
 def stream_sliding_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     e = windows.event_stream(spark, sf_dir).withWatermark("ts", "1 day").groupBy(windows.sliding("12 hours", "6 hours").alias("w")).agg(F.count("*").alias("n"))
-    return windows.drain(e.select(F.col("w.start").cast("timestamp_ntz").alias("opened"), "n"), _name())
+    return _drained(e.select(F.col("w.start").cast("timestamp_ntz").alias("opened"), "n"))
 
 
 _BASIS = ("click", "purchase", "view")
@@ -289,24 +319,42 @@ _BASIS = ("click", "purchase", "view")
 @query("""SELECT date_trunc('day', ts) AS opened, (CASE event_type WHEN 'click' THEN 1 WHEN 'purchase' THEN 2 WHEN 'view' THEN 4 ELSE 0 END)::INT AS mask, count(*) AS n FROM events
     WHERE date_trunc('day', ts) + INTERVAL 1 DAY <= (SELECT max(ts) FROM events) - INTERVAL 1 DAY GROUP BY 1, 2""")
 def stream_window_bins(spark: SparkSession, sf_dir: str) -> DataFrame:
-    rows = windows.drain(windows.window_bins(windows.event_stream(spark, sf_dir), "1 day", _BASIS), _name())
+    rows = _drained(windows.window_bins(windows.event_stream(spark, sf_dir), "1 day", _BASIS))
     return rows.select(F.col("opened").cast("timestamp_ntz").alias("opened"), "mask", "n")
 
 
-@query()
+_FINAL = "date_trunc('day', ts) + INTERVAL 1 DAY <= (SELECT max(ts) FROM events) - INTERVAL 1 DAY"
+_RELEASED = f"""WITH e AS (SELECT date_trunc('day', ts) AS opened, (CASE event_type WHEN 'click' THEN 1 WHEN 'purchase' THEN 2 WHEN 'view' THEN 4 ELSE 0 END) AS mask, count(*) AS n FROM events WHERE {_FINAL} GROUP BY 1, 2),
+    bins AS (SELECT o.opened, t.m AS mask, coalesce(e.n, 0) AS n FROM (SELECT DISTINCT opened FROM e) o CROSS JOIN range(0, 8) t(m) LEFT JOIN e ON e.opened = o.opened AND e.mask = t.m),
+    noisy AS (SELECT opened, mask, n + {S.laplace("'42:window:' || strftime(opened, '%Y-%m-%d %H:%M:%S') || ':' || mask", '1.0')} AS noisy FROM bins),
+    sums AS (SELECT a.opened, t.m AS mask, sum(a.noisy) AS nc FROM noisy a JOIN range(1, 8) t(m) ON (a.mask & t.m) = t.m GROUP BY 1, 2)
+    SELECT opened, array_to_string(list_filter(['click', 'purchase', 'view'], lambda x, i: (mask >> (i - 1)) & 1 = 1), '|') AS itemset, round(nc, 6) AS noisy_count FROM sums"""
+
+
+@query(_RELEASED)
 def stream_window_release(spark: SparkSession, sf_dir: str) -> DataFrame:
-    final = windows.drain(windows.window_bins(windows.event_stream(spark, sf_dir), "1 day", _BASIS), _name())
-    return windows.release_windows(final, _BASIS, 1.0, NoiseSource.fixed(42))
+    """Windows published as they close, batch by batch."""
+    bins = windows.window_bins(windows.event_stream(spark, sf_dir), "1 day", _BASIS)
+    rows = windows.release_stream(bins, _BASIS, 1.0, NoiseSource.fixed(42), _shared(spark, "release"))
+    return rows.select(F.col("opened").cast("timestamp_ntz").alias("opened"), "itemset", "noisy_count")
+
+
+@query("SELECT user_id, count(*) AS n_events, count(DISTINCT event_type) AS n_kinds FROM events GROUP BY user_id")
+def stream_own_state(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The last running total of each user."""
+    rows = windows.drain_updates(windows.running_item_counts(windows.event_stream(spark, sf_dir)), _shared(spark, "state"))
+    last = F.struct("n_events", "n_kinds")
+    return rows.groupBy("user_id").agg(F.max(last).alias("last")).select("user_id", "last.n_events", "last.n_kinds")
 
 
 @query("SELECT event_type, count(DISTINCT event_id) AS n FROM events GROUP BY event_type")
 def stream_deduplicated(spark: SparkSession, sf_dir: str) -> DataFrame:
     e = windows.event_stream(spark, sf_dir)
-    return windows.drain(windows.deduplicated(e.union(e), "40 days"), _name()).groupBy("event_type").agg(F.count("*").alias("n"))
+    return _drained(windows.deduplicated(e.union(e), "40 days")).groupBy("event_type").agg(F.count("*").alias("n"))
 
 
 @query("SELECT item_id, count(*) AS n FROM events JOIN (VALUES ('click', 1), ('view', 2)) AS t(event_type, item_id) USING (event_type) GROUP BY item_id")
 def stream_static_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     words = spark.createDataFrame([("click", 1), ("view", 2)], "event_type string, item_id int")
-    rows = windows.drain(windows.enriched(windows.event_stream(spark, sf_dir), words).where("item_id is not null").select("item_id"), _name())
+    rows = _drained(windows.enriched(windows.event_stream(spark, sf_dir), words).where("item_id is not null").select("item_id"))
     return rows.groupBy("item_id").agg(F.count("*").alias("n"))

@@ -30,6 +30,15 @@ def read_json(spark: SparkSession, path: str) -> Transactions:
     return Transactions(rows.select("tid", F.sort_array(F.array_distinct("items")).alias("items")))
 
 
+def write_table(tx: Transactions, name: str, buckets: int = 8) -> None:
+    """A table of (tid, item), bucketed by tid so that grouping or joining by transaction needs no shuffle."""
+    tx.rows.select("tid", F.explode_outer("items").alias("item")).write.mode("overwrite").bucketBy(buckets, "tid").sortBy("tid").saveAsTable(name)
+
+
+def read_table(spark: SparkSession, name: str) -> Transactions:
+    return Transactions.from_long(spark.table(name))
+
+
 def write_release(release: DataFrame, path: str, fmt: str = "parquet", partition_by: list[str] | None = None) -> None:
     writer = release.write.mode("overwrite")
     if partition_by:

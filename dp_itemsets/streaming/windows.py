@@ -8,11 +8,12 @@ Noise is drawn once a window is final: append mode emits each just once.
 
 from __future__ import annotations
 
-from collections.abc import Callable
+from collections.abc import Iterator
 
+import pandas as pd
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
-from pyspark.sql.streaming import StreamingQuery
+from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 from ..functions.noise import NoiseSource
 from ..operators.bases import BasisSet
@@ -84,14 +85,59 @@ def release_windows(counts: DataFrame, basis: tuple[str, ...], eps: float, noise
     return sums.join(F.broadcast(names), "mask").select("opened", "itemset", F.round("nc", 6).alias("noisy_count"))
 
 
-def drain(stream: DataFrame, name: str, mode: str = "append", on_batch: Callable[[DataFrame, int], None] | None = None) -> DataFrame | StreamingQuery:
-    """Runs a stream over what is there and returns its rows (or, with on_batch, the ended query)."""
-    spark = stream.sparkSession
-    writer = stream.writeStream.outputMode(mode).trigger(availableNow=True)
-    if on_batch is not None:
-        query = writer.foreachBatch(on_batch).start()
-        query.awaitTermination()
-        return query
-    query = writer.format("memory").queryName(name).start()
+def drain(stream: DataFrame, path: str) -> DataFrame:
+    """Runs an appending stream over what is there into a table of files, and reads that; path must be one that all executors reach."""
+    query = stream.writeStream.outputMode("append").trigger(availableNow=True).format("parquet").option("checkpointLocation", f"{path}/state").start(f"{path}/rows")
     query.awaitTermination()
-    return spark.table(name)
+    return stream.sparkSession.read.schema(stream.schema).parquet(f"{path}/rows")
+
+
+def release_stream(counts: DataFrame, basis: tuple[str, ...], eps: float, noise: NoiseSource, path: str) -> DataFrame:
+    """Releases every window of a stream of final bins (opened, mask, n) as it closes, batch by batch, into a table of files.
+
+    A batch that is run again after a failure replaces its own part of the
+    table with the same draws, so no window is published with two noises.
+    """
+
+    def publish(batch: DataFrame, number: int) -> None:
+        release_windows(batch, basis, eps, noise).write.mode("overwrite").parquet(f"{path}/rows/batch={number}")
+
+    release_windows(counts.sparkSession.createDataFrame([], counts.schema), basis, eps, noise).write.parquet(f"{path}/rows/batch=-1")  # a stream without rows leaves an empty table
+    query = counts.writeStream.outputMode("append").trigger(availableNow=True).option("checkpointLocation", f"{path}/state").foreachBatch(publish).start()
+    query.awaitTermination()
+    return counts.sparkSession.read.schema("opened timestamp, itemset string, noisy_count double").parquet(f"{path}/rows")
+
+
+def running_item_counts(events: DataFrame, most: int = 10_000) -> DataFrame:
+    """(user_id, n_events, n_kinds): running totals of each user, kept as state of our own: how many events, and which kinds of them.
+
+    In update mode a user has a row for each batch that has events of theirs.
+    The kinds of a user are as many as the public domain has; beyond ``most``
+    the state refuses.
+    """
+
+    def update(key: tuple, groups: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
+        n, kinds = state.get if state.exists else (0, "")
+        seen = set(kinds.split("|")) - {""}
+        for g in groups:
+            n += len(g)
+            seen.update(g["event_type"].dropna())
+        if len(seen) > most:
+            raise ValueError("a user has more kinds of events than the domain allows")
+        state.update((n, "|".join(sorted(seen))))
+        yield pd.DataFrame({"user_id": [key[0]], "n_events": [n], "n_kinds": [len(seen)]})
+
+    out, kept = "user_id long, n_events long, n_kinds long", "n long, kinds string"
+    return events.groupBy("user_id").applyInPandasWithState(update, out, kept, "update", GroupStateTimeout.NoTimeout)
+
+
+def drain_updates(stream: DataFrame, path: str) -> DataFrame:
+    """Runs an updating stream over what is there; (batch, rows) of all its batches as a table."""
+
+    def keep(batch: DataFrame, number: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{path}/rows/batch={number}")
+
+    stream.sparkSession.createDataFrame([], stream.schema).write.parquet(f"{path}/rows/batch=-1")
+    query = stream.writeStream.outputMode("update").trigger(availableNow=True).option("checkpointLocation", f"{path}/state").foreachBatch(keep).start()
+    query.awaitTermination()
+    return stream.sparkSession.read.parquet(f"{path}/rows")
