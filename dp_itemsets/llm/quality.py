@@ -24,7 +24,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import blocks, doc_hash, space_words, texts
+from .common import blocks, checkpointed, doc_hash, drop_checkpoint, space_words, texts
 
 #: Hash buckets of words.
 WORDS = 1 << 16
@@ -35,6 +35,8 @@ FACTORS = 8
 SCORED_BYTES = 4 << 20
 #: Most labelled rows that training takes: those with the smallest hash of their id.
 SAMPLE_ROWS = 12_000
+#: Most features of the rows that training takes: rows are left out from the largest hash on.  Twelve bytes each reach the driver.
+SAMPLE_FEATURES = 20_000_000
 
 STATISTICS = ("length", "words", "word_length", "distinct", "upper", "digit", "symbol", "space", "non_ascii", "lines", "repeated_lines", "odd_ends", "lone_symbols", "commonest", "repeats")
 
@@ -144,7 +146,9 @@ class FactorisationMachine:
 
 def _metadata(columns: list[str]) -> list[Column]:
     """Numeric columns as log-scaled values between 0 and 1; null stays null."""
-    return [F.least(F.log1p(F.greatest(F.col(c).cast("double"), F.lit(0.0))) / F.lit(16.0), F.lit(1.0)).alias(f"m{k}") for k, c in enumerate(columns)]
+    # least and greatest pass over nulls, so null is asked for first
+    scaled = lambda c: F.least(F.log1p(F.greatest(F.col(c).cast("double"), F.lit(0.0))) / F.lit(16.0), F.lit(1.0))
+    return [F.when(F.col(c).isNotNull(), scaled(c)).alias(f"m{k}") for k, c in enumerate(columns)]
 
 
 def _rows(batch: pa.RecordBatch, metadata: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -153,8 +157,8 @@ def _rows(batch: pa.RecordBatch, metadata: int) -> tuple[np.ndarray, np.ndarray,
     return np.concatenate([i for i, _ in found]), np.concatenate([v for _, v in found]), np.cumsum(sizes) - sizes
 
 
-def train(docs: DataFrame, labels: DataFrame, metadata: list[str], sample_rows: int = SAMPLE_ROWS, label: str = "quality") -> FactorisationMachine:
-    """Fits on at most ``sample_rows`` labelled ids (the smallest hashes of their id); the sample's features come to the driver.
+def train(docs: DataFrame, labels: DataFrame, metadata: list[str], sample_rows: int = SAMPLE_ROWS, label: str = "quality", sample_features: int = SAMPLE_FEATURES) -> FactorisationMachine:
+    """Fits on at most ``sample_rows`` labelled ids (the smallest hashes of their id) with ``sample_features`` features in all, which come to the driver.
 
     An id with several labels counts by their mean, one with several rows by
     the smallest text (null first).  Without any label the
@@ -177,7 +181,20 @@ def train(docs: DataFrame, labels: DataFrame, metadata: list[str], sample_rows:
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("y"), pa.ListArray.from_arrays(cut, index), pa.ListArray.from_arrays(cut, value)], ["doc_id", "y", "index", "value"])
 
     kind = docs.schema["doc_id"].dataType.simpleString()
-    got = joined.mapInArrow(run, f"doc_id {kind}, y double, index array<int>, value array<float>").toArrow().combine_chunks()
+    found = checkpointed(joined.mapInArrow(run, f"doc_id {kind}, y double, index array<int>, value array<float>"))
+    # the rows' sizes, at most sample_rows, say where the features stop
+    sizes = sorted(found.select(F.xxhash64("doc_id").alias("h"), "doc_id", F.size("index").alias("n")).collect())
+    total, last = 0, None
+    for r in sizes:
+        total += r["n"]
+        if total > sample_features:
+            break
+        last = r
+    if last is None:
+        return FactorisationMachine.fresh(size_of(n))
+    place = F.struct(F.xxhash64("doc_id").alias("h"), "doc_id")
+    got = found.where(place <= F.struct(F.lit(last["h"]).alias("h"), F.lit(last["doc_id"]).cast(kind).alias("doc_id"))).toArrow().combine_chunks()
+    drop_checkpoint(found)
     model = FactorisationMachine.fresh(size_of(n))
     if not got.num_rows:
         return model

@@ -140,6 +140,49 @@ def test_machine_interactions_equal_pairwise_sum():
     assert model.raw(index, value, np.array([0]))[0] == pytest.approx(plain, rel=1e-4)
 
 
+def plain_features(text, metadata):
+    """Words by bucket and statistics by step, as the operator's text states them, in plain loops."""
+    words = re.findall(r"[^\x20\x09-\x0D]+", lower(text))
+    data, rows, n, w = text.encode(), text.encode().split(b"\n"), max(len(text.encode()), 1), max(len(words), 1)
+    of = lambda ok: sum(map(ok, data))
+    symbol = lambda b: 32 < b < 127 and not chr(b).isalnum() and chr(b) not in ".,"
+    mark = lambda c: c.isascii() and c.isprintable() and not c.isalnum() and c != " "
+    pieces = [x for x in re.split(r"[\x20\x09-\x0D]+", text) if x]
+    stats = [
+        np.log1p(len(data)) / 16, np.log1p(len(words)) / 14, min(len(data) / w / 24, 1), len(set(words)) / w, of(lambda b: 65 <= b <= 90) / n, of(lambda b: 48 <= b <= 57) / n * 4,
+        min(of(symbol) / n * 3, 1), of(lambda b: b in (9, 10, 11, 12, 13, 32)) / n * 2, of(lambda b: b > 127) / n, np.log1p(len(rows)) / 10, 1 - len(set(rows)) / len(rows),
+        sum(len(x) > 1 and mark(x[-1]) and mark(x[-2]) for x in pieces) / w, sum(all(map(mark, x)) for x in pieces) / w,
+        max(Counter(words).values(), default=0) / w, sum(a == b for a, b in zip(words, words[1:], strict=False)) / w, *metadata,
+    ]
+    buckets = sorted(zlib.crc32(x.encode()) % quality.WORDS for x in set(words))
+    out = [(b, 1 / max(len(buckets), 1) ** 0.5) for b in buckets]
+    return out + [(quality.WORDS + k * 25 + (24 if v is None else min(int(v * 24), 23)), 1 / len(stats) ** 0.5) for k, v in enumerate(stats)]
+
+
+def test_quality_matches_plain_version(spark, docs):
+    """Features and scores of whole texts, pair by pair, for a machine with random parameters."""
+    some = docs.where("length(text) < 1200").limit(25).collect()
+    model, draw = quality.FactorisationMachine.fresh(quality.size_of(1)), np.random.default_rng(4)
+    model.weights[:] = draw.normal(size=model.weights.shape)
+    model.bias = 0.3
+    odd = [(10**6 + k, t, None) for k, t in enumerate(("", "A a A b", "%%% !!! x?! y..", "x\ty\nz\nz", "Ünï 123 ,,"))]
+    frame = spark.createDataFrame([(r["doc_id"], r["text"], r["n_chars"]) for r in some] + odd, "doc_id long, text string, n_chars long")
+    got = {r["doc_id"]: r["score"] for r in quality.score(frame, model, ["n_chars"], quality.held_out()).collect()}
+    for r in frame.collect():
+        x = plain_features(r["text"], [None if r["n_chars"] is None else min(np.log1p(r["n_chars"]) / 16, 1)])
+        raw = model.bias + sum(float(model.weights[i]) * v for i, v in x)
+        v = np.array([model.factors[i] * np.float64(value) for i, value in x])
+        raw += sum(float(v[a] @ v[b]) for a in range(len(x)) for b in range(a))
+        assert got[r["doc_id"]] == pytest.approx(1 / (1 + np.exp(-raw)), abs=1e-4)
+
+
+def test_quality_training_is_bounded_in_features(spark, docs):
+    labels = docs.selectExpr("doc_id", "cast(doc_id % 2 AS int) AS quality")
+    whole, less = quality.train(docs, labels, ["n_chars"]), quality.train(docs, labels, ["n_chars"], sample_features=3000)
+    assert not np.array_equal(whole.weights, less.weights) and less.weights.any()
+    assert not quality.train(docs, labels, ["n_chars"], sample_features=1).weights.any()
+
+
 def test_quality_awkward(spark):
     frame = awkward(spark)
     labels = spark.createDataFrame([(k, k % 2, 0) for k in range(9)] + [(1, 0, 0), (None, 1, 0), (3, None, 0)], "doc_id long, quality int, toxic int")
