@@ -142,7 +142,10 @@ def top_items(tx: Transactions, k: int) -> list[tuple[str, int]]:
 
 def topk(tx: Transactions, k: int, max_len: int | None = None) -> list[Found]:
     """The k most frequent itemsets, in order, exactly; made once where the transactions remember."""
-    return tx.kept(("topk", k, max_len), lambda: _topk(tx, k, max_len))
+    most, found = tx.kept(("topk", max_len), lambda: (k, _topk(tx, k, max_len)))
+    if most < k:  # a longer list begins with the shorter one
+        most, found = tx.kept_anew(("topk", max_len), (k, _topk(tx, k, max_len)))
+    return found[:k]
 
 
 def _topk(tx: Transactions, k: int, max_len: int | None) -> list[Found]:

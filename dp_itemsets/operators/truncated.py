@@ -59,8 +59,10 @@ def explicit_itemsets(tx: Transactions, m: int, floor_count: float, exactly: boo
         n_sets = min(n_sets, candidate_space(tx.item_counts().where("n > 0").count(), m))
         if n_sets > MOST_EXPLICIT:
             raise mining.TooManySets(f"the floor is at or below 0: up to {n_sets:.3g} supported sets would be listed")
-    found = tx.kept(("explicit", m, least), lambda: mining.apriori(tx, least, m))
-    return [f for f in found if not exactly or len(f.items) == m]
+    known, found = tx.kept(("explicit", m), lambda: (least, mining.apriori(tx, least, m)))
+    if known > least:  # a lower floor lists what a higher one does
+        known, found = tx.kept_anew(("explicit", m), (least, mining.apriori(tx, least, m)))
+    return [f for f in found if f.support >= least and (not exactly or len(f.items) == m)]
 
 
 def _choose(n, i: int):

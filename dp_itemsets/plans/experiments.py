@@ -11,6 +11,7 @@ published, for the measures.
 
 from __future__ import annotations
 
+import math
 import time
 from collections.abc import Iterable, Iterator
 from dataclasses import dataclass
@@ -172,9 +173,14 @@ def release_grid(tx: Transactions, k: int, runs: Iterable[Run], params: ReleaseP
 def run_grid(spark: SparkSession, sf_dir: str, workload: Workload, budgets: Iterable[float] | None = None, seeds: Iterable[int] = SEEDS, ks: Iterable[int] | None = None, ms: Iterable[int] | None = None) -> DataFrame:
     """A row for each run of each method; where the baseline can't run, its measures are null and the status says why."""
     out: list[tuple] = []
-    with VIEWS[workload.view](spark, sf_dir).remembering() as tx:
-        for k in ks or workload.ks:
-            out += _run_k(tx, workload, k, [(float(e), s) for e in budgets or workload.budgets for s in seeds], list(ms or workload.ms))
+    kept = VIEWS[workload.view](spark, sf_dir).cached()  # every pool of items is a pass over them
+    try:
+        with kept.remembering() as tx:
+            mining.topk(tx, math.ceil(max(ks or workload.ks) * workload.eta))  # the lists of all ks are parts of this one
+            for k in ks or workload.ks:
+                out += _run_k(tx, workload, k, [(float(e), s) for e in budgets or workload.budgets for s in seeds], list(ms or workload.ms))
+    finally:
+        kept.rows.unpersist()
     return spark.createDataFrame(out, SCHEMA)
 
 
@@ -187,7 +193,7 @@ def _run_k(tx: Transactions, workload: Workload, k: int, runs: list[Run], ms: li
     seconds = (time.time() - began) / len(runs)
     chosen: dict[tuple, tuple] = {}
     for m in ms:
-        for eps, seed in runs:
+        for eps, seed in sorted(runs):  # the smallest budget has the lowest floor, whose list serves the others
             began = time.time()
             try:
                 got = select(tx, k, m, eps, NoiseSource.fixed(seed), observed_domain=observed)

@@ -81,6 +81,12 @@ class Transactions:
             self._kept[key] = make()
         return self._kept[key]
 
+    def kept_anew(self, key: object, value: Any) -> Any:
+        """Replaces a kept value while remembering."""
+        if self._kept is not None:
+            self._kept[key] = value
+        return value
+
     def size(self) -> int:
         if self._kept is None:
             return self.rows.count()
