@@ -47,7 +47,9 @@ LONG = PASSAGE // 2 + 1
 #: Tasks over which the places of a repeated chunk are dealt.
 SALTS = 4
 #: Text bytes that a worker holds when texts and removals meet again.
-REJOINED_BYTES = 4 << 20
+REJOINED_BYTES = 2 << 20
+#: Text bytes whose chunks a worker holds.
+CHUNKED_BYTES = 3 << 20
 
 _BASE = 0x9E3779B97F4A7C15
 _MASK = (1 << 64) - 1
@@ -123,7 +125,7 @@ def _places(docs: DataFrame) -> tuple[DataFrame, DataFrame]:
                     yield doc, key, a << 32 | b, _digest(b"".join(digests[a:b]))
 
     def distinct(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in blocks(batches):
+        for batch in blocks(batches, limit=CHUNKED_BYTES):
             seen: dict[bytes, list] = {}
             for doc, key, span, d in chunks(batch):
                 at = (doc is None, doc if doc is not None else nothing, key, span)
@@ -136,7 +138,7 @@ def _places(docs: DataFrame) -> tuple[DataFrame, DataFrame]:
             yield out(rows, [pa.binary(), pa.int64(), batch.column("doc_id").type, pa.int64(), pa.int64()], ["d", "n", "doc", "key", "span"])
 
     def every(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in blocks(batches):
+        for batch in blocks(batches, limit=CHUNKED_BYTES):
             rows = [(d, doc, key, span) for doc, key, span, d in chunks(batch)]
             yield out(rows, [pa.binary(), batch.column("doc_id").type, pa.int64(), pa.int64()], ["d", "doc", "key", "span"])
 
