@@ -27,7 +27,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import blocks, checkpointed, free_names, space_words, texts
+from .common import blocks, checkpointed, drop_checkpoint, free_names, space_words, texts
 
 SEED = 42
 SHINGLE = 3
@@ -111,7 +111,7 @@ def anchor_rows(fps: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     return np.concatenate(keys), np.concatenate(prints), np.concatenate(home)
 
 
-class _Forest:
+class Forest:
     """Union-find over the indices of a group."""
 
     def __init__(self, n: int):
@@ -136,7 +136,7 @@ def group_links(fps: np.ndarray, home: np.ndarray, threshold: int = THRESHOLD) -
     out: list[tuple[int, int]] = []
     if not residents or fps.size < 2:
         return out
-    forest = _Forest(fps.size)
+    forest = Forest(fps.size)
     if residents * fps.size <= PAIRS:
         step = max(1, (1 << 20) // fps.size)
         for a in range(0, residents, step):
@@ -229,7 +229,8 @@ def connected(links: DataFrame) -> DataFrame:
         large = both.join(least, "u").where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u <> v").distinct()
         low = large.groupBy("u").agg(F.min("v").alias("m"))
         small = large.join(low, "u").select(F.when(F.col("v") == F.col("m"), F.col("u")).otherwise(F.col("v")).alias("u"), F.col("m").alias("v")).where("u <> v").distinct()
-        edges = checkpointed(small)
+        before, edges = edges, checkpointed(small)
+        drop_checkpoint(before)
         now = tuple(edges.agg(F.count("*"), F.coalesce(F.sum(F.xxhash64("u", "v").cast("decimal(38,0)")), F.lit(0))).first())
         if now == state:
             break
@@ -265,40 +266,59 @@ def components(docs: DataFrame, size: int = SHINGLE, threshold: int = THRESHOLD)
     )
 
 
+def keyed_fingerprint(docs: DataFrame, size: int = SHINGLE) -> DataFrame:
+    """(doc_id, key, fp): as ``fingerprint``, with the hash of the text."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in blocks(batches):
+            rows = texts(batch.column("text"))
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), text_keys(rows), pa.array(fingerprints_of(rows, size).view(np.int64))], ["doc_id", "key", "fp"])
+
+    kind = docs.schema["doc_id"].dataType.simpleString()
+    return docs.select("doc_id", "text").mapInArrow(run, f"doc_id {kind}, key long, fp long")
+
+
+def text_keys(rows: list[bytes]) -> pa.Array:
+    return pa.array(np.array([xxhash.xxh64_intdigest(t) for t in rows], np.uint64).view(np.int64))
+
+
 def keep_first(docs: DataFrame, size: int = SHINGLE, threshold: int = THRESHOLD) -> DataFrame:
-    """The rows of ``docs``, all columns as they are, with one of each component: that of the smallest doc_id.
+    """The rows of ``docs``, all columns as they are, with one of each component: that of the smallest doc_id (null last).
 
-    Where several rows share that id and fingerprint, the one with the smallest
-    text stays (null first, then by the other columns' JSON).
+    Where rows of that id have several texts, the one with the smallest hash of
+    its text stays; of fully equal ids and texts the first by the other columns'
+    JSON.
     """
-    return keep_heads(
-        docs, checkpointed(fingerprint(docs, size)), lambda found: fingerprints_of(found, size).view(np.int64),
-        lambda distinct: connected(fingerprint_links(distinct, threshold)),
-    )
+    return keep_heads(docs, checkpointed(keyed_fingerprint(docs, size)), lambda prints: connected(fingerprint_links(prints.select("fp").distinct(), threshold)))
 
 
-def keep_heads(docs: DataFrame, prints: DataFrame, marks_of: Callable[[list[bytes]], np.ndarray], roots_of: Callable[[DataFrame], DataFrame]) -> DataFrame:
-    """``keep_first`` for any mark of a text: prints holds (doc_id, fp), marks_of gives fp again, roots_of the (node, root) of linked ones."""
-    fp, head_fp, head_doc, chosen = free_names(docs.columns, "fp", "head_fp", "head_doc", "row")
-    schema = T.StructType([*docs.schema.fields, T.StructField(fp, T.LongType())])
+def keep_heads(docs: DataFrame, prints: DataFrame, roots_of: Callable[[DataFrame], DataFrame]) -> DataFrame:
+    """``keep_first`` for any mark of a text: prints holds (doc_id, key, fp) of every row, key the hash of its text, and roots_of gives (node, root) of linked marks.
 
-    def marked(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    Marks are costly, and made once: rows find out whether they stay by their id
+    and the hash of their text.
+    """
+    key, head_key, head_doc, chosen = free_names(docs.columns, "key", "head_key", "head_doc", "row")
+    schema = T.StructType([*docs.schema.fields, T.StructField(key, T.LongType())])
+
+    def keyed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in blocks(batches):
-            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(marks_of(texts(batch.column("text"))))], schema.names)
+            yield pa.RecordBatch.from_arrays([*batch.columns, text_keys(texts(batch.column("text")))], schema.names)
 
-    distinct = _distinct(prints)
-    heads = named_classes(distinct, roots_of(distinct)).where("fp = head").select(F.col("fp").alias(head_fp), F.col("component_id").alias(head_doc))
+    least = F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "key")).alias("least")
+    distinct, roots = prints.groupBy("fp").agg(least), roots_of(prints)
+    members = distinct.join(roots, distinct["fp"] == roots["node"], "left").select(F.coalesce("root", "fp").alias("root"), "least")
+    heads = checkpointed(members.groupBy("root").agg(F.min("least").alias("least")).select(F.col("least.key").alias(head_key), F.col("least.doc_id").alias(head_doc)))
     # rows of a head that repeat: few, or none
-    repeated = prints.groupBy("doc_id", "fp").agg(F.count("*").alias("n")).where("n > 1").select(F.col("fp").alias(head_fp), F.col("doc_id").alias(head_doc))
-    twice = checkpointed(repeated.join(heads, repeated[head_fp].eqNullSafe(heads[head_fp]) & repeated[head_doc].eqNullSafe(heads[head_doc]), "left_semi"))
+    repeated = prints.groupBy("doc_id", "key").agg(F.count("*").alias("n")).where("n > 1").select(F.col("key").alias(head_key), F.col("doc_id").alias(head_doc))
+    twice = checkpointed(repeated.join(heads, repeated[head_key].eqNullSafe(heads[head_key]) & repeated[head_doc].eqNullSafe(heads[head_doc]), "left_semi"))
 
-    def among(rows: DataFrame, keys: DataFrame, how: str) -> DataFrame:
-        return rows.join(keys, (rows[fp] == keys[head_fp]) & rows["doc_id"].eqNullSafe(keys[head_doc]), how)
+    def among(rows: DataFrame, some: DataFrame, how: str) -> DataFrame:
+        return rows.join(some, (rows[key] == some[head_key]) & rows["doc_id"].eqNullSafe(some[head_doc]), how)
 
-    kept = among(docs.mapInArrow(marked, schema), heads, "left_semi")
+    kept = among(docs.mapInArrow(keyed, schema), heads, "left_semi")
     if twice.isEmpty():
-        return kept.drop(fp)
+        return kept.drop(key)
     row = F.struct(*[F.col(c) for c in docs.columns])
-    order = F.struct(F.col("text").isNotNull().alias("some"), F.col("text").alias("text"), F.to_json(row).alias("json"))
-    one = among(kept, twice, "left_semi").groupBy(fp, "doc_id").agg(F.min_by(row, order).alias(chosen))
-    return among(kept, twice, "left_anti").drop(fp).unionByName(one.select(f"{chosen}.*"))
+    one = among(kept, twice, "left_semi").groupBy(key, "doc_id").agg(F.min_by(row, F.to_json(row)).alias(chosen))
+    return among(kept, twice, "left_anti").drop(key).unionByName(one.select(f"{chosen}.*"))

@@ -650,7 +650,7 @@ def test_large_groups_keep_components(monkeypatch, limit):
     fps = np.unique(draw.integers(0, 1 << 12, 400).astype(np.uint64))
     links = simhash.group_links(fps, np.ones(fps.size, bool))
     assert len(links) < fps.size and all(np.bitwise_count(fps[i] ^ fps[j]) <= 2 for i, j in links)
-    parts = simhash._Forest(fps.size)
+    parts = simhash.Forest(fps.size)
     for i, j in links:
         parts.join(int(i), int(j))
     for i in range(fps.size):
