@@ -198,3 +198,17 @@ def test_measures(spark, toy):
     assert metrics.coverage_miss_rate(B.BasisSet.of(["a", "b", "c"]), truth, 4) == 0.25
     rows = spark.createDataFrame([("x", 1.0), ("x", 2.0), ("x", 3.0)], "c string, v double")
     assert metrics.repeats(rows, ["c"], "v").first()["std_error"] == pytest.approx(1 / math.sqrt(3))
+
+
+def test_levels_are_counted_together(spark):
+    """A level costs a pass of bit columns, not one of pairs for every 20,000 sets."""
+    items = [f"i{k:02}" for k in range(12)]
+    tx = Transactions.from_sets(spark, [items] * 3 + [items[:5]] + [[]])
+    found = mining.apriori(tx, 3)
+    assert len(found) == 2**12 - 1 and sum(f.support == 4 for f in found) == 31
+    projection = mining.Projection(tx, items)
+    try:
+        assert projection.blocks.columns == ["words", "bits"]
+        assert projection.count([(0, 1), (0, 11), (2,), tuple(range(12))]) == {(0, 1): 4, (0, 11): 3, (2,): 4, tuple(range(12)): 3}
+    finally:
+        projection.close()
