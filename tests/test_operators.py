@@ -1,6 +1,7 @@
 """Mining, bins, bases, baselines and measures on a hand-checkable set, and against each other."""
 
 import math
+import time
 from itertools import combinations
 
 import numpy as np
@@ -212,3 +213,12 @@ def test_levels_are_counted_together(spark):
         assert projection.count([(0, 1), (0, 11), (2,), tuple(range(12))]) == {(0, 1): 4, (0, 11): 3, (2,): 4, tuple(range(12)): 3}
     finally:
         projection.close()
+
+
+def test_maximal_of_many_sets_ends():
+    items = [f"i{k:02}" for k in range(16)]
+    every = [mining.Found(c, 1) for n in range(1, 17) for c in combinations(items, n)]
+    began = time.time()
+    assert [f.items for f in mining.maximal(every)] == [tuple(items)]
+    assert [f.items for f in mining.maximal([mining.Found(("a",), 2), mining.Found(("a", "b", "c"), 1), mining.Found(("d",), 1)])] == [("a", "b", "c"), ("d",)]
+    assert time.time() - began < 60
