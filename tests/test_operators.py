@@ -222,3 +222,12 @@ def test_maximal_of_many_sets_ends():
     assert [f.items for f in mining.maximal(every)] == [tuple(items)]
     assert [f.items for f in mining.maximal([mining.Found(("a",), 2), mining.Found(("a", "b", "c"), 1), mining.Found(("d",), 1)])] == [("a", "b", "c"), ("d",)]
     assert time.time() - began < 60
+
+
+def test_threshold_counts_level_by_level(toy, monkeypatch):
+    grown = mining.fp_growth
+    monkeypatch.setattr(mining, "fp_growth", lambda *a: pytest.fail("pattern growth isn't needed for a few sets"))
+    assert mining.k_for_threshold(toy, 0.4) == 7
+    monkeypatch.setattr(mining, "fp_growth", grown)
+    monkeypatch.setattr(mining, "MOST_SETS", 3)  # beyond what may be listed nothing is left out
+    assert mining.k_for_threshold(toy, 0.4) == 7
