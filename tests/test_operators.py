@@ -231,3 +231,13 @@ def test_threshold_counts_level_by_level(toy, monkeypatch):
     monkeypatch.setattr(mining, "fp_growth", grown)
     monkeypatch.setattr(mining, "MOST_SETS", 3)  # beyond what may be listed nothing is left out
     assert mining.k_for_threshold(toy, 0.4) == 7
+
+
+def test_many_bases_are_merged_in_bearable_time():
+    draw = np.random.default_rng(5)
+    items = [f"k{i}" for i in range(100)]
+    pairs = [tuple(draw.choice(items, 2, replace=False)) for _ in range(340)]
+    began = time.time()
+    built = B.build_bases(items, pairs, 7)
+    assert not built.uncovered(pairs) and built.length <= 7
+    assert time.time() - began < 15
