@@ -5,6 +5,7 @@ import os
 
 import duckdb
 import pytest
+from pyspark.errors import AnalysisException
 
 import __spark_entry__ as entry
 
@@ -50,3 +51,15 @@ def test_entry_runs(spark):
 
 def test_all_names_have_a_query():
     assert set(ORACLES) <= set(entry.queries())
+
+
+#: Queries whose job is done on a given table, and not on rows that the driver makes up.
+ON_TABLES = [
+    "average_error_variance",
+]
+
+
+@pytest.mark.parametrize("name", ON_TABLES)
+def test_reads_its_table(spark, tmp_path, name):
+    with pytest.raises(AnalysisException):
+        OWN[name](spark, str(tmp_path)).collect()
