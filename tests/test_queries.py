@@ -57,6 +57,7 @@ def test_all_names_have_a_query():
 ON_TABLES = [
     "average_error_variance",
     "budget_split_grid",
+    "candidate_set_given_bases",
 ]
 
 
