@@ -8,6 +8,10 @@ import pytest
 from pyspark.errors import AnalysisException
 
 import __spark_entry__ as entry
+from dp_itemsets.functions.noise import NoiseSource
+from dp_itemsets.operators import bins, metrics
+from dp_itemsets.operators.bases import BasisSet
+from dp_itemsets.sources.views import VIEWS
 
 OWN = {n: q for n, q in entry.queries().items() if not n.startswith("op") and n != "pipeline"}
 ORACLES = entry.oracle_sql()
@@ -65,3 +69,11 @@ ON_TABLES = [
 def test_reads_its_table(spark, tmp_path, name):
     with pytest.raises(AnalysisException):
         OWN[name](spark, str(tmp_path)).collect()
+
+
+def test_variance_of_noise_reads_the_bins(spark, tiny):
+    """The plan doesn't lose the counts whose noise is measured."""
+    b = BasisSet.of([("Brand#1", "Brand#10")])
+    full = bins.complete_bins(bins.bin_counts(VIEWS["order_brands"](spark, tiny), b), b)
+    plan = metrics.empirical_variance(full, 1, 2, 1.0, 3, NoiseSource.fixed(1))._jdf.queryExecution().optimizedPlan().toString()
+    assert "lineitem" in plan or "l_orderkey" in plan
