@@ -62,6 +62,7 @@ ON_TABLES = [
     "average_error_variance",
     "budget_split_grid",
     "candidate_set_given_bases",
+    "fn_map",
 ]
 
 
