@@ -63,6 +63,7 @@ ON_TABLES = [
     "budget_split_grid",
     "candidate_set_given_bases",
     "fn_map",
+    "fn_masks",
 ]
 
 
