@@ -64,6 +64,7 @@ ON_TABLES = [
     "candidate_set_given_bases",
     "fn_map",
     "fn_masks",
+    "grouping_factor_by_draws",
 ]
 
 
