@@ -65,6 +65,7 @@ ON_TABLES = [
     "fn_map",
     "fn_masks",
     "grouping_factor_by_draws",
+    "grouping_factor_table",
 ]
 
 
