@@ -66,6 +66,7 @@ ON_TABLES = [
     "fn_masks",
     "grouping_factor_by_draws",
     "grouping_factor_table",
+    "join_grid",
 ]
 
 
