@@ -67,6 +67,7 @@ ON_TABLES = [
     "grouping_factor_by_draws",
     "grouping_factor_table",
     "join_grid",
+    "join_theta_subset",
 ]
 
 
