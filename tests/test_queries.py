@@ -68,6 +68,7 @@ ON_TABLES = [
     "grouping_factor_table",
     "join_grid",
     "join_theta_subset",
+    "pairs_to_request_grid",
 ]
 
 
