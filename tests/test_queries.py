@@ -69,6 +69,7 @@ ON_TABLES = [
     "join_grid",
     "join_theta_subset",
     "pairs_to_request_grid",
+    "privacy_audit_invariants",
 ]
 
 
