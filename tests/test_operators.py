@@ -241,3 +241,20 @@ def test_many_bases_are_merged_in_bearable_time():
     built = B.build_bases(items, pairs, 7)
     assert not built.uncovered(pairs) and built.length <= 7
     assert time.time() - began < 15
+
+
+@pytest.mark.parametrize("selector", ["exponential", "laplace"])
+@pytest.mark.parametrize("m", [1, 2])
+def test_selection_without_a_list_of_names(spark, monkeypatch, selector, m):
+    """Many items stay where they are, and the choice is the one that lists of them give."""
+    sets = [[f"i{k}" for k in range(60) if (k * 7 + t * 5) % (3 + k % 11) == 0] for t in range(40)]
+    tx = Transactions.from_sets(spark, sets)
+    draw = lambda eps: truncated.select(tx, 8, m, eps, FIXED, selector=selector, observed_domain=True)
+    budgets = (0.5, 200.0) if m == 1 else (200.0,)
+    listed = [draw(eps) for eps in budgets]
+    monkeypatch.setattr(truncated, "MOST_NAMES", 10)
+    monkeypatch.setattr(truncated, "_universe", lambda tx: pytest.fail("the names were listed"))
+    names = truncated.Names(tx)
+    assert names.listed is None and list(names.some(range(len(names))).values()).sort() == [x for s in sets for x in s].sort()
+    names.close()
+    assert [draw(eps) for eps in budgets] == listed
