@@ -33,9 +33,9 @@ def remove_repeated_chunks(spark: SparkSession, docs: DataFrame, sf_dir: str) ->
 
 
 def keep_one_of_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Keeps the document with the smallest id of each component of texts whose five-word shingles are similar by 0.8 or more."""
+    """Keeps the document with the smallest id of each component of texts whose fingerprints link, or whose five-word shingles are similar by 0.8 or more."""
     ship_package(spark)
-    return nearcopies.keep_first(docs)
+    return nearcopies.keep_first(docs, by_fingerprint=True)
 
 
 def drop_contaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -1,8 +1,9 @@
-"""Near copies by the similarity of their shingle sets.
+"""Near copies by the similarity of their shingle sets, and by fingerprints.
 
-Texts link if the sets of their five-word shingles have a Jaccard similarity of
-0.8 or more.  At that similarity fingerprints of 64 bits differ in far more bits
-than anchors can cover, so candidates come from minima: a set's minima under
+Texts link if their 64-bit fingerprints do (in the pipeline; they meet at the
+anchors that cover them).  They link as well if the sets of their five-word shingles have a Jaccard
+similarity of 0.8 or more.  At that similarity fingerprints differ in far more
+bits than anchors can cover, so these candidates come from minima: a set's minima under
 ``BANDS`` times ``ROWS`` hash functions, ``ROWS`` at a time, make its band keys,
 and sets that share a key are candidates.  Two sets at just 0.8 share none with
 a probability of (1 - 0.8^6)^32, about 6 in 100,000, and more similar ones with
@@ -28,7 +29,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import blocks, checkpointed, drop_checkpoint, space_words, texts
-from .simhash import Forest, connected, keep_heads, shingle_hashes, text_keys
+from .simhash import Forest, connected, fingerprint_links, fingerprints_of, keep_heads, shingle_hashes, text_keys
 
 SHINGLE = 5
 #: Least similarity of a link, as a fraction.
@@ -65,7 +66,7 @@ def are_similar(a: np.ndarray, b: np.ndarray) -> bool:
 
 
 def _marks(docs: DataFrame) -> DataFrame:
-    """(doc_id, key, fp, bands) of every row; key: the hash of its text; fp: the id of its shingle set."""
+    """(doc_id, key, fp, bands, print) of every row; key: the hash of its text; fp: the id of its shingle set; print: its fingerprint."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in blocks(batches):
@@ -74,10 +75,10 @@ def _marks(docs: DataFrame) -> DataFrame:
                 own = shingle_set(t)
                 ids.append(set_id(own))
                 keys.append(band_keys(own))
-            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), text_keys(rows), pa.array(ids, pa.int64()), pa.array(keys, pa.binary())], ["doc_id", "key", "fp", "bands"])
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), text_keys(rows), pa.array(ids, pa.int64()), pa.array(keys, pa.binary()), pa.array(fingerprints_of(rows).view(np.int64))], ["doc_id", "key", "fp", "bands", "print"])
 
     kind = docs.schema["doc_id"].dataType.simpleString()
-    return docs.select("doc_id", "text").mapInArrow(run, f"doc_id {kind}, key long, fp long, bands binary")
+    return docs.select("doc_id", "text").mapInArrow(run, f"doc_id {kind}, key long, fp long, bands binary, print long")
 
 
 def _groups(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[int, list[pa.RecordBatch]]]:
@@ -191,12 +192,24 @@ def _sets(docs: DataFrame, wanted: DataFrame) -> DataFrame:
     return rows.mapInArrow(run, "fp long, shingles binary").groupBy("fp").agg(F.min("shingles").alias("shingles"))
 
 
-def similar_roots(docs: DataFrame, marks: DataFrame) -> DataFrame:
-    """(node, root): components of set ids that share a key and are similar; sets without a link don't appear."""
+def print_links(marks: DataFrame) -> DataFrame:
+    """(a, b): links that connect the set ids of texts whose fingerprints link, by the least id of each fingerprint."""
+    own = checkpointed(marks.groupBy("print").agg(F.min("fp").alias("least")))
+    alike = marks.select("print", "fp").distinct().join(own, "print").select(F.col("least").alias("a"), F.col("fp").alias("b"))
+    met = fingerprint_links(own.select(F.col("print").alias("fp"))).withColumnsRenamed({"a": "x", "b": "y"})
+    left, right = own.select(F.col("print").alias("x"), F.col("least").alias("a")), own.select(F.col("print").alias("y"), F.col("least").alias("b"))
+    links = checkpointed(met.join(left, "x").join(right, "y").select("a", "b").union(alike).where("a <> b").distinct())
+    drop_checkpoint(own)
+    return links
+
+
+def similar_roots(docs: DataFrame, marks: DataFrame, printed: DataFrame | None = None) -> DataFrame:
+    """(node, root): components of set ids that share a key and are similar, or that ``printed`` (a, b) links; sets without a link don't appear."""
     members = checkpointed(_members(marks))
     ids = marks.groupBy("fp").agg(F.min("doc_id").alias("doc_id"))
     sets = checkpointed(_sets(docs, ids.join(members.select("fp").union(members.select("lead")).distinct(), "fp", "left_semi")))
-    links = checkpointed(_verified(members.select(F.col("lead").alias("a"), F.col("fp").alias("b")).distinct(), sets))
+    links = _verified(members.select(F.col("lead").alias("a"), F.col("fp").alias("b")).distinct(), sets)
+    links = checkpointed(links if printed is None else links.unionByName(printed))
     roots = connected(links)
     every = members.select("key", "fp").union(members.select("key", F.col("lead").alias("fp")).distinct())
     placed = every.join(roots.withColumnRenamed("node", "fp"), "fp", "left").select("key", "fp", F.coalesce("root", "fp").alias("part"))
@@ -213,11 +226,14 @@ def similar_roots(docs: DataFrame, marks: DataFrame) -> DataFrame:
     return roots
 
 
-def keep_first(docs: DataFrame) -> DataFrame:
+def keep_first(docs: DataFrame, by_fingerprint: bool = False) -> DataFrame:
     """The rows of ``docs``, all columns as they are, with one of each component of similar texts: that of the smallest doc_id (null last).
 
+    by_fingerprint: texts whose fingerprints link are in one component as well.
+
     Texts without words are one component, as they are equal.  Where rows of
     that id have several texts, see ``simhash.keep_first``.
     """
     marks = checkpointed(_marks(docs))
-    return keep_heads(docs, marks, lambda marks: similar_roots(docs, marks))
+    printed = print_links(marks) if by_fingerprint else None
+    return keep_heads(docs, marks, lambda marks: similar_roots(docs, marks, printed))

@@ -5,7 +5,7 @@ import random
 import numpy as np
 
 import corpus_pipeline
-from dp_itemsets.llm import nearcopies
+from dp_itemsets.llm import nearcopies, simhash
 
 
 def shingles(text):
@@ -80,3 +80,15 @@ def test_links_of_a_group_join_all_parts():
 def test_similarity_is_of_whole_sets():
     a = np.arange(100, dtype=np.uint64)
     assert nearcopies.are_similar(a, a[:80]) and not nearcopies.are_similar(a, a[:79])
+
+
+def test_stage_links_fingerprints_too(spark, tiny):
+    """Repeats decide a fingerprint, and not a set: these are far apart as sets, and have one fingerprint."""
+    often = "a b c d e " * 2000
+    one, two = often + " ".join(f"x{k}" for k in range(9)), often + " ".join(f"y{k}" for k in range(9))
+    prints = simhash.fingerprints_of([one.encode(), two.encode()])
+    assert int(np.bitwise_count(prints[0] ^ prints[1])) <= simhash.THRESHOLD
+    assert not nearcopies.are_similar(*(nearcopies.shingle_set(t.encode()) for t in (one, two)))
+    docs = spark.createDataFrame([(1, one), (2, two), (3, "something else stands here today")], "doc_id long, text string")
+    assert sorted(r["doc_id"] for r in nearcopies.keep_first(docs).collect()) == [1, 2, 3]
+    assert sorted(r["doc_id"] for r in corpus_pipeline.keep_one_of_near_copies(spark, docs, tiny).collect()) == [1, 3]
