@@ -89,6 +89,14 @@ def _trim() -> None:
         ctypes.CDLL(None).malloc_trim(0)
 
 
+def keep_heap() -> None:
+    """Has a worker that makes many arrays of some MB keep their memory for the next ones, up to 64 MB."""
+    with contextlib.suppress(AttributeError, OSError):  # glibc only
+        libc = ctypes.CDLL(None)
+        libc.mallopt(-3, 32 << 20)  # M_MMAP_THRESHOLD
+        libc.mallopt(-1, 64 << 20)  # M_TRIM_THRESHOLD
+
+
 def _joined(parts: list[pa.RecordBatch]) -> pa.RecordBatch:
     return parts[0] if len(parts) == 1 else pa.concat_batches(parts)
 

@@ -8,16 +8,17 @@ divides it, so that scores are log-probabilities of texts over an open
 vocabulary.  Scoring carries the hidden state through a whole text, however
 long, many texts side by side.
 
-Training begins on the driver, on one stretch of each document of a sample.
-Then every task goes on from there with its own part of the corpus: one in
-``EVERY`` of the stretches of all training texts, chosen by hash, and the
-networks are averaged by the tokens that they saw.  So what the network learns
-from grows with the input, and so do all counts.
+Training begins on the driver, on one stretch of each document of a sample, so
+that all tasks start from one network.  Then every task goes on from there with
+all tokens of all its training texts, and the networks are averaged by the
+tokens that they saw.  Every training token of the corpus takes part in this.
 
 The unigram base counts every training token of the corpus exactly.  Common
 words of the sample (the head) are counted block by block and sent back as one
-bounded table; the short list is the head's most frequent words by these exact
-counts.  All other words are summed before they meet the texts that hold them.
+bounded table, all others are summed before they meet the texts that hold them.
+The short list is the most frequent words of the corpus by these exact counts:
+if the head lacks one of them, it is looked up in the texts, joins the head,
+and the words are counted again.
 """
 
 from __future__ import annotations
@@ -26,6 +27,7 @@ import uuid
 from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass
+from itertools import repeat
 from zlib import crc32
 
 import numpy as np
@@ -35,7 +37,7 @@ from pyspark import TaskContext
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import blocks, checkpointed, doc_hash, remove_folder, shared_folder, space_words, texts
+from .common import blocks, checkpointed, doc_hash, drop_checkpoint, keep_heap, remove_folder, shared_folder, space_words, texts
 
 #: No word holds white space, so none is this.
 END = b"\n"
@@ -44,10 +46,12 @@ CLASSES, MEMBERS = 32, 32
 UNITS = 16
 #: Documents of the sample that the head comes from and training begins on: those with the smallest hash of their id.
 SAMPLE_DOCS = 4_000
-#: Tokens of a stretch of a text, and the share of stretches that the tasks train on: one in so many.
-STRETCH, EVERY = 256, 8
-#: Parallel streams of training, steps of a window of backpropagation, and windows of a batch of stretches.
+#: Tokens of a stretch of a sampled text.
+STRETCH = 256
+#: Parallel streams of training, steps of a window of backpropagation, and windows of a batch of texts.
 STREAMS, STEPS, WINDOWS = 64, 16, 16
+#: A task doubles its streams from batch to batch up to this number.
+MOST_STREAMS = 512
 #: Learning rates of the driver's pass and of the tasks'.
 RATE, OWN_RATE = 4e-3, 2e-3
 #: Most words of the head, and most bytes of one.
@@ -62,6 +66,15 @@ OTHER = CLASSES * MEMBERS - 1
 LOG10 = np.log(10.0)
 
 
+def _sigmoid(x: np.ndarray) -> None:
+    """In place; the exponential's overflow gives the right limit, 0."""
+    np.negative(x, out=x)
+    with np.errstate(over="ignore"):
+        np.exp(x, out=x)
+    x += 1
+    np.reciprocal(x, out=x)
+
+
 @dataclass
 class Gru:
     """Parameters by name: inputs e (words, 3 * units), recurrent u, gate bias b, class c and cb, members m and mb."""
@@ -87,72 +100,128 @@ class Gru:
     def units(self) -> int:
         return self.p["u"].shape[0]
 
-    def step(self, h: np.ndarray, token: np.ndarray) -> tuple[np.ndarray, ...]:
+    def _inputs(self) -> np.ndarray:
+        """(3 * units, words): what each word adds to the gates."""
+        return np.ascontiguousarray((self.p["e"] + self.p["b"]).T)
+
+    def _advance(self, x: np.ndarray, h: np.ndarray) -> tuple[np.ndarray, ...]:
+        """The state after a token, the gates z and reset, and the inner and new state; a text is a column, x its column of inputs."""
         n = self.units
-        x = self.p["e"][token] + self.p["b"]
-        r = h @ self.p["u"]
-        gates = 1 / (1 + np.exp(-(x[:, : 2 * n] + r[:, : 2 * n])))
-        z, reset, inner = gates[:, :n], gates[:, n:], r[:, 2 * n :]
-        new = np.tanh(x[:, 2 * n :] + reset * inner)
-        return new + z * (h - new), z, reset, inner, new
+        r = self.p["u"].T @ h
+        gates = np.add(x[: 2 * n], r[: 2 * n])
+        _sigmoid(gates)
+        new = gates[n:] * r[2 * n :]
+        new += x[2 * n :]
+        new *= 2  # tanh(x) = 2 * sigmoid(2 * x) - 1
+        _sigmoid(new)
+        new *= 2
+        new -= 1
+        h = h - new
+        h *= gates[:n]
+        h += new
+        return h, gates[:n], gates[n:], r[2 * n :], new
+
+    def step(self, h: np.ndarray, token: np.ndarray) -> tuple[np.ndarray, ...]:
+        return tuple(v.T for v in self._advance(self._inputs().take(token, axis=1), np.ascontiguousarray(h.T)))
 
     def log_probabilities(self, h: np.ndarray, target: np.ndarray) -> np.ndarray:
         """Natural log-probability of each target after its hidden state."""
-        out = np.empty(target.size, np.float64)
-        group = target // MEMBERS
-        scores = h @ self.p["c"] + self.p["cb"]
-        scores -= scores.max(axis=1, keepdims=True)
-        out[:] = scores[np.arange(target.size), group] - np.log(np.exp(scores).sum(axis=1))
-        order = np.argsort(group.astype(np.int16), kind="stable")
-        ends = np.cumsum(np.bincount(group, minlength=CLASSES))
-        for k in range(CLASSES):
-            rows = order[ends[k - 1] if k else 0 : ends[k]]
-            if rows.size:
-                inside = h[rows] @ self.p["m"][k] + self.p["mb"][k]
-                inside -= inside.max(axis=1, keepdims=True)
-                out[rows] += inside[np.arange(rows.size), target[rows] % MEMBERS] - np.log(np.exp(inside).sum(axis=1))
+        return self._log_probabilities(np.ascontiguousarray(h.T), target)
+
+    def _members(self, h: np.ndarray, group: np.ndarray) -> tuple[np.ndarray, list[tuple[int, slice]]]:
+        """Scores of the members of each state's class, and the places of each class; states are columns in the order of their classes."""
+        ends = np.searchsorted(group, np.arange(CLASSES), "right")
+        places = [(k, slice(int(ends[k - 1]) if k else 0, int(ends[k]))) for k in range(CLASSES)]
+        places = [(k, s) for k, s in places if s.stop > s.start]
+        out = np.empty((MEMBERS, group.size), h.dtype)
+        for k, s in places:
+            np.add(self.p["m"][k].T @ h[:, s], self.p["mb"][k][:, None], out=out[:, s])
+        return out, places
+
+    def _log_probabilities(self, h: np.ndarray, target: np.ndarray) -> np.ndarray:
+        group, member = np.divmod(target.astype(np.int16), MEMBERS)
+        order = np.argsort(group, kind="stable")
+        group, at = group[order], np.arange(target.size)
+        h = h.take(order, axis=1, mode="clip")
+        scores = self.p["c"].T @ h
+        scores += self.p["cb"][:, None]
+        inside, _ = self._members(h, group)
+        got = np.zeros(target.size)
+        for v, own in ((scores, group), (inside, member[order])):
+            v -= v.max(axis=0)
+            got += v[own, at]
+            np.exp(v, out=v)
+            got -= np.log(v.sum(axis=0))
+        out = np.empty(target.size)
+        out[order] = got
         return out
 
     def _gradient(self, h0: np.ndarray, inputs: np.ndarray, targets: np.ndarray, end: int) -> tuple[dict[str, np.ndarray], np.ndarray, float]:
-        """Gradients over one window (steps, streams), the state after it, and the summed loss."""
-        p, n, kept, h = self.p, self.units, [], h0
-        for token in inputs:
-            h = h * (token != end)[:, None]  # a text begins with an empty state
-            before = h
-            h, *rest = self.step(h, token)
-            kept.append((before, h, *rest))
+        """Gradients over one window (steps, streams), the state after it, and the summed loss.  Inside, a token is a column."""
+        p, n, (steps, streams), size = self.p, self.units, inputs.shape, inputs.size
+        kind, table = p["u"].dtype, self._inputs()
+        went = (inputs != end).astype(kind)
+        before, hs, z, reset, inner, new = np.empty((6, n, steps, streams), kind)
+        h = h0.T
+        for t in range(steps):
+            before[:, t] = h * went[t]  # a text begins with an empty state
+            h, z[:, t], reset[:, t], inner[:, t], new[:, t] = self._advance(table.take(inputs[t], axis=1, mode="clip"), before[:, t])
+            hs[:, t] = h
+        group, member = np.divmod(targets.reshape(-1).astype(np.int16), MEMBERS)
+        order, at = np.argsort(group, kind="stable"), np.arange(size)
+        group, member = group[order], member[order]
+        states = hs.reshape(n, size).take(order, axis=1, mode="clip")
+        scores = p["c"].T @ states
+        scores += p["cb"][:, None]
+        inside, places = self._members(states, group)
+        loss = 0.0
+        for v, own in ((scores, group), (inside, member)):
+            v -= v.max(axis=0)
+            np.exp(v, out=v)
+            v /= v.sum(axis=0)
+            loss -= float(np.log(v[own, at]).sum())
+            v[own, at] -= 1
         g = {k: np.zeros_like(v) for k, v in p.items()}
-        hs, flat = np.concatenate([k[1] for k in kept]), targets.reshape(-1)
-        group = flat // MEMBERS
-        scores = np.exp((s := hs @ p["c"] + p["cb"]) - s.max(axis=1, keepdims=True))
-        scores /= scores.sum(axis=1, keepdims=True)
-        loss = -np.log(scores[np.arange(flat.size), group]).sum()
-        scores[np.arange(flat.size), group] -= 1
-        g["c"], g["cb"], dh = hs.T @ scores, scores.sum(axis=0), scores @ p["c"].T
-        for k in np.unique(group):
-            rows = np.flatnonzero(group == k)
-            inside = np.exp((s := hs[rows] @ p["m"][k] + p["mb"][k]) - s.max(axis=1, keepdims=True))
-            inside /= inside.sum(axis=1, keepdims=True)
-            loss -= np.log(inside[np.arange(rows.size), flat[rows] % MEMBERS]).sum()
-            inside[np.arange(rows.size), flat[rows] % MEMBERS] -= 1
-            g["m"][k], g["mb"][k] = hs[rows].T @ inside, inside.sum(axis=0)
-            dh[rows] += inside @ p["m"][k].T
-        dh = dh.reshape(len(kept), -1, n)
-        carry, streams = np.zeros_like(h0), inputs.shape[1]
-        dx = np.empty((len(kept), streams, 3 * n), np.float32)
-        for t in range(len(kept) - 1, -1, -1):
-            before, _, z, reset, inner, new = kept[t]
-            d = dh[t] + carry
-            dnew = d * (1 - z) * (1 - new**2)
-            dz = d * (before - new) * z * (1 - z)
-            dreset = dnew * inner * reset * (1 - reset)
-            dx[t] = np.concatenate([dz, dreset, dnew], axis=1)
-            dr = np.concatenate([dz, dreset, dnew * reset], axis=1)
-            g["u"] += before.T @ dr
-            carry = (d * z + dr @ p["u"].T) * (inputs[t] != end)[:, None]
-        g["b"] = dx.sum(axis=(0, 1))
-        np.add.at(g["e"], inputs.reshape(-1), dx.reshape(-1, 3 * n))
-        return g, h, float(loss)
+        g["c"], g["cb"], back = states @ scores.T, scores.sum(axis=1), p["c"] @ scores
+        for k, s in places:
+            g["m"][k], g["mb"][k] = states[:, s] @ inside[:, s].T, inside[:, s].sum(axis=1)
+            back[:, s] += p["m"][k] @ inside[:, s]
+        place = np.empty(size, np.intp)
+        place[order] = at
+        dh = back.take(place, axis=1, mode="clip").reshape(n, steps, streams)
+        by_new = (1 - z) * (1 - new * new)
+        by_z = (before - new) * z * (1 - z)
+        by_reset = by_new * inner * reset * (1 - reset)
+        dr, dnew, carry = np.empty((3 * n, steps, streams), kind), np.empty((n, steps, streams), kind), 0
+        for t in range(steps - 1, -1, -1):
+            d = dh[:, t]
+            d += carry
+            np.multiply(d, by_z[:, t], out=dr[:n, t])
+            np.multiply(d, by_reset[:, t], out=dr[n : 2 * n, t])
+            np.multiply(d, by_new[:, t], out=dnew[:, t])
+            np.multiply(dnew[:, t], reset[:, t], out=dr[2 * n :, t])
+            carry = p["u"] @ dr[:, t]
+            d *= z[:, t]
+            carry += d
+            carry *= went[t]
+        g["u"] = before.reshape(n, size) @ dr.reshape(3 * n, size).T
+        dr[2 * n :] = dnew
+        dx, token = dr.reshape(3 * n, size), inputs.reshape(-1)
+        g["b"] = dx.sum(axis=1)
+        g["e"][OTHER] = dx @ (token == OTHER).astype(kind)
+        # sums by word: of each class's tokens, by a matrix that marks their members
+        group, member = np.divmod(token.astype(np.int16), MEMBERS)
+        group[token == OTHER] = CLASSES
+        order = np.argsort(group, kind="stable")
+        ends = np.searchsorted(group[order], np.arange(CLASSES), "right")
+        order = order[: ends[-1]]
+        marks = np.zeros((order.size, MEMBERS), kind)
+        marks[at[: order.size], member[order]] = 1
+        dx = dx.take(order, axis=1, mode="clip")
+        for k, (a, b) in enumerate(zip([0, *ends[:-1]], ends, strict=True)):
+            if b > a:
+                g["e"][k * MEMBERS : (k + 1) * MEMBERS] += (dx[:, a:b] @ marks[a:b]).T
+        return g, h.T, loss
 
     def fit(self, tokens: np.ndarray, end: int, passes: int = 1, streams: int = STREAMS, window: int = STEPS, rate: float = RATE) -> Gru:
         """Adam over windows of parallel streams; tokens: stretches one after another."""
@@ -169,25 +238,25 @@ class Gru:
                 h, last = own.step(grid[t : t + window], h, last, end)
         return self
 
-    def score(self, docs: list[np.ndarray], end: int, chunk: int = 1 << 17) -> np.ndarray:
+    def score(self, docs: list[np.ndarray], end: int, chunk: int = 1 << 13) -> np.ndarray:
         """Log10-probability of each text (short-list ids, the end token last), state carried from its first to its last token."""
         sizes = np.array([d.size for d in docs], np.int64)
         order = np.argsort(-sizes, kind="stable")
         flat = np.concatenate([docs[k] for k in order])
         sizes = sizes[order]
         starts = np.cumsum(sizes) - sizes
-        out, h = np.zeros(len(docs)), np.zeros((len(docs), self.units), np.float32)
+        out, h, table = np.zeros(len(docs)), np.zeros((self.units, len(docs)), self.p["u"].dtype), self._inputs()
         shrink = np.searchsorted(-sizes, -np.arange(int(sizes[0])), "left")  # texts longer than t
         states, targets, whose, held = [], [], [], 0
         token = np.full(len(docs), end)
 
         def settle() -> None:
-            got = self.log_probabilities(np.concatenate(states), np.concatenate(targets))
+            got = self._log_probabilities(np.concatenate(states, axis=1), np.concatenate(targets))
             out[:] += np.bincount(np.concatenate(whose), got, len(docs))
 
         for t in range(int(sizes[0])):
             n = int(shrink[t])
-            h, *_ = self.step(h[:n], token[:n])
+            h, *_ = self._advance(table.take(token[:n], axis=1, mode="clip"), h[:, :n])
             token = flat[starts[:n] + t]
             states.append(h)
             targets.append(token)
@@ -269,17 +338,18 @@ def short_ids(head: list[bytes]) -> dict[bytes, int]:
     return {w: k for k, w in enumerate(head[:OTHER])}
 
 
-def stretches(text: bytes, ids: dict[bytes, int], every: int | None) -> list[np.ndarray]:
-    """Token ids of the text's chosen stretches, by hash of the text and the stretch's number; one stretch of the text if ``every`` is None."""
+def token_ids(words: list[bytes], ids: dict[bytes, int], unknown: int = OTHER) -> np.ndarray:
+    """Ids of the words; the end isn't added."""
+    return np.fromiter(map(ids.get, words, repeat(unknown)), np.int32, len(words))
+
+
+def stretch(text: bytes, ids: dict[bytes, int]) -> np.ndarray:
+    """Short-list ids of one stretch of the text, drawn by the text's hash; the last one has the end."""
     words = space_words(text)
-    key, n = _key(text), len(words) // STRETCH + 1
-    draw = lambda k: xxhash.xxh64_intdigest(b"%d:%d" % (key, k))
-    chosen = [draw(-1) % n] if every is None else [k for k in range(n) if draw(k) % every == 0]
-    get, out = ids.get, []
-    for k in chosen:
-        part = [get(w, OTHER) for w in words[k * STRETCH : (k + 1) * STRETCH]]
-        out.append(np.array(part + [ids[END]] * (k == n - 1), np.int64))
-    return out
+    n = len(words) // STRETCH + 1
+    k = xxhash.xxh64_intdigest(b"%d:-1" % _key(text)) % n
+    part = token_ids(words[k * STRETCH : (k + 1) * STRETCH], ids)
+    return np.append(part, ids[END]) if k == n - 1 else part
 
 
 def first_network(sample: DataFrame, head: list[bytes], shares: np.ndarray | None = None) -> Gru:
@@ -288,7 +358,7 @@ def first_network(sample: DataFrame, head: list[bytes], shares: np.ndarray | Non
 
     def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in blocks(batches):
-            rows = [stretches(t, ids, None)[0] for t in texts(batch.column("text"))]
+            rows = [stretch(t, ids) for t in texts(batch.column("text"))]
             yield pa.RecordBatch.from_arrays([batch.column("place"), pa.array(rows, pa.list_(pa.int16()))], ["place", "tokens"])
 
     # STRETCH + 1 small numbers for each of the sampled documents
@@ -299,41 +369,47 @@ def first_network(sample: DataFrame, head: list[bytes], shares: np.ndarray | Non
     return (Gru.fresh() if shares is None else Gru.fresh().from_shares(shares)).fit(tokens, ids[END])
 
 
-def refined(docs: DataFrame, model: Model, every: int = EVERY) -> Gru:
-    """The network after every task has gone on training on its part of the rows that aren't held out.
+def learn(adam: Adam, tokens: np.ndarray, end: int, most: int) -> int:
+    """Updates on windows of at most so many parallel streams; what doesn't fill them is learnt in fewer.  Returns the number of tokens."""
+    left = tokens
+    while left.size:
+        streams = min(most, max(left.size // STEPS, 1))
+        length = left.size // streams
+        grid, left = left[: streams * length].reshape(streams, length).T, left[streams * length :]
+        h, last = np.zeros((streams, adam.net.units), np.float32), np.full(streams, end)
+        for t in range(0, length, STEPS):
+            h, last = adam.step(grid[t : t + STEPS], h, last, end)
+    return tokens.size
+
 
-    A task draws batches of stretches and makes one update a window; networks
-    are averaged by tokens.  A retried task reads the same rows and makes the
-    same network.  A task with less than a batch adds what it has.
+def refined(docs: DataFrame, model: Model) -> tuple[Gru, int]:
+    """The network after every task has gone on training on its part of the rows that aren't held out, and the number of tokens that it learnt from.
+
+    A task takes all tokens of its texts in batches and makes one update a
+    window; networks are averaged by tokens.  A retried task reads the same
+    rows and makes the same network.  A task with less than a batch adds what
+    it has.
     """
     spark = docs.sparkSession
     sent = spark.sparkContext.broadcast(model)
     names, shapes = list(model.gru.p), {k: v.shape for k, v in model.gru.p.items()}
 
     def go_on(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        keep_heap()
         model = sent.value
         ids, net = short_ids(model.head), Gru({k: v.copy() for k, v in model.gru.p.items()})
-        adam, end, waiting, size, seen = Adam(net, None, OWN_RATE), ids[END], [], 0, 0
-
-        def learn(tokens: np.ndarray) -> None:
-            streams = min(STREAMS, max(tokens.size // STEPS, 1))
-            length = tokens.size // streams
-            grid = tokens[: streams * length].reshape(streams, length).T
-            h, last = np.zeros((streams, net.units), np.float32), np.full(streams, end)
-            for t in range(0, length, STEPS):
-                h, last = adam.step(grid[t : t + STEPS], h, last, end)
-
+        adam, end, waiting, size, seen, most = Adam(net, None, OWN_RATE), ids[END], [], 0, 0, STREAMS
         for batch in blocks(batches):
             for t in texts(batch.column("text")):
-                for part in stretches(t, ids, every):
-                    waiting.append(part)
-                    size += part.size
-                if size >= STREAMS * STEPS * WINDOWS:
-                    learn(np.concatenate(waiting))
-                    waiting, size, seen = [], 0, seen + size
+                waiting += token_ids(space_words(t), ids), [end]
+                size += waiting[-2].size + 1
+                if size >= most * STEPS * WINDOWS:
+                    tokens = np.concatenate(waiting)
+                    size %= most  # these wait for the next batch
+                    seen += learn(adam, tokens[: tokens.size - size], end, most)
+                    waiting, most = [tokens[tokens.size - size :]], min(2 * most, MOST_STREAMS)
         if size:
-            learn(np.concatenate(waiting))
-            seen += size
+            seen += learn(adam, np.concatenate(waiting), end, most)
         if seen:
             flat = np.concatenate([net.p[k].ravel() for k in names]).astype(np.float64) * seen
             yield pa.RecordBatch.from_arrays([pa.array([TaskContext.get().partitionId() % SUMMED], pa.int32()), pa.array([seen], pa.int64()), pa.array([flat.tobytes()], pa.binary())], ["part", "n", "p"])
@@ -348,17 +424,18 @@ def refined(docs: DataFrame, model: Model, every: int = EVERY) -> Gru:
             yield pa.RecordBatch.from_arrays([pa.array([0], pa.int32()), pa.array([n], pa.int64()), pa.array([total.tobytes()], pa.binary())], ["part", "n", "p"])
 
     schema = "part int, n long, p binary"
-    rows = docs.where(~held_out() & F.col("text").isNotNull()).select("text").mapInArrow(go_on, schema)
+    rows = docs.where(~held_out()).select("text").mapInArrow(go_on, schema)
     got = sorted((bytes(r["p"]), r["n"]) for r in rows.repartition(SUMMED, "part").mapInArrow(add, schema).collect())  # SUMMED rows at most
     sent.unpersist()
     if not got:
-        return model.gru
-    mean, at, out = np.sum([np.frombuffer(p) for p, _ in got], axis=0) / sum(n for _, n in got), 0, {}
+        return model.gru, 0
+    seen = sum(n for _, n in got)
+    mean, at, out = np.sum([np.frombuffer(p) for p, _ in got], axis=0) / seen, 0, {}
     for k in names:
         size = int(np.prod(shapes[k]))
         out[k] = mean[at : at + size].reshape(shapes[k]).astype(np.float32)
         at += size
-    return Gru(out)
+    return Gru(out), seen
 
 
 def train(docs: DataFrame, sample_docs: int = SAMPLE_DOCS) -> Model:
@@ -372,6 +449,11 @@ def _key(text: bytes) -> int:
     return int(np.uint64(xxhash.xxh64_intdigest(text)).view(np.int64))
 
 
+def _check(word: bytes) -> int:
+    """31 bits of the word's checksum, and whether it is too long for the head."""
+    return crc32(word) & ~1 | (len(word) > HEAD_BYTES)
+
+
 def _word_rows(docs: DataFrame, head: list[bytes]) -> DataFrame:
     """(word, check, key, size, n, train): a row for each head word of a block (size -1, word its number), and one for each other word of each text.
 
@@ -397,7 +479,7 @@ def _word_rows(docs: DataFrame, head: list[bytes]) -> DataFrame:
                 rare = Counter([w for w in words if w not in ids])
                 if rare:
                     for out, values in zip(cols, (
-                        [xxhash.xxh64_intdigest(w) for w in rare], map(crc32, rare), [_key(t)] * len(rare), [len(t)] * len(rare),
+                        [xxhash.xxh64_intdigest(w) for w in rare], map(_check, rare), [_key(t)] * len(rare), [len(t)] * len(rare),
                         [c * n for c in rare.values()], [c * in_training for c in rare.values()],
                     ), strict=True):
                         out.extend(values)
@@ -414,7 +496,7 @@ def _word_rows(docs: DataFrame, head: list[bytes]) -> DataFrame:
 
 @dataclass
 class Counted:
-    """counts: training tokens of each head word; others: (key, size, n, known, s) of each text with other words.
+    """counts: training tokens of each head word; others: (key, size, n, known, s) of each text with other words; missed: (hash, check) of other words that belong in the short list.
 
     n: tokens of other words in all copies of the text; known: those whose
     training count c is above 0; s: sum of log10(c + 0.1).
@@ -424,6 +506,7 @@ class Counted:
     others: DataFrame
     total: int
     distinct: int
+    missed: list[tuple[int, int]]
 
 
 def count_words(docs: DataFrame, head: list[bytes]) -> Counted:
@@ -444,22 +527,48 @@ def count_words(docs: DataFrame, head: list[bytes]) -> Counted:
     rare.groupBy("word", "check").agg(F.sum("train").alias("c")).where("c > 0").write.parquet(f"{folder}/counts")
     known = spark.read.parquet(f"{folder}/counts")
     total, distinct = known.agg(F.coalesce(F.sum("c"), F.lit(0)), F.count("*")).first()
+    least = float(np.sort(counts)[-OTHER]) if counts.size >= OTHER else 0.0
+    above = known.where((F.col("check") % 2 == 0) & (F.col("c") > least)).orderBy(F.desc("c"), "word", "check").limit(OTHER)
+    missed = [(r["word"], r["check"]) for r in above.select("word", "check").collect()]
     met = rare.join(known, ["word", "check"], "left").withColumn("c", F.coalesce("c", F.lit(0)))
     others = checkpointed(met.groupBy("key", "size").agg(
         F.sum("n").alias("n"), F.sum(F.when(F.col("c") > 0, F.col("n")).otherwise(0)).alias("known"), F.sum(F.col("n") * F.log10(F.col("c") + F.lit(SMOOTH))).alias("s"),
     ))
     remove_folder(spark, folder)
-    return Counted(counts, others, int(total + counts.sum()), int(distinct + (counts > 0).sum()))
+    return Counted(counts, others, int(total + counts.sum()), int(distinct + (counts > 0).sum()), missed)
+
+
+def named(docs: DataFrame, missed: list[tuple[int, int]]) -> list[bytes]:
+    """The words of these hashes and checks, from the texts that aren't held out."""
+    wanted = set(missed)
+
+    def find(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in blocks(batches):
+            words = {w for t in texts(batch.column("text")) for w in space_words(t) if len(w) <= HEAD_BYTES}
+            found = [w for w in words if (_key(w), int(np.uint32(_check(w)).view(np.int32))) in wanted]
+            yield pa.RecordBatch.from_arrays([pa.array(found, pa.binary())], ["word"])
+
+    return sorted(bytes(r["word"]) for r in docs.where(~held_out()).select("text").mapInArrow(find, "word binary").distinct().collect())
+
+
+def count_all(docs: DataFrame, head: list[bytes]) -> tuple[list[bytes], Counted]:
+    """The head, with any word that belongs in the short list, and all counts."""
+    counted = count_words(docs, head)
+    if counted.missed:
+        drop_checkpoint(counted.others)
+        head = head + named(docs, counted.missed)
+        counted = count_words(docs, head)
+    return head, counted
 
 
-def score_documents(docs: DataFrame, sample_docs: int = SAMPLE_DOCS, every: int = EVERY) -> DataFrame:
+def score_documents(docs: DataFrame, sample_docs: int = SAMPLE_DOCS) -> DataFrame:
     """One row per row of ``docs``: doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score.
 
     Null texts count as empty: one end token.  Rows with one text share its scores.
     """
     spark = docs.sparkSession
     sample = sampled(docs, sample_docs)
-    counted = count_words(docs, first := head_words(sample))
+    first, counted = count_all(docs, head_words(sample))
     total = counted.total
     head, counts = by_count(first, counted.counts)
     norm = float(np.log10(total + SMOOTH * (counted.distinct + 1)))
@@ -467,18 +576,18 @@ def score_documents(docs: DataFrame, sample_docs: int = SAMPLE_DOCS, every: int
     shares = 10 ** (logs[:OTHER] - norm)
     outside = float(np.log10(max(1 - shares.sum(), 1e-12)))
     model = Model(head, first_network(sample, head, np.append(shares, 10**outside)))
-    model = Model(head, refined(docs, model, every))
+    model = Model(head, refined(docs, model)[0])
     sent = spark.sparkContext.broadcast((model, counts, logs))
     end = model.head.index(END)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        keep_heap()
         own, c, log_c = sent.value
         ids = {w: k for k, w in enumerate(own.head)}
-        get = ids.get
         for batch in blocks(batches, limit=SCORED_BYTES):
             rows, listed = [], []
             for t in texts(batch.column("text")):
-                found = np.array([get(w, -1) for w in space_words(t)] + [end], np.int32)
+                found = np.append(token_ids(space_words(t), ids, -1), np.int32(end))
                 in_head = found[found >= 0]
                 other = in_head[in_head >= OTHER]
                 rare = found.size - in_head.size

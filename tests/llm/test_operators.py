@@ -508,6 +508,43 @@ def test_gradient_matches_differences():
         assert g[name][at] == pytest.approx((values[0] - values[1]) / 2e-5, rel=2e-2, abs=1e-4)
 
 
+def training_counts(df):
+    counts = Counter()
+    for r in df.collect():
+        if zlib.crc32(str("" if r["doc_id"] is None else r["doc_id"]).encode()) % 10:
+            counts.update([*re.findall(rb"[^\x20\x09-\x0D]+", lower(r["text"]).encode()), lm.END])
+    return counts
+
+
+def test_short_list_is_of_all_rows_whatever_the_sample(spark, docs):
+    long = "y" * 65
+    rows = docs.unionByName(docs.where("doc_id % 5 = 0").withColumn("text", F.concat("text", F.lit(f" {long} {long} late-word"))))
+    counts = training_counts(rows)
+    want = sorted((n for w, n in counts.items() if len(w) <= lm.HEAD_BYTES), reverse=True)[: lm.OTHER]
+    assert counts[long.encode()] > want[-1] and counts[b"late-word"] > want[-1]
+    for words in (lm.head_words(lm.sampled(rows, 2)), [lm.END]):
+        head, counted = lm.count_all(rows, words)
+        head, found = lm.by_count(head, counted.counts)
+        assert list(found[: lm.OTHER]) == want == [counts[w] for w in head[: lm.OTHER]]
+        assert len(set(head)) == len(head) and b"late-word" in head[: lm.OTHER] and not counted.missed
+
+
+def test_network_learns_from_every_training_token(spark, docs):
+    rows = docs.unionByName(docs.limit(2).withColumn("text", F.lit(None).cast("string")))
+    start = lm.train(rows, 2)
+    net, seen = lm.refined(rows, start)
+    assert seen == sum(training_counts(rows).values())
+    assert all(np.isfinite(v).all() for v in net.p.values()) and not np.array_equal(net.p["u"], start.gru.p["u"])
+
+
+@pytest.mark.parametrize("size", [1, 2, 15, 17, 1023, 1025, 5003])
+def test_learning_leaves_no_token_out(monkeypatch, size):
+    seen = []
+    monkeypatch.setattr(lm.Adam, "step", lambda self, targets, h, last, end: (seen.extend(targets.reshape(-1)), (h, targets[-1]))[1])
+    assert lm.learn(lm.Adam(lm.Gru.fresh()), np.arange(size), 0, 64) == size
+    assert sorted(seen) == list(range(size))
+
+
 def test_model_beats_base_held_out(spark, small):
     rows = lm.score_documents(spark.read.parquet(f"{small}/documents.parquet"), 600).where("held_out").collect()
     assert sum(r["score"] for r in rows) > sum(r["base_score"] for r in rows)
