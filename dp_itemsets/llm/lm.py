@@ -19,6 +19,10 @@ bounded table, all others are summed before they meet the texts that hold them.
 The short list is the most frequent words of the corpus by these exact counts:
 if the head lacks one of them, it is looked up in the texts, joins the head,
 and the words are counted again.
+
+Counting is the one pass that splits all texts into words.  It also writes the
+number in the head of every token of every text; training and scoring read
+these numbers and no text.
 """
 
 from __future__ import annotations
@@ -32,6 +36,7 @@ from zlib import crc32
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 import xxhash
 from pyspark import TaskContext
 from pyspark.sql import Column, DataFrame
@@ -57,8 +62,8 @@ RATE, OWN_RATE = 4e-3, 2e-3
 #: Most words of the head, and most bytes of one.
 HEAD, HEAD_BYTES = 200_000, 64
 SMOOTH = 0.1
-#: Text bytes whose documents are scored side by side.
-SCORED_BYTES = 32 << 20
+#: Bytes of token numbers, 4 each, whose documents are scored side by side, and that a training task takes at a time.
+SCORED_BYTES, LEARNT_BYTES = 20 << 20, 4 << 20
 #: Tasks in which networks are summed before they come to the driver.
 SUMMED = 32
 
@@ -343,6 +348,21 @@ def token_ids(words: list[bytes], ids: dict[bytes, int], unknown: int = OTHER) -
     return np.fromiter(map(ids.get, words, repeat(unknown)), np.int32, len(words))
 
 
+def numbers(words: list[bytes], ids: dict[bytes, int]) -> np.ndarray:
+    """Places in the head of the words and, last, of the end; -1 for other words."""
+    out = np.empty(len(words) + 1, np.int32)
+    out[:-1], out[-1] = token_ids(words, ids, -1), ids[END]
+    return out
+
+
+def joined(tokens: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+    """The numbers of all texts one after another, and how many each has."""
+    tokens = tokens.cast(pa.binary())
+    sizes = pc.binary_length(tokens).to_numpy(zero_copy_only=False).astype(np.int64) // 4
+    offsets = np.frombuffer(tokens.buffers()[1], np.int32)
+    return np.frombuffer(tokens.buffers()[2], np.int32, int(sizes.sum()), int(offsets[tokens.offset])), sizes
+
+
 def stretch(text: bytes, ids: dict[bytes, int]) -> np.ndarray:
     """Short-list ids of one stretch of the text, drawn by the text's hash; the last one has the end."""
     words = space_words(text)
@@ -383,33 +403,42 @@ def learn(adam: Adam, tokens: np.ndarray, end: int, most: int) -> int:
 
 
 def refined(docs: DataFrame, model: Model) -> tuple[Gru, int]:
-    """The network after every task has gone on training on its part of the rows that aren't held out, and the number of tokens that it learnt from.
+    """``learnt`` from the texts of the rows that aren't held out."""
+    sent = docs.sparkSession.sparkContext.broadcast(model.head)
+
+    def split(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        ids = {w: k for k, w in enumerate(sent.value)}
+        for batch in blocks(batches):
+            yield pa.RecordBatch.from_arrays([pa.array([numbers(space_words(t), ids).tobytes() for t in texts(batch.column("text"))], pa.binary())], ["tokens"])
+
+    return learnt(docs.where(~held_out()).select("text").mapInArrow(split, "tokens binary"), model, np.arange(len(model.head)))
 
-    A task takes all tokens of its texts in batches and makes one update a
-    window; networks are averaged by tokens.  A retried task reads the same
-    rows and makes the same network.  A task with less than a batch adds what
-    it has.
+
+def learnt(tokens: DataFrame, model: Model, moved: np.ndarray) -> tuple[Gru, int]:
+    """The network after every task has gone on training on its part of the rows, and the number of tokens that it learnt from.
+
+    moved: the place in the model's head of each number.  A task takes all
+    tokens of its texts in batches and makes one update a window; networks are
+    averaged by tokens.  A retried task reads the same rows and makes the same
+    network.  A task with less than a batch adds what it has.
     """
-    spark = docs.sparkSession
-    sent = spark.sparkContext.broadcast(model)
+    spark = tokens.sparkSession
+    # the last one is for number -1
+    sent = spark.sparkContext.broadcast((model.gru, np.append(np.minimum(moved, OTHER), OTHER).astype(np.int32), model.head.index(END)))
     names, shapes = list(model.gru.p), {k: v.shape for k, v in model.gru.p.items()}
 
     def go_on(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         keep_heap()
-        model = sent.value
-        ids, net = short_ids(model.head), Gru({k: v.copy() for k, v in model.gru.p.items()})
-        adam, end, waiting, size, seen, most = Adam(net, None, OWN_RATE), ids[END], [], 0, 0, STREAMS
-        for batch in blocks(batches):
-            for t in texts(batch.column("text")):
-                waiting += token_ids(space_words(t), ids), [end]
-                size += waiting[-2].size + 1
-                if size >= most * STEPS * WINDOWS:
-                    tokens = np.concatenate(waiting)
-                    size %= most  # these wait for the next batch
-                    seen += learn(adam, tokens[: tokens.size - size], end, most)
-                    waiting, most = [tokens[tokens.size - size :]], min(2 * most, MOST_STREAMS)
-        if size:
-            seen += learn(adam, np.concatenate(waiting), end, most)
+        first, short, end = sent.value
+        net = Gru({k: v.copy() for k, v in first.p.items()})
+        adam, left, seen, most = Adam(net, None, OWN_RATE), np.empty(0, np.int32), 0, STREAMS
+        for batch in blocks(batches, "tokens", LEARNT_BYTES):
+            left = np.concatenate([left, short[joined(batch.column("tokens"))[0]]])
+            while left.size >= (size := most * STEPS * WINDOWS):
+                seen += learn(adam, left[:size], end, most)
+                left, most = left[size:], min(2 * most, MOST_STREAMS)
+        if left.size:
+            seen += learn(adam, left, end, most)
         if seen:
             flat = np.concatenate([net.p[k].ravel() for k in names]).astype(np.float64) * seen
             yield pa.RecordBatch.from_arrays([pa.array([TaskContext.get().partitionId() % SUMMED], pa.int32()), pa.array([seen], pa.int64()), pa.array([flat.tobytes()], pa.binary())], ["part", "n", "p"])
@@ -424,7 +453,7 @@ def refined(docs: DataFrame, model: Model) -> tuple[Gru, int]:
             yield pa.RecordBatch.from_arrays([pa.array([0], pa.int32()), pa.array([n], pa.int64()), pa.array([total.tobytes()], pa.binary())], ["part", "n", "p"])
 
     schema = "part int, n long, p binary"
-    rows = docs.where(~held_out()).select("text").mapInArrow(go_on, schema)
+    rows = tokens.select("tokens").mapInArrow(go_on, schema)
     got = sorted((bytes(r["p"]), r["n"]) for r in rows.repartition(SUMMED, "part").mapInArrow(add, schema).collect())  # SUMMED rows at most
     sent.unpersist()
     if not got:
@@ -449,49 +478,68 @@ def _key(text: bytes) -> int:
     return int(np.uint64(xxhash.xxh64_intdigest(text)).view(np.int64))
 
 
-def _check(word: bytes) -> int:
-    """31 bits of the word's checksum, and whether it is too long for the head."""
-    return crc32(word) & ~1 | (len(word) > HEAD_BYTES)
+def _checks(words: list[bytes]) -> np.ndarray:
+    """31 bits of each word's checksum, and whether it is too long for the head."""
+    n = len(words)
+    return (np.fromiter(map(crc32, words), np.uint32, n) & np.uint32(0xFFFFFFFE) | (np.fromiter(map(len, words), np.int64, n) > HEAD_BYTES)).view(np.int32)
+
+
+def _hashes(words: list[bytes]) -> np.ndarray:
+    return np.fromiter(map(xxhash.xxh64_intdigest, words), np.uint64, len(words)).view(np.int64)
+
+
+#: Kinds of the rows of the counting pass.
+IN_HEAD, OTHER_WORD, TEXT = 0, 1, 2
 
 
 def _word_rows(docs: DataFrame, head: list[bytes]) -> DataFrame:
-    """(word, check, key, size, n, train): a row for each head word of a block (size -1, word its number), and one for each other word of each text.
+    """(kind, word, check, key, size, n, train, doc_id, held_out, tokens): a row for each head word of a block (word: its number), one for each other word of each text, and one for each text.
 
-    n: tokens, of all copies of the text in the block; train: those in training.
+    n: tokens, of all copies of the text in the block; train: those in
+    training; tokens: the numbers of a text's tokens.
     """
     sent = docs.sparkSession.sparkContext.broadcast(head)
+    types = {"word": pa.int64(), "check": pa.int32(), "key": pa.int64(), "size": pa.int32(), "n": pa.int64(), "train": pa.int64()}
+
+    def rows(every_type: dict[str, pa.DataType], kind: int, **cols) -> pa.RecordBatch:
+        n = len(next(iter(cols.values())))
+        arrays = [(v if isinstance(v := cols[k], pa.Array) else pa.array(v, t)) if k in cols else pa.nulls(n, t) for k, t in every_type.items()]
+        return pa.RecordBatch.from_arrays([pa.array(np.full(n, kind, np.int8)), *arrays], ["kind", *every_type])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         ids = {w: k for k, w in enumerate(sent.value)}
         for batch in blocks(batches):
+            listed, outs = texts(batch.column("text")), batch.column("held_out")
+            every_type = types | {"doc_id": batch.column("doc_id").type, "held_out": outs.type, "tokens": pa.binary()}
             copies: dict[bytes, list[int]] = {}
-            for t, out in zip(texts(batch.column("text")), batch.column("held_out").to_pylist(), strict=True):
+            for t, out in zip(listed, outs.to_pylist(), strict=True):
                 got = copies.setdefault(t, [0, 0])
                 got[0] += 1
                 got[1] += not out
-            common: Counter = Counter()
-            cols: list[list] = [[] for _ in range(6)]
-            for t, (n, in_training) in copies.items():
+            keys, lengths = _hashes(copies), np.fromiter(map(len, copies), np.int32, len(copies))
+            found, rare, times, of_text = [], [], [], []
+            for t, (_, in_training) in copies.items():
                 words = space_words(t)
-                for _ in range(in_training):
-                    common.update(words)
-                common[END] += in_training
-                rare = Counter([w for w in words if w not in ids])
-                if rare:
-                    for out, values in zip(cols, (
-                        [xxhash.xxh64_intdigest(w) for w in rare], map(_check, rare), [_key(t)] * len(rare), [len(t)] * len(rare),
-                        [c * n for c in rare.values()], [c * in_training for c in rare.values()],
-                    ), strict=True):
-                        out.extend(values)
-            seen = [(ids[w], n) for w, n in common.items() if w in ids]
-            for out, values in zip(cols, ([k for k, _ in seen], [0] * len(seen), [0] * len(seen), [-1] * len(seen), [0] * len(seen), [n for _, n in seen]), strict=True):
-                out.extend(values)
-            kinds = [np.uint64, np.uint32, np.int64, np.int32, np.int64, np.int64]
-            arrays = [np.array(c, k) for c, k in zip(cols, kinds, strict=True)]
-            arrays[0], arrays[1] = arrays[0].view(np.int64), arrays[1].view(np.int32)
-            yield pa.RecordBatch.from_arrays([pa.array(a) for a in arrays], ["word", "check", "key", "size", "n", "train"])
-
-    return docs.select(held_out().alias("held_out"), "text").mapInArrow(run, "word long, check int, key long, size int, n long, train long")
+                own = numbers(words, ids)
+                found.append(own)
+                unknown = Counter([words[k] for k in np.flatnonzero(own < 0).tolist()])
+                rare += unknown
+                times += unknown.values()
+                of_text.append(len(unknown))
+            every, sizes = np.concatenate(found), np.array([f.size for f in found])
+            in_copies, in_training = np.array(list(copies.values()), np.int64).T
+            common = np.bincount(every + 1, np.repeat(in_training, sizes), len(ids) + 1)[1:].astype(np.int64)
+            seen = np.flatnonzero(common)
+            yield rows(every_type, IN_HEAD, word=seen, train=common[seen])
+            whose, times = np.repeat(np.arange(len(copies)), of_text), np.array(times, np.int64)
+            yield rows(every_type, OTHER_WORD, word=_hashes(rare), check=_checks(rare), key=keys[whose], size=lengths[whose], n=times * in_copies[whose], train=times * in_training[whose])
+            place = {t: k for k, t in enumerate(copies)}
+            place = np.fromiter(map(place.get, listed), np.int64, len(listed))
+            yield rows(every_type, TEXT, key=keys[place], size=lengths[place], doc_id=batch.column("doc_id"), held_out=outs, tokens=[found[k].tobytes() for k in place])
+
+    kind = docs.schema["doc_id"].dataType.simpleString()
+    schema = f"kind byte, word long, check int, key long, size int, n long, train long, doc_id {kind}, held_out boolean, tokens binary"
+    return docs.select("doc_id", held_out().alias("held_out"), "text").mapInArrow(run, schema)
 
 
 @dataclass
@@ -500,6 +548,8 @@ class Counted:
 
     n: tokens of other words in all copies of the text; known: those whose
     training count c is above 0; s: sum of log10(c + 0.1).
+    tokens: (doc_id, held_out, key, size, tokens) of each row, from the folder,
+    which goes with ``drop_folder``.
     """
 
     counts: np.ndarray
@@ -507,10 +557,15 @@ class Counted:
     total: int
     distinct: int
     missed: list[tuple[int, int]]
+    tokens: DataFrame
+    folder: str
+
+    def drop_folder(self) -> None:
+        remove_folder(self.others.sparkSession, self.folder)
 
 
 def count_words(docs: DataFrame, head: list[bytes]) -> Counted:
-    """Exact counts of all words.
+    """Exact counts of all words, and the numbers of all tokens.
 
     A word outside the head is its hash and checksum.  Its rows are summed on
     the way to one count, so a frequent one is no large group; then the counts
@@ -521,9 +576,9 @@ def count_words(docs: DataFrame, head: list[bytes]) -> Counted:
     _word_rows(docs, head).write.parquet(f"{folder}/rows")
     rows = spark.read.parquet(f"{folder}/rows")
     counts = np.zeros(len(head))
-    for k, c in rows.where("size = -1").groupBy("word").agg(F.sum("train")).toLocalIterator():  # a row for each word of the head
+    for k, c in rows.where(F.col("kind") == IN_HEAD).groupBy("word").agg(F.sum("train")).toLocalIterator():  # a row for each word of the head
         counts[k] = c
-    rare = rows.where("size >= 0")
+    rare = rows.where(F.col("kind") == OTHER_WORD).select("word", "check", "key", "size", "n", "train")
     rare.groupBy("word", "check").agg(F.sum("train").alias("c")).where("c > 0").write.parquet(f"{folder}/counts")
     known = spark.read.parquet(f"{folder}/counts")
     total, distinct = known.agg(F.coalesce(F.sum("c"), F.lit(0)), F.count("*")).first()
@@ -534,8 +589,8 @@ def count_words(docs: DataFrame, head: list[bytes]) -> Counted:
     others = checkpointed(met.groupBy("key", "size").agg(
         F.sum("n").alias("n"), F.sum(F.when(F.col("c") > 0, F.col("n")).otherwise(0)).alias("known"), F.sum(F.col("n") * F.log10(F.col("c") + F.lit(SMOOTH))).alias("s"),
     ))
-    remove_folder(spark, folder)
-    return Counted(counts, others, int(total + counts.sum()), int(distinct + (counts > 0).sum()), missed)
+    tokens = rows.where(F.col("kind") == TEXT).select("doc_id", "held_out", "key", "size", "tokens")
+    return Counted(counts, others, int(total + counts.sum()), int(distinct + (counts > 0).sum()), missed, tokens, folder)
 
 
 def named(docs: DataFrame, missed: list[tuple[int, int]]) -> list[bytes]:
@@ -544,8 +599,8 @@ def named(docs: DataFrame, missed: list[tuple[int, int]]) -> list[bytes]:
 
     def find(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in blocks(batches):
-            words = {w for t in texts(batch.column("text")) for w in space_words(t) if len(w) <= HEAD_BYTES}
-            found = [w for w in words if (_key(w), int(np.uint32(_check(w)).view(np.int32))) in wanted]
+            words = list({w for t in texts(batch.column("text")) for w in space_words(t) if len(w) <= HEAD_BYTES})
+            found = [w for w, *own in zip(words, _hashes(words).tolist(), _checks(words).tolist(), strict=True) if tuple(own) in wanted]
             yield pa.RecordBatch.from_arrays([pa.array(found, pa.binary())], ["word"])
 
     return sorted(bytes(r["word"]) for r in docs.where(~held_out()).select("text").mapInArrow(find, "word binary").distinct().collect())
@@ -556,6 +611,7 @@ def count_all(docs: DataFrame, head: list[bytes]) -> tuple[list[bytes], Counted]
     counted = count_words(docs, head)
     if counted.missed:
         drop_checkpoint(counted.others)
+        counted.drop_folder()
         head = head + named(docs, counted.missed)
         counted = count_words(docs, head)
     return head, counted
@@ -576,32 +632,30 @@ def score_documents(docs: DataFrame, sample_docs: int = SAMPLE_DOCS) -> DataFram
     shares = 10 ** (logs[:OTHER] - norm)
     outside = float(np.log10(max(1 - shares.sum(), 1e-12)))
     model = Model(head, first_network(sample, head, np.append(shares, 10**outside)))
-    model = Model(head, refined(docs, model)[0])
-    sent = spark.sparkContext.broadcast((model, counts, logs))
-    end = model.head.index(END)
+    place = {w: k for k, w in enumerate(head)}
+    moved = np.array([place[w] for w in first])
+    gru, _ = learnt(counted.tokens.where(~F.col("held_out")), model, moved)
+    # of each number, and of -1 at the end
+    outer = np.append(moved >= OTHER, True)
+    own_logs = np.append(logs[moved], 0.0)
+    sent = spark.sparkContext.broadcast((gru, np.append(np.minimum(moved, OTHER), OTHER).astype(np.int16), np.append(counts[moved] > 0, False), own_logs, own_logs * outer, outer))
+    end = head.index(END)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         keep_heap()
-        own, c, log_c = sent.value
-        ids = {w: k for k, w in enumerate(own.head)}
-        for batch in blocks(batches, limit=SCORED_BYTES):
-            rows, listed = [], []
-            for t in texts(batch.column("text")):
-                found = np.append(token_ids(space_words(t), ids, -1), np.int32(end))
-                in_head = found[found >= 0]
-                other = in_head[in_head >= OTHER]
-                rare = found.size - in_head.size
-                rows.append((found.size, int((c[in_head] > 0).sum()), float(log_c[in_head].sum()), float(log_c[other].sum()), other.size + rare, rare, _key(t), len(t)))
-                listed.append(np.where((found < 0) | (found >= OTHER), OTHER, found).astype(np.int16))
-            net = own.gru.score(listed, end)
-            cols = list(zip(*rows, strict=True))
-            kinds = [pa.int64(), pa.int64(), pa.float64(), pa.float64(), pa.int64(), pa.int64(), pa.int64(), pa.int32()]
-            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("held_out"), pa.array(net), *map(pa.array, cols, kinds)], names)
-
-    names = ["doc_id", "held_out", "net", "n_tokens", "head_known", "head_logs", "other_logs", "others", "rare", "key", "size"]
+        net, short, *tables = sent.value
+        for batch in blocks(batches, "tokens", SCORED_BYTES):
+            flat, sizes = joined(batch.column("tokens"))
+            starts = np.cumsum(sizes) - sizes  # each text has its end
+            sums = [np.add.reduceat(x, starts, dtype=np.float64 if x.dtype.kind == "f" else np.int64) for x in (*(x[flat] for x in tables), flat < 0)]
+            got = net.score(np.split(short[flat], starts[1:]), end)
+            yield pa.RecordBatch.from_arrays([*(batch.column(k) for k in ("doc_id", "held_out", "key", "size")), *map(pa.array, (got, sizes, *sums))], names)
+
+    names = ["doc_id", "held_out", "key", "size", "net", "n_tokens", "head_known", "head_logs", "other_logs", "others", "rare"]
     kind = docs.schema["doc_id"].dataType.simpleString()
-    schema = f"doc_id {kind}, held_out boolean, net double, n_tokens long, head_known long, head_logs double, other_logs double, others long, rare long, key long, size int"
-    scored = docs.select("doc_id", held_out().alias("held_out"), "text").mapInArrow(run, schema)
+    schema = f"doc_id {kind}, held_out boolean, key long, size int, net double, n_tokens long, head_known long, head_logs double, other_logs double, others long, rare long"
+    scored = checkpointed(counted.tokens.mapInArrow(run, schema))
+    counted.drop_folder()
     both = scored.join(counted.others, ["key", "size"], "left")
     # a text's part of what all its copies have together
     part = F.when(F.col("rare") > 0, F.col("rare") / F.col("n")).otherwise(F.lit(0.0))

@@ -537,6 +537,26 @@ def test_network_learns_from_every_training_token(spark, docs):
     assert all(np.isfinite(v).all() for v in net.p.values()) and not np.array_equal(net.p["u"], start.gru.p["u"])
 
 
+def test_counting_keeps_the_numbers_of_all_tokens(spark, docs):
+    rows = docs.limit(40).unionByName(docs.limit(3)).unionByName(docs.limit(2).withColumn("text", F.lit(None).cast("string"))).select("doc_id", "text")
+    head, counted = lm.count_all(rows, lm.head_words(rows.limit(5)))
+    place, want = {w: k for k, w in enumerate(head)}, []
+    for r in rows.collect():
+        words = [*re.findall(rb"[^\x20\x09-\x0D]+", lower(r["text"] or "").encode()), lm.END]
+        want.append((r["doc_id"], zlib.crc32(str(r["doc_id"]).encode()) % 10 == 0, [place.get(w, -1) for w in words]))
+    got = [(r["doc_id"], r["held_out"], np.frombuffer(r["tokens"], np.int32).tolist()) for r in counted.tokens.collect()]
+    assert sorted(got) == sorted(want) and any(-1 in x for *_, x in want)
+    _, seen = lm.learnt(counted.tokens.where("NOT held_out"), lm.Model(head, lm.Gru.fresh()), np.arange(len(head)))
+    assert seen == counted.total == sum(len(x) for _, out, x in want if not out)
+
+
+def test_texts_are_split_in_one_pass_beside_the_sample(spark, docs):
+    read = spark.sparkContext.accumulator(0)
+    rows = docs.limit(200).localCheckpoint().select("doc_id", F.udf(lambda t: (read.add(1), t)[1])("text").alias("text"))
+    assert lm.score_documents(rows, 200).count() == 200  # all are in the sample, so the words are counted once
+    assert 200 <= read.value <= 3 * 200  # the sample is read for the head and for the first network
+
+
 @pytest.mark.parametrize("size", [1, 2, 15, 17, 1023, 1025, 5003])
 def test_learning_leaves_no_token_out(monkeypatch, size):
     seen = []
