@@ -13,6 +13,7 @@ from pyspark.sql import functions as F
 from dp_itemsets.functions.noise import NoiseSource
 from dp_itemsets.operators import bases as B
 from dp_itemsets.operators import bins, metrics, mining, truncated
+from dp_itemsets.queries import methods
 from dp_itemsets.sources.transactions import Transactions
 from dp_itemsets.sources.views import VIEWS
 
@@ -258,3 +259,38 @@ def test_selection_without_a_list_of_names(spark, monkeypatch, selector, m):
     assert names.listed is None and list(names.some(range(len(names))).values()).sort() == [x for s in sets for x in s].sort()
     names.close()
     assert [draw(eps) for eps in budgets] == listed
+
+
+def test_listing_beyond_the_driver(spark, tiny, monkeypatch):
+    """More sets than the driver may hold stay in Spark, all of them."""
+    tx = VIEWS["order_terms"](spark, tiny)
+    want = {(mining.key_of(f.items), len(f.items), f.support) for f in mining.apriori(tx, 40)}
+    monkeypatch.setattr(mining, "MOST_SETS", 2000)
+    monkeypatch.setattr(methods, "_LEAST", 40)
+    with pytest.raises(mining.TooManySets):
+        mining.apriori(tx, 40)
+    got = list(map(tuple, methods.apriori_order_terms(spark, tiny).select("itemset", "size", "support").collect()))
+    assert len(got) == len(want) > 2000 and set(got) == want
+
+
+def test_listing_in_spark_is_that_of_the_driver(spark):
+    draw = np.random.default_rng(2)
+    wide = [{f"i{j:03d}" for j in draw.zipf(1.3, 14) % 300} for _ in range(400)]  # places take two bytes
+    items = [f"i{k:02}" for k in range(12)]
+    for sets, least, most in ((wide, 2, 4), ([items] * 3 + [items[:5]] + [[]], 3, None), ([items] * 3, 3, 2), ([items], 2, None), ([["a"], ["a"]], 2, None)):
+        tx = Transactions.from_sets(spark, sets)
+        got = [tuple(r) for r in mining.apriori(tx, least, most, listed=False).frame().collect()]
+        want = {(mining.key_of(f.items), len(f.items), f.support) for f in mining.apriori(tx, least, most)}
+        assert len(got) == len(want) and set(got) == want
+
+
+def test_sets_grow_the_same_in_small_steps(monkeypatch):
+    draw = np.random.default_rng(3)
+    held = draw.random((9, 128)) < 0.8
+    bits = np.packbits(held, axis=1, bitorder="little").view(np.uint64)
+    want = {c: n for k in range(1, 10) for c in combinations(range(9), k) if (n := int(held[list(c)].all(axis=0).sum())) >= 20}
+    for most in (1, 100, 1 << 20):
+        monkeypatch.setattr(mining, "STEP_BYTES", most)
+        start = np.arange(9, dtype=np.uint8).reshape(-1, 1)
+        got = [(tuple(s), n) for sets, counts in mining._grown(start, held.sum(axis=1), bits, np.full(9, 9), 20, None) for s, n in zip(sets.tolist(), counts.tolist(), strict=True)]
+        assert len(got) == len(want) and dict(got) == want
