@@ -294,3 +294,24 @@ def test_sets_grow_the_same_in_small_steps(monkeypatch):
         start = np.arange(9, dtype=np.uint8).reshape(-1, 1)
         got = [(tuple(s), n) for sets, counts in mining._grown(start, held.sum(axis=1), bits, np.full(9, 9), 20, None) for s, n in zip(sets.tolist(), counts.tolist(), strict=True)]
         assert len(got) == len(want) and dict(got) == want
+
+
+def test_maximal_beyond_the_driver(spark, tiny, monkeypatch):
+    """Sets that stay in Spark are compared there."""
+    tx = VIEWS["order_terms"](spark, tiny)
+    want = {(mining.key_of(f.items), len(f.items), f.support) for f in mining.maximal(mining.apriori(tx, 40))}
+    monkeypatch.setattr(mining, "MOST_SETS", 2000)
+    monkeypatch.setattr(methods, "_LEAST", 40)
+    got = list(map(tuple, methods.maximal_itemsets_order_terms(spark, tiny).select("itemset", "size", "support").collect()))
+    assert len(got) == len(want) > 2000 and set(got) == want
+
+
+def test_maximal_in_spark_is_that_of_the_driver(spark):
+    draw = np.random.default_rng(2)
+    wide = [{f"i{j:03d}" for j in draw.zipf(1.3, 14) % 300} for _ in range(400)]
+    items = [f"i{k:02}" for k in range(12)]  # sets of over eight items take two words
+    for sets, least, most in ((wide, 2, 4), ([items] * 3 + [items[:10]] + [[]], 3, None), ([items[:9]] * 2 + [items[2:11]] * 2, 2, None), ([items] * 3, 3, 2), ([["a"], ["a"]], 2, None), ([["a"]], 2, None)):
+        tx = Transactions.from_sets(spark, sets)
+        got = [tuple(r) for r in mining.maximal(mining.apriori(tx, least, most, listed=False)).frame().collect()]
+        want = {(mining.key_of(f.items), len(f.items), f.support) for f in mining.maximal(mining.apriori(tx, least, most))}
+        assert len(got) == len(want) and set(got) == want
